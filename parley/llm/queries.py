@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from parley.llm import quality, sql
+from parley.llm import quality, simhash, sql
 from parley.llm.common import load
 
 
@@ -14,8 +14,12 @@ def op1_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.apply_policy(quality.ledger(load(spark, sf_dir, "documents").select("doc_id", "text")))
 
 
+def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.with_hex(simhash.cluster(load(spark, sf_dir, "documents")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_ledger": op1_quality_ledger}
+    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups}
 
 
 def oracle_sql() -> dict[str, str]:
