@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from parley.llm import quality, simhash, sql
+from parley.llm import line_dedup, quality, simhash, sql
 from parley.llm.common import load
 
 
@@ -18,8 +19,22 @@ def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.with_hex(simhash.cluster(load(spark, sf_dir, "documents")))
 
 
+def op10_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row for each document: its comparable lines, those that go, and the components its lines are in."""
+    docs = load(spark, sf_dir, "documents")
+    decided = line_dedup.line_components(docs)
+    own = decided.groupBy("doc_id").agg(
+        F.count("*").alias("n_compared"),
+        F.sum(F.when(F.col("keep"), 0).otherwise(1)).alias("n_removed"),
+        F.sort_array(F.collect_list(F.when(~F.col("keep"), F.col("line_no")))).alias("removed"),
+        F.bit_xor("root").alias("component_mark"),
+    )
+    zero = F.lit(0).cast("long")
+    return docs.select("doc_id").join(own, "doc_id", "left").select("doc_id", F.coalesce("n_compared", zero).alias("n_compared"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed"), F.coalesce("component_mark", zero).alias("component_mark"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups}
+    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines}
 
 
 def oracle_sql() -> dict[str, str]:
