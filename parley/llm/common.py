@@ -44,3 +44,10 @@ def remove(spark: SparkSession, path: str) -> None:
     jvm = spark._jvm
     p = jvm.org.apache.hadoop.fs.Path(path)
     p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
+def tokenizer_path(name: str) -> str:
+    """The place of a public vocabulary file; installed with its package on every machine."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)

@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import line_dedup, quality, simhash, sql
-from parley.llm.common import load
+from parley.llm import line_dedup, quality, simhash, sql, sstable
+from parley.llm.common import load, tokenizer_path
 
 
 def op1_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -33,8 +33,13 @@ def op10_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.select("doc_id").join(own, "doc_id", "left").select("doc_id", F.coalesce("n_compared", zero).alias("n_compared"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed"), F.coalesce("component_mark", zero).alias("component_mark"))
 
 
+def op6_token_shards(spark: SparkSession, sf_dir: str, tokenizer: str | None = None) -> DataFrame:
+    _, manifest = sstable.write_shards(load(spark, sf_dir, "documents"), tokenizer or tokenizer_path("word_bpe_49k.json"))
+    return sstable.digests(spark, manifest)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines}
+    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines, "op6_token_shards": op6_token_shards}
 
 
 def oracle_sql() -> dict[str, str]:
