@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import line_dedup, quality, simhash, sql, sstable
+from parley.llm import decontaminate, line_dedup, quality, simhash, sql, sstable
 from parley.llm.common import load, tokenizer_path
 
 
@@ -38,8 +38,12 @@ def op6_token_shards(spark: SparkSession, sf_dir: str, tokenizer: str | None = N
     return sstable.digests(spark, manifest)
 
 
+def op7_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.contaminated(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines, "op6_token_shards": op6_token_shards}
+    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines, "op6_token_shards": op6_token_shards, "op7_benchmark_leaks": op7_benchmark_leaks}
 
 
 def oracle_sql() -> dict[str, str]:
