@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import decontaminate, line_dedup, quality, simhash, sql, sstable
+from parley.llm import decontaminate, language, line_dedup, merge_dropout, quality, simhash, sql, sstable
 from parley.llm.common import load, tokenizer_path
 
 
@@ -42,9 +42,28 @@ def op7_benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contaminated(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
 
 
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    model = language.train(docs.where(language.remainder("doc_id", 4) != 2))
+    return language.predict(docs, model).withColumn("held_out", language.remainder("doc_id", 4) == 2)
+
+
+def op5_merge_dropout(spark: SparkSession, sf_dir: str, model: str | None = None) -> DataFrame:
+    return merge_dropout.round_trips(load(spark, sf_dir, "documents"), model or tokenizer_path("piece_bpe_32k.model"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_ledger": op1_quality_ledger, "op2_simhash_groups": op2_simhash_groups, "op10_fuzzy_lines": op10_fuzzy_lines, "op6_token_shards": op6_token_shards, "op7_benchmark_leaks": op7_benchmark_leaks}
+    return {
+        "op1_quality_ledger": op1_quality_ledger,
+        "op2_simhash_groups": op2_simhash_groups,
+        "op10_fuzzy_lines": op10_fuzzy_lines,
+        "op6_token_shards": op6_token_shards,
+        "op7_benchmark_leaks": op7_benchmark_leaks,
+        "op4_language": op4_language,
+        "op5_merge_dropout": op5_merge_dropout,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_quality_ledger": sql.QUALITY}
+    return {
+        "op1_quality_ledger": sql.QUALITY}
