@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import decontaminate, language, line_dedup, merge_dropout, quality, simhash, sql, sstable
+from parley.llm import decontaminate, language, line_dedup, merge_dropout, pii, quality, simhash, sql, sstable
 from parley.llm.common import load, tokenizer_path
 
 
@@ -52,6 +52,10 @@ def op5_merge_dropout(spark: SparkSession, sf_dir: str, model: str | None = None
     return merge_dropout.round_trips(load(spark, sf_dir, "documents"), model or tokenizer_path("piece_bpe_32k.model"))
 
 
+def op8_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(load(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_ledger": op1_quality_ledger,
@@ -61,6 +65,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_benchmark_leaks": op7_benchmark_leaks,
         "op4_language": op4_language,
         "op5_merge_dropout": op5_merge_dropout,
+        "op8_pii_pseudonyms": op8_pii_pseudonyms,
     }
 
 
