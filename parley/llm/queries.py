@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import decontaminate, language, line_dedup, merge_dropout, pii, quality, simhash, sql, sstable
+from parley.llm import decontaminate, language, line_dedup, merge_dropout, pii, quality, simhash, sql, sstable, toxicity
 from parley.llm.common import load, tokenizer_path
 
 
@@ -56,6 +56,12 @@ def op8_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.pseudonymise(load(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    model = toxicity.train(docs, load(spark, sf_dir, "labels").where(language.remainder("doc_id", 5) != 0))
+    return toxicity.score(docs, model).withColumn("held_out", language.remainder("doc_id", 5) == 0)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_ledger": op1_quality_ledger,
@@ -66,6 +72,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_language": op4_language,
         "op5_merge_dropout": op5_merge_dropout,
         "op8_pii_pseudonyms": op8_pii_pseudonyms,
+        "op9_toxicity": op9_toxicity,
     }
 
 
