@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from parley.llm import decontaminate, language, line_dedup, merge_dropout, pii, quality, simhash, sql, sstable, toxicity
+from parley.llm import decontaminate, html_text, language, line_dedup, merge_dropout, pii, quality, simhash, sql, sstable, toxicity
 from parley.llm.common import load, tokenizer_path
 
 
@@ -62,6 +62,10 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).withColumn("held_out", language.remainder("doc_id", 5) == 0)
 
 
+def op3_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(load(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_ledger": op1_quality_ledger,
@@ -73,6 +77,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_merge_dropout": op5_merge_dropout,
         "op8_pii_pseudonyms": op8_pii_pseudonyms,
         "op9_toxicity": op9_toxicity,
+        "op3_html_text": op3_html_text,
     }
 
 
