@@ -34,7 +34,7 @@ RATE = 0.1
 SEED = 20
 #: Segmentations that one worker remembers before it starts anew.
 MEMORY = 600_000
-ENCODED = "doc_id long, ids array<int>"
+ENCODED = "doc_id long, ids array<int>, lossless boolean"
 DIGEST = "doc_id long, n_tokens long, ids_crc32 long, n_chars long, lossless boolean"
 
 _ALL = (1 << 64) - 1
@@ -273,12 +273,14 @@ def _runner(path: str, rate: float, seed: int, digest: bool):
                 part, key = texts[at : at + 256], batch.column(0).slice(at, 256)
                 ids = own.encode_all(part, docs[at : at + 256])
                 size = [len(x) for x in ids]
+                back = [own.decode(x.tolist()) for x in ids]
+                same = pa.array([b == (t or "") for b, t in zip(back, part, strict=True)], pa.bool_())
                 if digest:
-                    crc, back = [zlib.crc32(x) for x in ids], [own.decode(x.tolist()) for x in ids]
-                    yield pa.RecordBatch.from_arrays([key, pa.array(size, pa.int64()), pa.array(crc, pa.int64()), pa.array([len(b) for b in back], pa.int64()), pa.array([b == (t or "") for b, t in zip(back, part, strict=True)], pa.bool_())], ["doc_id", "n_tokens", "ids_crc32", "n_chars", "lossless"])
+                    crc = [zlib.crc32(x) for x in ids]
+                    yield pa.RecordBatch.from_arrays([key, pa.array(size, pa.int64()), pa.array(crc, pa.int64()), pa.array([len(b) for b in back], pa.int64()), same], ["doc_id", "n_tokens", "ids_crc32", "n_chars", "lossless"])
                 else:
                     lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *size]), pa.int32()), pa.array(np.concatenate([np.empty(0, "<i4"), *ids]), pa.int32()))
-                    yield pa.RecordBatch.from_arrays([key, lists], ["doc_id", "ids"])
+                    yield pa.RecordBatch.from_arrays([key, lists, same], ["doc_id", "ids", "lossless"])
 
     return run
 
@@ -288,7 +290,7 @@ def _two(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def encode(df: DataFrame, path: str, rate: float = RATE, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, ids)."""
+    """(doc_id, ids, lossless): each text's ids, and whether they decode to it."""
     return _two(df, id_col, text_col).mapInArrow(_runner(path, rate, seed, False), ENCODED)
 
 
