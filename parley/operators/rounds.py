@@ -8,6 +8,7 @@ cuts the plan. Only the centre (one vector) returns to the driver.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -55,6 +56,25 @@ def needed_rows(examples: DataFrame, cfg: Rounds, t: int) -> DataFrame:
     return examples.where(F.pmod(F.col("pos") - F.lit(t * cfg.steps * cfg.batch), F.col("n")) < span)
 
 
+def _solver(loss, method: Method, cfg: Rounds, g: np.ndarray, t: int, control: np.ndarray):
+    """One party's local steps: its needed rows on the left, its state on the right."""
+
+    def solve(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        row = right.iloc[0]
+        party, n = int(row["party_id"]), int(left["n"].iloc[0])
+        place = {int(p): k for k, p in enumerate(left["pos"])}
+        xs, ys = np.stack(left["x"].to_numpy()), np.stack(left["y"].to_numpy())
+
+        def batch(i: int):
+            at = range(n) if cfg.batch is None else [((t * cfg.steps + i) * cfg.batch + j) % n for j in range(cfg.batch)]
+            pick = [place[p] for p in at]
+            return xs[None, pick], ys[None, pick]
+
+        return pd.DataFrame([_row(party, party_round(loss, method, cfg, _state_of(row), g, np.array([party]), t, batch, control))])
+
+    return solve
+
+
 def run_rounds(examples: DataFrame, loss, method: Method, cfg: Rounds, g0: np.ndarray | None = None, resume: tuple[DataFrame, np.ndarray, int] | None = None) -> RunResult:
     """examples: training rows. resume: (state, centre, rounds done)."""
     spark = examples.sparkSession
@@ -74,22 +94,7 @@ def run_rounds(examples: DataFrame, loss, method: Method, cfg: Rounds, g0: np.nd
         part = state.join(active, "party_id", "left_semi")
         rows = needed_rows(examples, cfg, t).join(active, "party_id", "left_semi")
 
-        def solve(left: pd.DataFrame, right: pd.DataFrame, g=g, t=t, control=control) -> pd.DataFrame:
-            row = right.iloc[0]
-            party, n = int(row["party_id"]), int(left["n"].iloc[0])
-            place = {int(p): k for k, p in enumerate(left["pos"])}
-            xs, ys = np.stack(left["x"].to_numpy()), np.stack(left["y"].to_numpy())
-
-            def batch(i: int):
-                at = range(n) if cfg.batch is None else [((t * cfg.steps + i) * cfg.batch + j) % n for j in range(cfg.batch)]
-                pick = [place[p] for p in at]
-                return xs[None, pick], ys[None, pick]
-
-            before = _state_of(row)
-            new = party_round(loss, method, cfg, before, g, np.array([party]), t, batch, control)
-            return pd.DataFrame([_row(party, new)])
-
-        solved = written(rows.groupBy("party_id").cogroup(part.groupBy("party_id")).applyInPandas(solve, STATE), "solved")
+        solved = written(rows.groupBy("party_id").cogroup(part.groupBy("party_id")).applyInPandas(_solver(loss, method, cfg, g, t, control), STATE), "solved")
         merged = state.join(solved.select("party_id", *[F.col(f).alias(f"new_{f}") for f in _FIELDS]), "party_id", "left")
         new_state = written(merged.select("party_id", *[F.coalesce(f"new_{f}", f).alias(f) for f in _FIELDS]), "state")
         k = min(cfg.active, total)
@@ -113,9 +118,30 @@ def run_rounds(examples: DataFrame, loss, method: Method, cfg: Rounds, g0: np.nd
         steps = k * cfg.steps
         log.append((t, k, steps, steps * (cfg.batch or 0), 2 * k * loss.size * (2 if method.kind == "control" else 1), change[0], change[1], cfg.advised))
         state = new_state
+    if method.score == "adapted":
+        a = cfg.eta if method.extra["alpha"] is None else method.extra["alpha"]
+        state = written(adapted(examples, state, loss, g, a), "adapted")
     return RunResult(state, g, log)
 
 
+def adapted(examples: DataFrame, state: DataFrame, loss, g: np.ndarray, a: float) -> DataFrame:
+    """State with theta: one personal step from the global model over all of a party's training rows, added up in parts."""
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            out = []
+            for party, rows in frame.groupby("party_id"):
+                x, y = np.stack(rows["x"].to_numpy())[None], np.stack(rows["y"].to_numpy())[None]
+                out.append({"party_id": party, "grad": len(rows) * loss.grad(g[None], x, y)[0], "rows": len(rows)})
+            yield pd.DataFrame(out, columns=["party_id", "grad", "rows"])
+
+    parts = examples.select("party_id", "x", "y").mapInPandas(part, "party_id long, grad array<double>, rows long")
+    sums = parts.select("party_id", "rows", F.posexplode("grad").alias("at", "v")).groupBy("party_id", "at").agg(F.sum("v").alias("v"), F.sum("rows").alias("rows"))
+    mean = sums.groupBy("party_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("at", (F.col("v") / F.col("rows")).alias("m")))), lambda e: e["m"]).alias("m"))
+    centre = F.array(*[F.lit(float(b)) for b in g])
+    return state.join(mean, "party_id", "left").select("party_id", "w", "c", F.coalesce(F.zip_with(centre, "m", lambda b, d: b - a * d), "w").alias("theta"), "v", "alpha")
+
+
 def change_at_aggregation(solved: DataFrame, g: np.ndarray, lam: float) -> tuple[float, float]:
     """Mean and deviation, over parties and coordinates, of what the start of the next round adds to a party's model."""
     centre = F.array(*[F.lit(float(a)) for a in g]) if len(g) <= 256 else None
@@ -131,7 +157,8 @@ def scores(rows: DataFrame, result: RunResult, loss, method: Method, cfg: Rounds
 
     def judge(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         x, y = np.stack(left["x"].to_numpy())[None], np.stack(left["y"].to_numpy())[None]
-        own = judged(loss, method, cfg, _state_of(right.iloc[0]), g, lambda w: loss.grad(w, x, y))
+        state = _state_of(right.iloc[0])
+        own = state["theta"] if method.score == "adapted" else judged(loss, method, cfg, state, g)
         if loss.task == "classification":
             s = (loss.predict(own, x)[0] == y[0]).mean()
         elif loss.task == "regression":
