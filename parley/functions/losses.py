@@ -75,7 +75,7 @@ class Softmax:
         return self._z(w, x).argmax(-1)
 
     def lipschitz(self, x):
-        return 0.5 * float(max(np.linalg.eigvalsh(a.T @ a / len(a))[-1] for a in _ones(x)))
+        return 0.5 * float(max(np.linalg.eigvalsh(a.T @ a / len(a))[-1] for a in map(_ones, x)))
 
 
 @dataclass(frozen=True)
@@ -99,7 +99,7 @@ class Logistic:
         return (np.einsum("pbf,pf->pb", _ones(x), w) > 0).astype(int)
 
     def lipschitz(self, x):
-        return 0.25 * float(max(np.linalg.eigvalsh(a.T @ a / len(a))[-1] for a in _ones(x)))
+        return 0.25 * float(max(np.linalg.eigvalsh(a.T @ a / len(a))[-1] for a in map(_ones, x)))
 
 
 @dataclass(frozen=True)
