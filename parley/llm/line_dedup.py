@@ -6,7 +6,7 @@ bins bring together lines of Jaccard 0.8 with odds of 99 % or more; whatever mee
 whole lines before it counts as a link. Of each component the first line, by doc_id and place, stays.
 
 Lines below MIN_CHARS normalised characters always stay: headings, list marks and one-word answers aren't copies.
-Defined results: null and empty texts have no line to remove; repeated rows and lines keep their first place; an empty
+Defined results: null and empty texts have no line to remove; rows without an id stay whole and make no line go; repeated rows and lines keep their first place; an empty
 table gives an empty result; other columns pass through ``dedup_documents`` untouched. Lines are named by their
 64-bit XXH64 (n distinct lines: n*n/2**65 expected false identities).
 """
@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.llm.common import stored
+from parley.llm.common import free_name, stored
 from parley.llm.components import components
 
 SHINGLE = 8
@@ -218,7 +218,7 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, line_no, lid, root, keep) for each comparable line; root names its component, keep marks the component's first line."""
-    docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    docs = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     rows = stored(line_rows(docs), "lines")
     distinct = rows.groupBy("lid").agg(F.first("bands").alias("bands"))
     keyed = distinct.select("lid", F.explode("bands").alias("key")).select("key", "lid").repartition("key").sortWithinPartitions("key", "lid")
@@ -241,11 +241,12 @@ def removals(decided: DataFrame) -> DataFrame:
 
 
 def dedup_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", drop_emptied: bool = True) -> DataFrame:
-    """df with repeated lines taken out of its texts; a document that loses all its words goes if drop_emptied. Ids must be unique."""
-    drop = removals(line_components(df, id_col, text_col)).withColumnRenamed("doc_id", "__doc").withColumnRenamed("drop", "__drop")
-    joined = df.join(drop, F.col(id_col).cast("long") == F.col("__doc"), "left")
-    left = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x, i: ~F.array_contains("__drop", i)), "\n")
-    cut = joined.withColumn(text_col, F.when(F.col("__drop").isNull(), F.col(text_col)).otherwise(left))
+    """df with repeated lines taken out of its texts; a document that loses all its words goes if drop_emptied."""
+    doc, gone = free_name(df, "line_doc"), free_name(df, "line_drop")
+    drop = removals(line_components(df, id_col, text_col)).select(F.col("doc_id").alias(doc), F.col("drop").alias(gone))
+    joined = df.join(drop, F.col(id_col).cast("long") == F.col(doc), "left")
+    left = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x, i: ~F.array_contains(gone, i)), "\n")
+    cut = joined.withColumn(text_col, F.when(F.col(gone).isNull(), F.col(text_col)).otherwise(left))
     if drop_emptied:
-        cut = cut.where(F.col("__drop").isNull() | F.col(text_col).rlike(r"[^\x20\x09-\x0D]"))
-    return cut.drop("__doc", "__drop")
+        cut = cut.where(F.col(gone).isNull() | F.col(text_col).rlike(r"[^\x20\x09-\x0D]"))
+    return cut.drop(doc, gone)

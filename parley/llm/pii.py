@@ -25,6 +25,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from parley.llm.common import free_name
+
 KEY = "parley-pseudonyms-1"
 ROUNDS = 8
 WALK = 64
@@ -168,11 +170,10 @@ def pseudonym(v: Column, key: str = KEY) -> Column:
 
 
 def pseudonymise(df: DataFrame, text_col: str = "text", key: str = KEY) -> DataFrame:
-    """df with its texts rewritten, and n_replaced (long)."""
-    text = F.col(text_col)
-    found = F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0)))
-    step = df.withColumn("__found", found)
-    step = step.withColumn("__new", F.when(F.size("__found") > 0, F.transform("__found", lambda v: pseudonym(v, key))))
+    """df with its texts rewritten, and n_replaced (long; it takes the place of a column of that name)."""
+    text, seen, fresh = F.col(text_col), free_name(df, "pii_found"), free_name(df, "pii_new")
+    step = df.withColumn(seen, F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0))))
+    step = step.withColumn(fresh, F.when(F.size(seen) > 0, F.transform(seen, lambda v: pseudonym(v, key))))
     pieces = F.split(text, ANY)
-    joined = F.array_join(F.zip_with(pieces, F.zip_with("__found", "__new", lambda v, n: F.coalesce(n, v)), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
-    return step.withColumns({text_col: F.when(F.size("__found") > 0, joined).otherwise(text), "n_replaced": F.coalesce(F.size(F.filter("__new", lambda n: n.isNotNull())), F.lit(0)).cast("long")}).drop("__found", "__new")
+    joined = F.array_join(F.zip_with(pieces, F.zip_with(seen, fresh, lambda v, n: F.coalesce(n, v)), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
+    return step.withColumns({text_col: F.when(F.size(seen) > 0, joined).otherwise(text), "n_replaced": F.coalesce(F.size(F.filter(fresh, lambda n: n.isNotNull())), F.lit(0)).cast("long")}).drop(seen, fresh)

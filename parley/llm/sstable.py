@@ -9,14 +9,15 @@ full key at each restart; then the restart offsets and their number (uint32 each
 by its crc32. The sparse index has, for each block: last key (varint length, bytes), offset and length (varints),
 documents and ids before it (varints). The footer (fixed width) says where index and filter are, how many documents and
 ids there are, how wide an id is, the crc32 of index and filter, and ends in the magic bytes.
-A key is the id as a big-endian unsigned 64-bit number with its sign bit turned, so that bytes sort as ids do.
+A key is the id as a big-endian unsigned 64-bit number with its sign bit turned, so that bytes sort as ids do; a null id's
+key is empty and sorts first.
 
 Writing: documents are dealt by id ranges, each task writes one shard to a name of its own attempt in the shared folder
 and then renames it, so that a task that runs again replaces its file by an equal one. Only the manifest (one row for
 each shard) is gathered. Reading opens each shard in a task of its own and streams its blocks.
 
 Defined results: null and empty texts hold just the end id; repeated ids lie side by side, in the order of their texts;
-a null id is refused (it has no place in the order); an empty table gives no shards; other columns are ignored.
+null ids come first; an empty table gives no shards; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -48,11 +49,13 @@ END_ID = 2
 MANIFEST = "shard int, file string, n_docs long, n_tokens long"
 
 
-def key_of(doc_id: int) -> bytes:
-    return struct.pack(">Q", (doc_id & 0xFFFFFFFFFFFFFFFF) ^ (1 << 63))
+def key_of(doc_id: int | None) -> bytes:
+    return b"" if doc_id is None else struct.pack(">Q", (doc_id & 0xFFFFFFFFFFFFFFFF) ^ (1 << 63))
 
 
-def id_of(key: bytes) -> int:
+def id_of(key: bytes) -> int | None:
+    if not key:
+        return None
     x = struct.unpack(">Q", key)[0] ^ (1 << 63)
     return x - (1 << 64) if x >> 63 else x
 
@@ -99,7 +102,7 @@ class Writer:
         if self.held % RESTART == 0:
             self.restarts.append(len(self.block))
         else:
-            while shared < len(key) and key[shared] == self.last[shared]:
+            while shared < min(len(key), len(self.last)) and key[shared] == self.last[shared]:
                 shared += 1
         for x in (shared, len(key) - shared, len(ids)):
             put_varint(self.block, x)
@@ -189,13 +192,13 @@ class Reader:
             yield key, data[at : at + n]
             at += n
 
-    def scan(self) -> Iterator[tuple[int, np.ndarray]]:
+    def scan(self) -> Iterator[tuple[int | None, np.ndarray]]:
         """(doc_id, ids) in order."""
         for k in range(len(self.places)):
             for key, value in self._entries(self._block(k)[0], 0):
                 yield id_of(key), np.frombuffer(value, self.dtype)
 
-    def get(self, doc_id: int) -> list[np.ndarray]:
+    def get(self, doc_id: int | None) -> list[np.ndarray]:
         """The ids of every row with this id: filter, binary search of blocks, then of a block's restarts."""
         key = key_of(doc_id)
         if not all(self.bloom[p >> 3] >> (p & 7) & 1 for p in probes(key, self.bits)):
@@ -252,8 +255,6 @@ def write_shards(df: DataFrame, tokenizer: str, folder: str | None = None, id_co
     fs.create_dir(inner, recursive=True)
     n = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    if docs.where("doc_id IS NULL").limit(1).count():
-        raise ValueError(f"{id_col} holds nulls")
     dealt = docs.repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
     manifest = dealt.mapInArrow(_write_shard(folder, tokenizer, end_id), MANIFEST).collect()
     return folder, sorted(manifest, key=lambda r: r.shard)
