@@ -132,7 +132,7 @@ def heterogeneity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return h.select("party_id", F.round("tv", 6).alias("tv"), F.round("kl", 6).alias("kl"))
 
 
-@register("SELECT eta, sigma, round(1 / (1 + eta * sigma), 6) AS kappa, 1 / (1 + eta * sigma) BETWEEN 0.9 AND 0.999 AS advised FROM (VALUES (0.02, 15.0), (0.0001, 1.0), (0.01, 0.01), (0.03, 0.01), (0.003, 0.01), (0.3, 0.01), (0.01, 5.0)) v(eta, sigma)")
+@register("SELECT eta::DOUBLE AS eta, sigma::DOUBLE AS sigma, round(1 / (1 + eta * sigma), 6)::DOUBLE AS kappa, 1 / (1 + eta * sigma) BETWEEN 0.9 AND 0.999 AS advised FROM (VALUES (0.02, 15.0), (0.0001, 1.0), (0.01, 0.01), (0.03, 0.01), (0.003, 0.01), (0.3, 0.01), (0.01, 5.0)) v(eta, sigma)")
 def kappa_settings(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = [(e, s, round(M.Rounds(e, s).kappa, 6), M.Rounds(e, s).advised) for e, s in ((0.02, 15.0), (0.0001, 1.0), (0.01, 0.01), (0.03, 0.01), (0.003, 0.01), (0.3, 0.01), (0.01, 5.0))]
     return spark.createDataFrame(rows, "eta double, sigma double, kappa double, advised boolean")
