@@ -290,26 +290,26 @@ def logistic(x: np.ndarray, toxic: np.ndarray, weight: np.ndarray) -> np.ndarray
     return b
 
 
-def sample(df: DataFrame, id_col: str, text_col: str, label_col: str, per_class: int) -> tuple[list[tuple[str, int]], float]:
-    """At most per_class labelled rows of each class, by a hash of the id; the share of toxic labels among all."""
-    labelled = df.where(F.col(label_col).isin(0, 1))
+def sample(labels: DataFrame, id_col: str, label_col: str, per_class: int) -> tuple[list[tuple[int, int]], float]:
+    """(id, label) of at most per_class labelled rows of each class, by a hash of the id; the share of toxic labels among all."""
+    labelled = labels.where(F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull())
     counts = {r[0]: r["count"] for r in labelled.groupBy(label_col).count().collect()}
-    scale, mark = 1 << 30, F.xxhash64(F.lit("toxicity"), F.col(id_col))
-    share = F.lit(0)
-    for y, n in counts.items():
-        share = F.when(F.col(label_col) == y, F.lit(min(scale, int(1.2 * per_class * scale / n) + 1))).otherwise(share)
-    rows = labelled.where(F.pmod(mark, F.lit(scale)) < share).select(text_col, label_col, mark.alias("mark")).collect()
-    out: dict[int, list[tuple[str, int]]] = {0: [], 1: []}
-    for r in sorted(rows, key=lambda r: r.mark):
-        if len(out[r[1]]) < per_class:
-            out[r[1]].append((r[0] or "", r[1]))
-    return out[0] + out[1], counts.get(1, 0) / max(1, sum(counts.values()))
+    scale, mark, chosen = 1 << 30, F.xxhash64(F.lit("toxicity"), F.col(id_col)), []
+    for y, n in sorted(counts.items()):
+        share = min(scale, int(1.2 * per_class * scale / n) + 1)
+        rows = labelled.where((F.col(label_col) == y) & (F.pmod(mark, F.lit(scale)) < share)).orderBy(mark, id_col).limit(per_class)
+        chosen += [(r[0], y) for r in rows.select(F.col(id_col).cast("long")).collect()]
+    return chosen, counts.get(1, 0) / max(1, sum(counts.values()))
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: int = PER_CLASS) -> Model:
-    """labels: one row for each labelled id. Only the ids of labelled rows are read before the sample's texts."""
-    chosen = labels.where(F.col(label_col).isin(0, 1)).select(id_col, label_col)
-    return fit(*sample(docs.select(id_col, text_col).join(chosen, id_col), id_col, text_col, label_col, per_class))
+    """labels: one row for each labelled id. The chosen ids (at most 2 x per_class) go to the documents, whose texts stay where they are."""
+    chosen, share = sample(labels, id_col, label_col, per_class)
+    if not chosen:
+        return Model(share)
+    ids = docs.sparkSession.createDataFrame(chosen, "chosen_id long, chosen_label int")
+    rows = docs.join(F.broadcast(ids), F.col(id_col).cast("long") == F.col("chosen_id")).select("chosen_id", text_col, "chosen_label").collect()
+    return fit([(r[1] or "", r[2]) for r in sorted(rows, key=lambda r: (r[2], r[0], r[1] or ""))], share)
 
 
 def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
