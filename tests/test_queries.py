@@ -6,9 +6,9 @@ from decimal import Decimal
 import pytest
 from conftest import SF
 
-from parley.queries import loops, measures, relational, vectors
+from parley.queries import loops, measures, relational, variants, vectors
 
-SUBJECTS = [vectors.register, loops.register, measures.register, relational.register]
+SUBJECTS = [vectors.register, loops.register, measures.register, relational.register, variants.register]
 WITH_SQL = {k: (r.queries[k], s) for r in SUBJECTS for k, s in r.sql.items()}
 #: Short ones among those without SQL; the longer runs are in the bench and in test_methods.
 WITHOUT = ["quadratic_rounds_comed", "training_failure", "straggler_levels", "party_ablation"]
