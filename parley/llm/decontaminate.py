@@ -30,6 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from parley.llm.common import tidy
+
 SEGMENT, PASSAGE, STRIDE = 32, 64, 32
 MIN_WORDS = 8
 SHINGLE = 5
@@ -224,7 +226,7 @@ def contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
                 a, b, s, q, r = zip(*rows, strict=True) if rows else ([],) * 5
                 yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), *(pa.array(x, pa.float64()) for x in (s, q, r))], ["doc_id", "item_id", "score", "question_overlap", "answer_overlap"])
 
-        parts.append(texts.mapInArrow(judge, RESULT))
+        parts.append(texts.mapInArrow(tidy(judge), RESULT))
     out = parts[0] if parts else spark.createDataFrame([], RESULT)
     for p in parts[1:]:
         out = out.unionByName(p)
@@ -242,5 +244,5 @@ def clean(docs: DataFrame, items: DataFrame, text_col: str = "text") -> DataFram
             for batch in batches:
                 yield batch.filter(pa.array([not index.judge(t) for t in batch.column(at).to_pylist()], pa.bool_()))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = docs.mapInArrow(tidy(keep), docs.schema)
     return docs

@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from parley.llm.common import tidy
+
 DIMS = 4096
 #: The bound on labelled rows that a language's training takes.
 PER_LANGUAGE = 800
@@ -191,7 +193,7 @@ def predict(df: DataFrame, model: Model | None, id_col: str = "doc_id", text_col
             lang, score, no = zip(*got, strict=True) if got else ([], [], [])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(no, pa.bool_())], ["doc_id", "lang_pred", "score", "rejected"])
 
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, PREDICTION)
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), PREDICTION)
 
 
 def recognised(df: DataFrame, model: Model | None, text_col: str = "text") -> DataFrame:
@@ -204,4 +206,4 @@ def recognised(df: DataFrame, model: Model | None, text_col: str = "text") -> Da
             texts = batch.column(at).to_pylist()
             yield batch.filter(pa.array([not no for _, _, no in shared.value.predict(texts)] if shared.value else [False] * len(texts), pa.bool_()))
 
-    return df.mapInArrow(run, df.schema)
+    return df.mapInArrow(tidy(run), df.schema)

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.llm.common import free_name, stored
+from parley.llm.common import free_name, stored, tidy
 from parley.llm.components import components
 
 SHINGLE = 8
@@ -114,7 +114,7 @@ def _line_batch(rows: list[tuple[int, int, str]]) -> pa.RecordBatch:
 
 def line_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each line long enough to compare: (doc_id, line_no, lid, bands)."""
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_line_rows, LINES)
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(_line_rows), LINES)
 
 
 def _meetings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -222,13 +222,13 @@ def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     rows = stored(line_rows(docs), "lines")
     distinct = rows.groupBy("lid").agg(F.first("bands").alias("bands"))
     keyed = distinct.select("lid", F.explode("bands").alias("key")).select("key", "lid").repartition("key").sortWithinPartitions("key", "lid")
-    met = stored(keyed.mapInArrow(_meetings, "bucket long, i int, j int, lid long").dropDuplicates(), "met")
+    met = stored(keyed.mapInArrow(tidy(_meetings), "bucket long, i int, j int, lid long").dropDuplicates(), "met")
     # the text of a candidate comes from the first document that has it, so that only candidates' lines move
     wanted = rows.join(met.select("lid").distinct(), "lid", "left_semi").groupBy("lid").agg(F.min(F.struct("doc_id", "line_no")).alias("at"))
     by_doc = wanted.groupBy(F.col("at.doc_id").alias("doc_id")).agg(F.collect_list(F.struct(F.col("at.line_no").alias("line_no"), "lid")).alias("wanted"))
-    texts = docs.join(by_doc, "doc_id").select("text", "wanted").mapInArrow(_texts, "lid long, line string").dropDuplicates(["lid"])
+    texts = docs.join(by_doc, "doc_id").select("text", "wanted").mapInArrow(tidy(_texts), "lid long, line string").dropDuplicates(["lid"])
     groups = met.join(texts, "lid").select("bucket", "i", "j", "lid", "line").repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
-    moved = components(groups.mapInArrow(_links, "a long, b long"))
+    moved = components(groups.mapInArrow(tidy(_links), "a long, b long"))
     named = rows.select("doc_id", "line_no", "lid").join(moved.withColumnRenamed("node", "lid"), "lid", "left").withColumn("root", F.coalesce("root", "lid"))
     named = stored(named, "named")
     first = named.groupBy("root").agg(F.min(F.struct("doc_id", "line_no")).alias("at")).select("root", "at.doc_id", "at.line_no", F.lit(True).alias("keep"))

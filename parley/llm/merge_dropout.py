@@ -28,6 +28,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from parley.llm.common import tidy
+
 MARK = "▁"
 VARIANTS = 4
 RATE = 0.1
@@ -238,8 +240,7 @@ class Codec:
     def encode_all(self, texts: list[str | None], doc_ids: list[int | None]) -> list[np.ndarray]:
         made = self.made
         if sum(map(len, made)) > MEMORY:
-            for m in made:
-                m.clear()
+            self.forget()
         split = [self._split(t, d) for t, d in zip(texts, doc_ids, strict=True)]
         new = list({(w, v) for words, variants in split for w, v in zip(words, variants, strict=True) if w not in made[v]})
         short = sorted((x for x in new if x[0] is not None and len(x[0]) <= LONGEST), key=lambda x: len(x[0]))
@@ -257,6 +258,10 @@ class Codec:
             return [np.frombuffer(b"".join([made[v][w] if w in made[v] else long[w, v] for w, v in zip(words, variants, strict=True)]), "<i4") for words, variants in split]
         return [np.frombuffer(b"".join([made[v][w] for w, v in zip(words, variants, strict=True)]), "<i4") for words, variants in split]
 
+    def forget(self) -> None:
+        for m in self.made:
+            m.clear()
+
     def encode(self, text: str | None, doc_id: int | None = 0) -> list[int]:
         return self.encode_all([text], [doc_id])[0].tolist()
 
@@ -282,7 +287,7 @@ def _runner(path: str, rate: float, seed: int, digest: bool):
                     lists = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *size]), pa.int32()), pa.array(np.concatenate([np.empty(0, "<i4"), *ids]), pa.int32()))
                     yield pa.RecordBatch.from_arrays([key, lists, same], ["doc_id", "ids", "lossless"])
 
-    return run
+    return tidy(run, lambda: codec(path, rate, seed).forget())
 
 
 def _two(df: DataFrame, id_col: str, text_col: str) -> DataFrame:

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.llm.common import stored
+from parley.llm.common import stored, tidy
 from parley.llm.components import components, forest
 
 RADIUS = 4
@@ -78,7 +78,7 @@ def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fp): fp holds the unsigned fingerprint's 64 bits as a long."""
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_fingerprints, "doc_id long, fp long")
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(_fingerprints), "doc_id long, fp long")
 
 
 def planes_of(fp: np.ndarray) -> np.ndarray:
@@ -250,7 +250,7 @@ def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
     """distinct: one long column fp. Links (a, b) that connect all fingerprints within the radius of each other."""
     spread = F.explode(F.array(*[F.struct(F.lit(t).alias("bucket"), F.col("fp").bitwiseAND(F.lit(signed(m))).alias("k")) for t, m in enumerate(masks(radius))])).alias("e")
     dealt = distinct.select("fp", spread).select("e.bucket", "e.k", "fp").repartition("bucket", "k").sortWithinPartitions("bucket", "k", "fp")
-    first = stored(dealt.mapInArrow(_bucket_links, "a long, b long, chunk int, bucket int"), "links")
+    first = stored(dealt.mapInArrow(tidy(_bucket_links), "a long, b long, chunk int, bucket int"), "links")
     plain = first.where("chunk IS NULL").select("a", "b")
     large = first.where("chunk IS NOT NULL")
     last = large.groupBy("bucket", "b").agg(F.max("chunk").alias("top"))
