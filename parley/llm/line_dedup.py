@@ -5,7 +5,9 @@ dealt over 60 bins, whose minima form the signature (empty bins borrow from the
 bins bring together lines of Jaccard 0.8 with odds of 99 % or more; whatever meets in a band is compared exactly on
 whole lines before it counts as a link. Of each component the first line, by doc_id and place, stays.
 
-Lines below MIN_CHARS normalised characters always stay: headings, list marks and one-word answers aren't copies.
+Lines from SHINGLE normalised characters on are compared by shingles, shorter ones by their whole text; blank lines are
+none. ``line_components`` groups them all; ``dedup_documents`` leaves lines below its bound (MIN_CHARS unless told
+otherwise) in their texts: headings, list marks and one-word answers aren't copies there.
 Defined results: null and empty texts have no line to remove; rows without an id stay whole and make no line go; repeated rows and lines keep their first place; an empty
 table gives an empty result; other columns pass through ``dedup_documents`` untouched. Lines are named by their
 64-bit XXH64 (n distinct lines: n*n/2**65 expected false identities).
@@ -13,7 +15,7 @@ table gives an empty result; other columns pass through ``dedup_documents`` unto
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -46,7 +48,7 @@ def line_id(line: str) -> int:
 
 
 def shingle_hashes(lines: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """64-bit hashes of every 8-character shingle of the lines, and where each line's begin. Lines have MIN_CHARS or more."""
+    """64-bit hashes of every 8-character shingle of the lines, and where each line's begin. Lines have SHINGLE or more."""
     code = np.frombuffer("".join(lines).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
     with np.errstate(over="ignore"):
         h = code * _A
@@ -88,33 +90,38 @@ def signatures(lines: list[str]) -> np.ndarray:
     return out
 
 
-def _line_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-        rows, chars = [], 0
-        for doc, text in zip(ids, texts, strict=True):
-            for at, raw in enumerate((text or "").split("\n")):
-                if len(raw) >= MIN_CHARS and len(line := normal(raw)) >= MIN_CHARS:
-                    rows.append((doc, at, line))
-                    chars += len(line)
-                if chars > 100_000:  # keeps the arrays within the processor's caches
-                    yield _line_batch(rows)
-                    rows, chars = [], 0
-        if rows:
-            yield _line_batch(rows)
+def _line_rows(least: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            rows, chars = [], 0
+            for doc, text in zip(ids, texts, strict=True):
+                for at, raw in enumerate((text or "").split("\n")):
+                    # lower case can be longer than what it is made from
+                    if raw and len(line := normal(raw)) >= least:
+                        rows.append((doc, at, line))
+                        chars += len(line)
+                    if chars > 100_000:  # keeps the arrays within the processor's caches
+                        yield _line_batch(rows)
+                        rows, chars = [], 0
+            if rows:
+                yield _line_batch(rows)
+
+    return run
 
 
 def _line_batch(rows: list[tuple[int, int, str]]) -> pa.RecordBatch:
     docs, places, lines = zip(*rows, strict=True)
-    bands = signatures(list(lines)).view(np.int64)
+    shingled = np.fromiter((len(x) >= SHINGLE for x in lines), bool, len(lines))  # the others have no bands: their id is all they share
+    bands = signatures([x for x in lines if len(x) >= SHINGLE]).view(np.int64) if shingled.any() else np.empty((0, BANDS), np.int64)
     lid = np.fromiter(map(line_id, lines), np.int64, len(lines))
-    nested = pa.ListArray.from_arrays(np.arange(0, bands.size + 1, BANDS, dtype=np.int32), bands.ravel())
+    nested = pa.ListArray.from_arrays(np.append(0, np.cumsum(shingled * BANDS)).astype(np.int32), bands.ravel())
     return pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(places, pa.int32()), pa.array(lid), nested], ["doc_id", "line_no", "lid", "bands"])
 
 
-def line_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each line long enough to compare: (doc_id, line_no, lid, bands)."""
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(_line_rows), LINES)
+def line_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: int = 1) -> DataFrame:
+    """One row for each line of at least so many normalised characters: (doc_id, line_no, lid, bands)."""
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(_line_rows(least)), LINES)
 
 
 def _meetings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -216,10 +223,13 @@ def _texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(lids, pa.int64()), pa.array(lines, pa.string())], ["lid", "line"])
 
 
-def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, line_no, lid, root, keep) for each comparable line; root names its component, keep marks the component's first line."""
+def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", least: int = 1) -> DataFrame:
+    """(doc_id, line_no, lid, root, first_doc, first_line, keep) for each line of at least so many normalised characters.
+
+    root names its component within a run, (first_doc, first_line) is the component's first line, which keep marks.
+    """
     docs = df.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    rows = stored(line_rows(docs), "lines")
+    rows = stored(line_rows(docs, least=least), "lines")
     distinct = rows.groupBy("lid").agg(F.first("bands").alias("bands"))
     keyed = distinct.select("lid", F.explode("bands").alias("key")).select("key", "lid").repartition("key").sortWithinPartitions("key", "lid")
     met = stored(keyed.mapInArrow(tidy(_meetings), "bucket long, i int, j int, lid long").dropDuplicates(), "met")
@@ -231,8 +241,10 @@ def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     moved = components(groups.mapInArrow(tidy(_links), "a long, b long"))
     named = rows.select("doc_id", "line_no", "lid").join(moved.withColumnRenamed("node", "lid"), "lid", "left").withColumn("root", F.coalesce("root", "lid"))
     named = stored(named, "named")
-    first = named.groupBy("root").agg(F.min(F.struct("doc_id", "line_no")).alias("at")).select("root", "at.doc_id", "at.line_no", F.lit(True).alias("keep"))
-    return named.join(first, ["root", "doc_id", "line_no"], "left").select("doc_id", "line_no", "lid", "root", F.coalesce("keep", F.lit(False)).alias("keep"))
+    # only components of several lines are joined; stored, so that a join can split the rows of a common line
+    first = stored(named.groupBy("root").agg(F.min(F.struct("doc_id", "line_no")).alias("at"), F.count("*").alias("n")).where("n > 1").select("root", F.col("at.doc_id").alias("first_doc"), F.col("at.line_no").alias("first_line")), "first")
+    at = named.join(first, "root", "left").select("doc_id", "line_no", "lid", "root", F.coalesce("first_doc", "doc_id").alias("first_doc"), F.coalesce("first_line", "line_no").alias("first_line"))
+    return at.withColumn("keep", (F.col("doc_id") == F.col("first_doc")) & (F.col("line_no") == F.col("first_line")))
 
 
 def removals(decided: DataFrame) -> DataFrame:
@@ -240,10 +252,10 @@ def removals(decided: DataFrame) -> DataFrame:
     return decided.where("NOT keep").groupBy("doc_id").agg(F.sort_array(F.collect_set("line_no")).alias("drop"))
 
 
-def dedup_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", drop_emptied: bool = True) -> DataFrame:
-    """df with repeated lines taken out of its texts; a document that loses all its words goes if drop_emptied."""
+def dedup_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", drop_emptied: bool = True, least: int = MIN_CHARS) -> DataFrame:
+    """df with repeated lines of at least so many normalised characters taken out of its texts; a document that loses all its words goes if drop_emptied."""
     doc, gone = free_name(df, "line_doc"), free_name(df, "line_drop")
-    drop = removals(line_components(df, id_col, text_col)).select(F.col("doc_id").alias(doc), F.col("drop").alias(gone))
+    drop = removals(line_components(df, id_col, text_col, least)).select(F.col("doc_id").alias(doc), F.col("drop").alias(gone))
     joined = df.join(drop, F.col(id_col).cast("long") == F.col(doc), "left")
     left = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x, i: ~F.array_contains(gone, i)), "\n")
     cut = joined.withColumn(text_col, F.when(F.col(gone).isNull(), F.col(text_col)).otherwise(left))

@@ -20,17 +20,17 @@ def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row for each document: its comparable lines, those that go, and the components its lines are in."""
+    """One row for each document: its lines, those that go, and each line's component, named by the component's first line."""
     docs = load(spark, sf_dir, "documents")
     decided = line_dedup.line_components(docs)
     own = decided.groupBy("doc_id").agg(
         F.count("*").alias("n_compared"),
         F.sum(F.when(F.col("keep"), 0).otherwise(1)).alias("n_removed"),
         F.sort_array(F.collect_list(F.when(~F.col("keep"), F.col("line_no")))).alias("removed"),
-        F.bit_xor("root").alias("component_mark"),
+        F.sort_array(F.collect_list(F.struct("line_no", "first_doc", "first_line"))).alias("components"),
     )
     zero = F.lit(0).cast("long")
-    return docs.select("doc_id").join(own, "doc_id", "left").select("doc_id", F.coalesce("n_compared", zero).alias("n_compared"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed"), F.coalesce("component_mark", zero).alias("component_mark"))
+    return docs.select("doc_id").join(own, "doc_id", "left").select("doc_id", F.coalesce("n_compared", zero).alias("n_compared"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed"), F.coalesce("components", F.array().cast("array<struct<line_no:int,first_doc:bigint,first_line:int>>")).alias("components"))
 
 
 def op6_token_shards(spark: SparkSession, sf_dir: str, tokenizer: str | None = None) -> DataFrame:

@@ -152,6 +152,17 @@ def test_line_dedup_hard_rows(spark, hard, empty):
     assert {r.doc_id: r.text for r in line_dedup.dedup_documents(two).collect()}[2] == "short\nnew words that nobody else has written yet"
 
 
+def test_short_lines_are_grouped_and_components_named(spark, monkeypatch):
+    texts = ["Yes.\nan answer\n\n}", "yes.\n  yes.\nAn  answer\nonly here", "}\nan answers", None]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    monkeypatch.setattr(queries, "load", lambda *_: df)
+    rows = {r.doc_id: r for r in queries.op10_fuzzy_lines(spark, "").collect()}
+    assert [(rows[k].n_compared, rows[k].removed) for k in range(4)] == [(3, []), (4, [0, 1, 2]), (2, [0]), (0, [])]
+    names = {k: [tuple(c) for c in r.components] for k, r in rows.items()}
+    assert names == {0: [(0, 0, 0), (1, 0, 1), (3, 0, 3)], 1: [(0, 0, 0), (1, 0, 0), (2, 0, 1), (3, 1, 3)], 2: [(0, 0, 3), (1, 2, 1)], 3: []}
+    assert line_dedup.dedup_documents(df, least=1).where("doc_id = 1").first().text == "only here"
+
+
 def test_language_on_held_out_rows(spark, docs):
     rows = {r.doc_id: r for r in queries.op4_language(spark, "/root/testdata/sf0.01").collect()}
     truth = {r.doc_id: r.lang for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()}
