@@ -172,7 +172,8 @@ class Model:
                 for k in range(number.shape[1]):
                     most += np.float32(weight[k]) * self.bound[self.marks.row[number[:, k]]]
                 best = most.max(axis=1)
-                some = np.nonzero(best >= CUT * DECAY**ORDER)[0]  # a word's own norm is at least that of one subsequence
+                least = np.sqrt((number > 0) @ weight**2)  # of a word's own norm, to which equal subsequences only add; marks make it small
+                some = np.nonzero((best > 0) & (best >= CUT * least - 1e-6))[0]
                 some = some[best[some] >= CUT * np.sqrt(self_kernel(number[some], weight)) - 1e-6]
                 if len(some):
                     out[at[some]] += self.marks.kernel(c[some], number[some], weight) @ self.alpha

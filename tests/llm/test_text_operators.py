@@ -346,6 +346,16 @@ def test_subsequence_kernel_against_enumeration():
         assert (toxicity.self_kernel(number, weight)[0] if number.shape[1] else 0) == pytest.approx(want)
 
 
+def test_toxicity_bound_spares_no_window_that_the_kernel_reaches():
+    for word in ("scum", "grub", "idiot", "trash"):
+        marks = toxicity.Landmarks([f"\2{word}\3"])
+        model = toxicity.Model(0.5, marks, np.ones(1), -1.0, marks.bounds(np.zeros(1, int)))
+        for sign in ("-", "--"):
+            own = toxicity.windows(sign.join(word))
+            assert model.margins(own) == pytest.approx(marks.kernel_of(own) @ model.alpha - 1.0), own
+    assert model.margins(toxicity.windows("t--r--a--s--h")).max() > -1.0
+
+
 def test_toxicity_on_held_out_rows(spark):
     rows = {r.doc_id: r for r in queries.op9_toxicity(spark, "/root/testdata/sf0.1").collect()}
     labels = {r.doc_id: r.toxic for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
