@@ -2,9 +2,9 @@
 
 Encoding is the usual agenda: adjacent symbols that form a piece wait in a queue by score (ties: leftmost first). When a
 candidate's turn comes it is skipped for good if a keyed hash of it falls below the dropout rate, which leaves a coarser
-or finer segmentation into pieces that merges can reach. The key is (seed, variant, word, place in the word), and a
-word's variant comes from a hash of (seed, document, number of the word): the same word gets up to VARIANTS
-segmentations, equal on every run and machine, and each worker remembers those it has made. Rate 0 is plain BPE.
+or finer segmentation into pieces that merges can reach. The key is (seed, document, number of the word, number of the
+turn), so every occurrence of a word draws its own skips, equal on every run and machine. What a word becomes depends on
+the turns skipped alone: each worker remembers that as a tree of skips, a node for each set met. Rate 0 is plain BPE.
 
 No piece holds anything before a blank mark, so words (blank marks and what follows) are encoded apart; characters
 outside the vocabulary become byte pieces, and so does a blank mark that the text itself holds, which keeps decoding
@@ -19,7 +19,7 @@ from __future__ import annotations
 import heapq
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -31,7 +31,6 @@ from pyspark.sql import functions as F
 from parley.llm.common import tidy
 
 MARK = "▁"
-VARIANTS = 4
 RATE = 0.1
 SEED = 20
 #: Segmentations that one worker remembers before it starts anew.
@@ -102,7 +101,7 @@ class Codec:
         for b, i in enumerate(self.byte):
             self.raw[i] = bytes([b])
         self.limit, self.seed = int(rate * (1 << 64)), seed & _ALL
-        self.made: list[dict[str | None, bytes]] = [{} for _ in range(VARIANTS)]
+        self.forget()
         self.mark_bytes = np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes()
         self.pairs = Pairs(self.piece)
         single = {ord(p): i for p, (_, i) in self.piece.items() if len(p) == 1}
@@ -111,12 +110,12 @@ class Codec:
         if any(MARK in p.lstrip(MARK) for p in self.piece) or any("\n" in p for p in self.piece if p != "\n"):
             raise ValueError("this vocabulary merges over blanks")
 
-    def segment(self, word: str, variant: int = 0) -> tuple[int, ...]:
-        """Ids of one word."""
+    def segment(self, word: str, draw: int = 0) -> tuple[int, ...]:
+        """Ids of one word; draw: the key of its skips."""
         piece, n = self.piece, len(word)
         if not self.limit and word in piece and n == 1:
             return (piece[word][1],)
-        key = xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"), self.seed + variant & _ALL) if self.limit else 0
+        turn = 0
         sym: list[str | None] = list(word)
         before, after = list(range(-1, n - 1)), list(range(1, n + 1))
         queue = []
@@ -130,7 +129,8 @@ class Codec:
             if left is None or i + len(left) != mid or mid >= n or sym[mid] is None or mid + len(sym[mid]) != end:
                 continue  # one of them has changed meanwhile
             if self.limit:
-                h = (key ^ (i * 0x9E3779B97F4A7C15 + mid * 0xC2B2AE3D27D4EB4F + end * 0x165667B19E3779F9)) & _ALL
+                h = draw * 0x165667B19E3779F9 + turn * 0xC2B2AE3D27D4EB4F & _ALL
+                turn += 1
                 h = (h ^ h >> 31) * 0xD6E8FEB86659FD93 & _ALL
                 h = (h ^ h >> 29) * 0x9E3779B97F4A7C15 & _ALL
                 if h < self.limit:
@@ -155,8 +155,21 @@ class Codec:
                     out += [self.byte[b] for b in s.encode("utf-8", "surrogatepass")]
         return tuple(out)
 
-    def segment_all(self, words: list[str], variants: np.ndarray) -> list[bytes]:
-        """Ids of many words of at most LONGEST characters, as segment() gives them: one event of every word's agenda at a time."""
+    def skipped(self, draws: np.ndarray, turns: np.ndarray | int) -> np.ndarray:
+        """Which turns are skipped."""
+        with np.errstate(over="ignore"):
+            h = draws * _KEYS[2] + np.asarray(turns, np.uint64) * _KEYS[1]
+            h = (h ^ (h >> np.uint64(31))) * _KEYS[3]
+            h = (h ^ (h >> np.uint64(29))) * _KEYS[0]
+        return h < np.uint64(self.limit)
+
+    def segment_all(self, words: list[str], draws: np.ndarray) -> list[bytes]:
+        """Ids of many words of at most LONGEST characters, as segment() gives them."""
+        keys = draws.astype(np.uint64)
+        return self._agenda(words, lambda live, turn: self.skipped(keys[live], turn))[0]
+
+    def _agenda(self, words: list[str], skips: Callable[[np.ndarray, int], np.ndarray]) -> tuple[list[bytes], np.ndarray]:
+        """Ids of many words and the number of turns each took: one turn of every word's agenda at a time."""
         size = np.fromiter(map(len, words), np.int64, len(words))
         top, n = int(size.max()), len(words)
         code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
@@ -165,7 +178,7 @@ class Codec:
         sym[:, :top][inside] = self.of_char[code]
         start = np.minimum(np.arange(top + 2)[None, :], size[:, None]).astype(np.int32)
         rank, merged = self.pairs.find(sym[:, :-1], sym[:, 1:])
-        key = np.fromiter((xxhash.xxh64_intdigest(w.encode("utf-8", "surrogatepass"), self.seed + v & _ALL) for w, v in zip(words, variants.tolist(), strict=True)), np.uint64, n) if self.limit else np.zeros(n, np.uint64)
+        turn, turns = 0, np.zeros(n, np.int64)
         live, done_sym, done_start = np.arange(n), sym.copy(), start.copy()
         columns = np.arange(top + 2)[None, :]
         while len(live):
@@ -174,20 +187,13 @@ class Codec:
             active = rank[row, best] < np.inf
             if not active.all():
                 over = ~active
-                done_sym[live[over]], done_start[live[over]] = sym[over], start[over]
-                live, sym, start, rank, merged, key, best = (x[active] for x in (live, sym, start, rank, merged, key, best))
+                done_sym[live[over]], done_start[live[over]], turns[live[over]] = sym[over], start[over], turn
+                live, sym, start, rank, merged, best = (x[active] for x in (live, sym, start, rank, merged, best))
                 row = np.arange(len(live))
                 if not len(live):
                     break
-            if self.limit:
-                i, mid, end = (start[row, np.minimum(best + k, start.shape[1] - 1)].astype(np.uint64) for k in range(3))
-                with np.errstate(over="ignore"):
-                    h = key ^ (i * _KEYS[0] + mid * _KEYS[1] + end * _KEYS[2])
-                    h = (h ^ (h >> np.uint64(31))) * _KEYS[3]
-                    h = (h ^ (h >> np.uint64(29))) * _KEYS[0]
-                skip = h < np.uint64(self.limit)
-            else:
-                skip = np.zeros(len(live), bool)
+            skip = skips(live, turn) if self.limit else np.zeros(len(live), bool)
+            turn += 1
             rank[row[skip], best[skip]] = np.inf
             go, at = row[~skip], best[~skip]
             if len(go):
@@ -212,9 +218,9 @@ class Codec:
             parts: list[list[int]] = [[] for _ in range(n)]
             for r, i, at in zip(rows.tolist(), flat.tolist(), begins.tolist(), strict=True):
                 parts[r] += [i] if i >= 0 else [self.byte[b] for b in words[r][at].encode("utf-8", "surrogatepass")]
-            return [np.array(p, "<i4").tobytes() for p in parts]
+            return [np.array(p, "<i4").tobytes() for p in parts], turns
         raw, ends = flat.astype("<i4").tobytes(), (np.cumsum(count) * 4).tolist()
-        return [raw[a:b] for a, b in zip([0, *ends], ends, strict=False)]
+        return [raw[a:b] for a, b in zip([0, *ends], ends, strict=False)], turns
 
     def words(self, text: str) -> list[str]:
         """Words of a text without literal blank marks, before which a mark has been put."""
@@ -222,45 +228,93 @@ class Codec:
             return _WORD.findall(MARK + text.replace(" ", MARK))
         return [MARK + w for w in text.split(" ")]
 
-    def _split(self, text: str | None, doc_id: int | None) -> tuple[list[str | None], list[int]]:
-        """A text's words (None: a literal blank mark) and their variants."""
+    def _split(self, text: str | None, doc_id: int | None) -> tuple[list[str | None], np.ndarray]:
+        """A text's words (None: a literal blank mark) and the keys of their skips."""
         if not text:
-            return [], []
+            return [], np.zeros(0, np.uint64)
         parts = text.split(MARK)
         words: list[str | None] = list(self.words(parts[0]))
         for p in parts[1:]:
             words.append(None)
             words += _WORD.findall(p.replace(" ", MARK))
         if not self.limit:
-            return words, [0] * len(words)
+            return words, np.zeros(len(words), np.uint64)
         with np.errstate(over="ignore"):
             h = (np.arange(len(words), dtype=np.uint64) + np.uint64(xxhash.xxh64_intdigest(str(doc_id).encode(), self.seed))) * _KEYS[0]
-            return words, (((h ^ (h >> np.uint64(29))) * _KEYS[3] >> np.uint64(60)) % np.uint64(VARIANTS)).tolist()
+            return words, (h ^ (h >> np.uint64(29))) * _KEYS[3]
+
+    def _add(self, words: list[str], skips: list[tuple[int, ...]]) -> list[int]:
+        """New nodes: what words become if exactly these turns are skipped."""
+        out = [0] * len(words)
+        order = sorted(range(len(words)), key=lambda k: len(words[k]))
+        for at in range(0, len(order), 4096):
+            part = order[at : at + 4096]
+            own = np.zeros((len(part), max((skips[k][-1] + 1 for k in part if skips[k]), default=0)), bool)
+            for r, k in enumerate(part):
+                own[r, list(skips[k])] = True
+            ids, turns = self._agenda([words[k] for k in part], lambda live, turn, own=own: own[live, turn] if turn < own.shape[1] else np.zeros(len(live), bool))
+            for k, i, n in zip(part, ids, turns.tolist(), strict=True):
+                out[k] = self._node(words[k], skips[k], i, n)
+        return out
+
+    def _node(self, word: str | None, skips: tuple[int, ...], ids: bytes, turns: int) -> int:
+        n = len(self.ids)
+        if n == len(self.turns):
+            self.turns = np.append(self.turns, np.zeros(n, np.int32))
+        self.turns[n] = turns
+        self.ids.append(ids)
+        self.of.append((word, skips))
+        return n
 
     def encode_all(self, texts: list[str | None], doc_ids: list[int | None]) -> list[np.ndarray]:
-        made = self.made
-        if sum(map(len, made)) > MEMORY:
+        if len(self.ids) > MEMORY:
             self.forget()
         split = [self._split(t, d) for t, d in zip(texts, doc_ids, strict=True)]
-        new = list({(w, v) for words, variants in split for w, v in zip(words, variants, strict=True) if w not in made[v]})
-        short = sorted((x for x in new if x[0] is not None and len(x[0]) <= LONGEST), key=lambda x: len(x[0]))
-        for at in range(0, len(short), 4096):
-            part = short[at : at + 4096]
-            for (w, v), ids in zip(part, self.segment_all([w for w, _ in part], np.array([v for _, v in part])), strict=True):
-                made[v][w] = ids
-        long = {}
-        for w, v in new:
-            if w is None:
-                made[v][w] = self.mark_bytes
-            elif len(w) > LONGEST:
-                long[w, v] = np.array(self.segment(w, v), "<i4").tobytes()
-        if long:
-            return [np.frombuffer(b"".join([made[v][w] if w in made[v] else long[w, v] for w, v in zip(words, variants, strict=True)]), "<i4") for words, variants in split]
-        return [np.frombuffer(b"".join([made[v][w] for w, v in zip(words, variants, strict=True)]), "<i4") for words, variants in split]
+        flat = [w for words, _ in split for w in words]
+        keys = np.concatenate([np.zeros(0, np.uint64), *(k for _, k in split)])
+        new = [w for w in set(flat).difference(self.root) if w is not None and len(w) <= LONGEST]
+        self.root.update(zip(new, self._add(new, [()] * len(new)), strict=True))
+        if None not in self.root:
+            self.root[None] = self._node(None, (), self.mark_bytes, 0)
+        at = np.fromiter((self.root.get(w, -1) for w in flat), np.int64, len(flat))
+        if self.limit:
+            self._descend(at, keys)
+        parts = [self.ids[n] for n in at.tolist()]
+        for k in np.nonzero(at < 0)[0].tolist():
+            parts[k] = np.array(self.segment(flat[k], int(keys[k])), "<i4").tobytes()
+        out, begin = [], 0
+        for words, _ in split:
+            out.append(np.frombuffer(b"".join(parts[begin : begin + len(words)]), "<i4"))
+            begin += len(words)
+        return out
+
+    def _descend(self, at: np.ndarray, keys: np.ndarray) -> None:
+        """Moves each occurrence from its word's root to the node of the turns that it skips, a skip of all at a time."""
+        todo = np.nonzero(at >= 0)[0]
+        turn = np.zeros(len(todo), np.int64)
+        while len(todo):
+            end, looking, met = self.turns[at[todo]], np.arange(len(todo)), np.zeros(len(todo), bool)
+            while len(looking := looking[turn[looking] < end[looking]]):
+                skip = self.skipped(keys[todo[looking]], turn[looking])
+                met[looking[skip]] = True
+                looking = looking[~skip]
+                turn[looking] += 1
+            todo, turn = todo[met], turn[met]
+            code, back = np.unique(at[todo] << 10 | turn, return_inverse=True)
+            names = code.tolist()
+            missing = [c for c in names if c not in self.child]
+            if missing:
+                from_ = [self.of[c >> 10] for c in missing]
+                self.child.update(zip(missing, self._add([w for w, _ in from_], [s + (c & 1023,) for c, (_, s) in zip(missing, from_, strict=True)]), strict=True))
+            at[todo] = np.array([self.child[c] for c in names], np.int64)[back]
+            turn += 1
 
     def forget(self) -> None:
-        for m in self.made:
-            m.clear()
+        self.root: dict[str | None, int] = {}
+        self.child: dict[int, int] = {}  # by node << 10 | turn; LONGEST characters have far fewer turns than 1024
+        self.ids: list[bytes] = []
+        self.of: list[tuple[str | None, tuple[int, ...]]] = []
+        self.turns = np.zeros(1024, np.int32)
 
     def encode(self, text: str | None, doc_id: int | None = 0) -> list[int]:
         return self.encode_all([text], [doc_id])[0].tolist()

@@ -206,6 +206,17 @@ def test_merge_dropout_round_trips(docs):
     assert [tuple(np.frombuffer(b, "<i4").tolist()) for b in bulk] == [varied.segment(w, k % 4) for k, w in enumerate(words)]
 
 
+def test_merge_dropout_draws_every_occurrence_apart():
+    codec = merge_dropout.Codec(tokenizer_path("piece_bpe_32k.model"), 0.3)
+    word = merge_dropout.MARK + "internationalisation"
+    text = " ".join([word[1:]] * 400)
+    words, draws = codec._split(text, 7)
+    want = [codec.segment(w, int(k)) for w, k in zip(words, draws, strict=True)]
+    assert words == [word] * 400 and codec.encode(text, 7) == [i for ids in want for i in ids]
+    assert len(set(want)) > 50  # at most four before
+    assert np.mean(codec.skipped(np.repeat(draws, 20), np.tile(np.arange(20), 400))) == pytest.approx(0.3, abs=0.02)
+
+
 def test_merge_dropout_hard_rows(hard, empty):
     path = tokenizer_path("piece_bpe_32k.model")
     rows = merge_dropout.round_trips(hard, path).collect()
