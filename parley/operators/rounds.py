@@ -144,11 +144,21 @@ def adapted(examples: DataFrame, state: DataFrame, loss, g: np.ndarray, a: float
 
 def change_at_aggregation(solved: DataFrame, g: np.ndarray, lam: float) -> tuple[float, float]:
     """Mean and deviation, over parties and coordinates, of what the start of the next round adds to a party's model."""
-    centre = F.array(*[F.lit(float(a)) for a in g]) if len(g) <= 256 else None
-    if lam == 0 or centre is None:
-        return (0.0, 0.0) if lam == 0 else (float("nan"), float("nan"))
-    r = solved.select(F.explode(F.zip_with("w", centre, lambda a, b: lam * (b - a))).alias("r")).agg(F.avg("r"), F.stddev_pop("r")).first()
-    return r[0], r[1]
+    if lam == 0:
+        return 0.0, 0.0
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            if len(frame):
+                r = lam * (g - np.stack(frame["w"].to_numpy()))
+                yield pd.DataFrame({"n": [r.size], "mean": [r.mean()], "square": [((r - r.mean()) ** 2).sum()]})
+
+    rows = np.array(solved.select("w").mapInPandas(part, "n long, mean double, square double").collect(), float).reshape(-1, 3)  # a row a batch
+    n, mean, square = rows.T
+    if not n.sum():
+        return float("nan"), float("nan")
+    middle = float((n * mean).sum() / n.sum())
+    return middle, float(np.sqrt((square + n * (mean - middle) ** 2).sum() / n.sum()))
 
 
 def scores(rows: DataFrame, result: RunResult, loss, method: Method, cfg: Rounds) -> DataFrame:

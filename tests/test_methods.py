@@ -141,3 +141,13 @@ def test_bucketed_examples_need_no_exchange(spark):
     plan = t.groupBy("party_id").applyInPandas(lambda f: f.head(1), t.schema)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan
     spark.sql("DROP TABLE parley_bucketed")
+
+
+@pytest.mark.parametrize("size", [3, 650])
+def test_change_at_aggregation_of_models_of_any_size(spark, size):
+    rng = np.random.default_rng(8)
+    w, g = rng.normal(5, 2, (7, size)), rng.normal(size=size)
+    solved = spark.createDataFrame([(k, row.tolist()) for k, row in enumerate(w)], "party_id long, w array<double>").repartition(4)
+    change = 0.5 * (g - w)
+    assert R.change_at_aggregation(solved, g, 0.5) == pytest.approx((change.mean(), change.std()))
+    assert R.change_at_aggregation(solved, g, 0.0) == (0.0, 0.0)
