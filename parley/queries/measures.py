@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -260,6 +264,21 @@ def spikes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register()
 def loss_constants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Lipschitz constants that give the theory's step lengths."""
-    x = W.images(spark, sf_dir)
-    return spark.createDataFrame([("softmax", Softmax(64, 10).lipschitz([x[:200]])), ("rows", float(np.linalg.norm(x[0])))], "loss string, constant double")
+    """Lipschitz constants that give the theory's step lengths: of the softmax loss over all rows, and the greatest norm of a row."""
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        total, most = None, 0.0
+        for frame in frames:
+            if len(frame):
+                x = np.stack(frame["embedding"].to_numpy()).astype(float)
+                x *= np.sqrt(x.shape[1])
+                most = max(most, float(np.linalg.norm(x, axis=1).max()))
+                x1 = np.hstack([x, np.ones((len(x), 1))])
+                total = x1.T @ x1 if total is None else total + x1.T @ x1
+        if total is not None:
+            yield pd.DataFrame({"at": np.arange(total.size), "v": total.ravel(), "most": most})
+
+    rows = load(spark, sf_dir, "embeddings").select("embedding").where("embedding IS NOT NULL")
+    sums = rows.mapInPandas(part, "at int, v double, most double").groupBy("at").agg(F.sum("v").alias("v"), F.max("most").alias("most")).orderBy("at").collect()
+    gram = np.array([r.v for r in sums]).reshape(-1, math.isqrt(len(sums)))  # its last entry counts the rows
+    return spark.createDataFrame([("softmax", float(0.5 * np.linalg.eigvalsh(gram / gram[-1, -1])[-1])), ("rows", sums[0].most)], "loss string, constant double")

@@ -46,3 +46,17 @@ def test_entry(spark):
 
     assert e.entry(spark).count() > 0
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_loss_constants_are_of_all_rows(spark):
+    import numpy as np
+
+    x = np.array([r[0] for r in spark.read.parquet(f"{SF}/embeddings.parquet").select("embedding").collect()], float)
+    x = np.append(x, [8 * x[-1]], axis=0)  # a long row that no prefix shows
+    frame = spark.createDataFrame([(k, row.tolist()) for k, row in enumerate(x)], "vec_id long, embedding array<double>").repartition(3)
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(measures, "load", lambda *_: frame)
+        patch.setattr(measures.W, "load", lambda *_: frame)
+        got = {r.loss: r.constant for r in measures.loss_constants(spark, SF).collect()}
+    x *= np.sqrt(x.shape[1])
+    assert got == {"softmax": pytest.approx(measures.Softmax(64, 10).lipschitz([x])), "rows": pytest.approx(np.linalg.norm(x, axis=1).max())}
