@@ -3,45 +3,27 @@
 from __future__ import annotations
 
 import ctypes
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 from functools import wraps
 
 import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from pyspark.sql import DataFrame, SparkSession
+from parley.sources.tables import Tables, fresh_path, load, remove  # noqa: F401
+from parley.sources.tables import written as stored  # noqa: F401
 
 #: The word alphabet of every contract: anything but blank and the five control blanks.
 WORD_GAP = r"[\x20\x09-\x0D]+"
 
 
-def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; a temporary one only where none is set (tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    own = spark.conf.get("parley.scratch.dir", None)
-    if not own:
-        own = "file://" + tempfile.mkdtemp(prefix="parley-")
-        spark.conf.set("parley.scratch.dir", own)
-    return own
-
-
-def fresh_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/parley-{label}-{uuid.uuid4().hex}"
-
-
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it back: cuts lineage, and survives the loss of executors."""
-    spark = df.sparkSession
-    path = fresh_path(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def one_of_each(df: DataFrame, repeated: DataFrame, copies: str, key: list[str]) -> DataFrame:
+    """df with one row, any, of those that share a key and say copies > 1. repeated: such keys, if there are any."""
+    if repeated.isEmpty():
+        return df
+    # rows with equal keys are added up before they move, so that no key is too large for a task
+    picked = df.where(F.col(copies) > 1).groupBy(*key).agg(F.any_value(F.struct(*[F.col(f"`{c}`") for c in df.columns])).alias("row")).select("row.*")
+    return df.where(F.coalesce(F.col(copies) <= 1, F.lit(True))).unionByName(picked)
 
 
 def tidy(f: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], forget: Callable[[], None] | None = None) -> Callable:
@@ -71,13 +53,6 @@ def free_name(df: DataFrame, base: str) -> str:
     return name
 
 
-def remove(spark: SparkSession, path: str) -> None:
-    """Delete a folder through Hadoop's file system, so that any shared store works."""
-    jvm = spark._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
 def tokenizer_path(name: str) -> str:
     """The place of a public vocabulary file; installed with its package on every machine."""
     import public_tokenizers

@@ -1,8 +1,8 @@
 """Connected components of a distributed edge list, by local union-find and star contraction.
 
 Neither the driver nor one task ever holds the graph: each partition first shrinks its own edges to a forest, then
-rounds of large and small stars (grouped minima and joins, which Spark can split when a node is hot) pull every
-node to the smallest id it can reach. Each round is a written table in the shared folder.
+rounds of large and small stars (grouped minima and joins, over which a hot node's rows are dealt by salt) pull every
+node to the smallest id it can reach. Each round is a written table in the shared folder; the one before it goes.
 """
 
 from __future__ import annotations
@@ -14,9 +14,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.llm.common import stored
+from parley.llm.common import Tables, tidy
 
 CHUNK = 1 << 20
+#: Tasks whose forests one task joins before the rounds begin.
+FEWER = 16
+#: Parts that the rows of a node are dealt in.
+SALT = 32
 
 
 def forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -55,23 +59,35 @@ def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["v", "u"])
 
 
-def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
+def _with_least(rows: DataFrame, itself: bool) -> DataFrame:
+    """rows (v, u) with m, the least u of v's rows (itself: and of v): a node's rows are joined in up to SALT parts."""
+    dealt = rows.withColumn("s", F.pmod(F.xxhash64("u"), F.lit(SALT)))
+    part = dealt.groupBy("v", "s").agg(F.min("u").alias("m"))
+    least = part.groupBy("v").agg(F.min("m").alias("m"), F.collect_list("s").alias("parts"))  # SALT at most
+    m = F.least("v", "m") if itself else F.col("m")
+    return dealt.join(least.select("v", m.alias("m"), F.explode("parts").alias("s")), ["v", "s"]).select("v", "u", "m")
+
+
+def components(edges: DataFrame, tables: Tables | None = None, max_rounds: int = 40) -> DataFrame:
     """edges: two long columns. Returns (node, root) for every node that isn't its own component's smallest id."""
-    names = edges.columns
+    names, tables = edges.columns, tables or Tables(edges.sparkSession)
     start = edges.select(F.col(names[0]).cast("long").alias("v"), F.col(names[1]).cast("long").alias("u")).where("v IS NOT NULL AND u IS NOT NULL AND v != u")
-    now = stored(start.mapInArrow(_contract, "v long, u long").where("v != u"), "edges")
-    seen = None
-    for _ in range(max_rounds):
+    first = tables.keep(start.mapInArrow(tidy(_contract), "v long, u long"), "edges")
+    fewer = max(1, len(first.inputFiles()) // FEWER)
+    now = tables.keep(first.coalesce(fewer).mapInArrow(tidy(_contract), "v long, u long"), "forest")
+    tables.drop(first)
+    mark = lambda: now.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("v", "u")).alias("x"), F.count_distinct("v").alias("d")).first()
+    seen = mark()
+    for _ in range(max_rounds if seen["n"] else 0):
         both = now.select("v", "u").unionByName(now.select(F.col("u").alias("v"), F.col("v").alias("u")))
-        low = both.groupBy("v").agg(F.least(F.col("v"), F.min("u")).alias("m"))
-        large = both.where("u > v").join(low, "v").select(F.col("u").alias("v"), F.col("m").alias("u"))  # v's larger neighbours go to v's least
-        down = large.groupBy("v").agg(F.min("u").alias("m"))
-        small = large.join(down, "v").select(F.explode(F.array(F.struct("v", F.col("m").alias("u")), F.struct(F.col("u").alias("v"), F.col("m").alias("u")))).alias("e")).select("e.*").where("v != u").distinct()
-        now = stored(small, "stars")
-        mark = now.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("v", "u")).alias("x"), F.count_distinct("v").alias("d")).first()
-        if mark == seen and mark["n"] == mark["d"]:
+        large = _with_least(both, True).where("u > v").select(F.col("u").alias("v"), F.col("m").alias("u"))  # v's larger neighbours go to v's least
+        small = _with_least(large, False).select(F.explode(F.array(F.struct("v", F.col("m").alias("u")), F.struct(F.col("u").alias("v"), F.col("m").alias("u")))).alias("e")).select("e.*").where("v != u").distinct()
+        before, now = now, tables.keep(small, "stars")
+        tables.drop(before)
+        last, seen = seen, mark()
+        if last == seen and seen["n"] == seen["d"]:
             break
-        seen = mark
     else:
-        raise RuntimeError(f"no convergence in {max_rounds} rounds")
+        if seen["n"]:
+            raise RuntimeError(f"no convergence in {max_rounds} rounds")
     return now.select(F.col("v").alias("node"), F.col("u").alias("root"))

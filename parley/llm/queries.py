@@ -20,17 +20,25 @@ def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row for each document: its lines, those that go, and each line's component, named by the component's first line."""
+    """One row for each document: its lines, those that go, and each line's component, named by the component's first line.
+
+    Of rows with equal id and text the first keeps what is kept; the others lose every line. A row without an id has no lines here.
+    """
     docs = load(spark, sf_dir, "documents")
     decided = line_dedup.line_components(docs)
-    own = decided.groupBy("doc_id").agg(
-        F.count("*").alias("n_compared"),
-        F.sum(F.when(F.col("keep"), 0).otherwise(1)).alias("n_removed"),
-        F.sort_array(F.collect_list(F.when(~F.col("keep"), F.col("line_no")))).alias("removed"),
-        F.sort_array(F.collect_list(F.struct("line_no", "first_doc", "first_line"))).alias("components"),
+    own = decided.groupBy("doc_id", "mark").agg(F.sort_array(F.collect_set(F.struct("line_no", "first_doc", "first_line", "keep"))).alias("lines"))
+    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("mark"))
+    rows = named.where("doc_id IS NOT NULL").groupBy("doc_id", "mark").agg(F.count("*").alias("copies")).join(own, ["doc_id", "mark"], "left")
+    rows = rows.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies"))).unionByName(named.where("doc_id IS NULL"), allowMissingColumns=True)
+    lines = F.coalesce("lines", F.array())
+    gone = F.filter(lines, lambda x: ~x["keep"] | (F.col("copy") > 1))
+    return rows.select(
+        "doc_id",
+        F.size(lines).cast("long").alias("n_compared"),
+        F.size(gone).cast("long").alias("n_removed"),
+        F.transform(gone, lambda x: x["line_no"]).alias("removed"),
+        F.transform(lines, lambda x: F.struct(x["line_no"].alias("line_no"), x["first_doc"].alias("first_doc"), x["first_line"].alias("first_line"))).alias("components"),
     )
-    zero = F.lit(0).cast("long")
-    return docs.select("doc_id").join(own, "doc_id", "left").select("doc_id", F.coalesce("n_compared", zero).alias("n_compared"), F.coalesce("n_removed", zero).alias("n_removed"), F.coalesce("removed", F.array().cast("array<int>")).alias("removed"), F.coalesce("components", F.array().cast("array<struct<line_no:int,first_doc:bigint,first_line:int>>")).alias("components"))
 
 
 def op6_token_shards(spark: SparkSession, sf_dir: str, tokenizer: str | None = None) -> DataFrame:

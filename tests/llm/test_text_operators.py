@@ -163,6 +163,52 @@ def test_short_lines_are_grouped_and_components_named(spark, monkeypatch):
     assert line_dedup.dedup_documents(df, least=1).where("doc_id = 1").first().text == "only here"
 
 
+REPEATED = ["a line that two documents have and that is long enough", "another line that is long enough, with the words xxx", "a line of its own that no other document has, with zzz"]
+
+
+def test_lines_of_rows_that_share_an_id(spark):
+    """Rows with one id and different texts are judged apart; of rows alike in both, one stays."""
+    a, x, z = REPEATED
+    rows = [(1, a), (3, f"{a}\n{x}"), (3, f"{z}\n{a} "), (4, "lone words that stand in a row repeated with its id"), (4, "lone words that stand in a row repeated with its id"), (5, "short"), (5, "short")]
+    df = spark.createDataFrame([(i, t, 1) for i, t in rows], "doc_id long, text string, Line_Doc int").repartition(3)
+    out = line_dedup.dedup_documents(df)
+    assert out.columns == df.columns
+    assert sorted((r.doc_id, r.text) for r in out.collect()) == sorted([(1, a), (3, x), (3, z), (4, rows[3][1]), (5, "short"), (5, "short")])
+    every = Counter((r.doc_id, r.text) for r in line_dedup.dedup_documents(df, least=1).collect())
+    assert every[(5, "short")] == 1 and every[(3, z)] == 1
+
+
+def test_fuzzy_lines_query_counts_repeated_rows(spark, monkeypatch):
+    a, x, z = REPEATED
+    rows = [(1, a), (1, a), (3, f"{a}\n{x}"), (3, f"{z}\n{a}"), (None, a)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(queries, "load", lambda *_: df)
+    got = sorted((r.doc_id or 0, r.n_compared, r.removed) for r in queries.op10_fuzzy_lines(spark, "").collect())
+    assert got == [(0, 0, []), (1, 1, []), (1, 1, [0]), (3, 2, [0]), (3, 2, [1])]
+
+
+@pytest.mark.parametrize("few", [line_dedup.FEW, 1])
+@pytest.mark.parametrize("chunk", [line_dedup.CHUNK, 7])
+def test_large_buckets_against_all_pairs(spark, monkeypatch, few, chunk):
+    """Many lines around few texts: the bitmaps and the chunks lose no link that the bands bring together."""
+    monkeypatch.setattr(line_dedup, "FEW", few)
+    monkeypatch.setattr(line_dedup, "CHUNK", chunk)
+    rng = np.random.default_rng(11)
+    lines = []
+    for k in range(4):
+        base = list(" ".join(rng.choice(WORDS, 30)))
+        for _ in range(40):
+            own = base.copy()
+            for at in rng.integers(0, len(own), int(rng.integers(0, 3))):
+                own[at] = "q"
+            lines.append("".join(own))
+    df = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string").repartition(5)
+    sets = [frozenset(t[i : i + 8] for i in range(len(t) - 7)) for t in map(line_dedup.normal, lines)]
+    pairs = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    want = union_find(pairs, range(len(lines)))
+    assert {r.doc_id: r.first_doc for r in line_dedup.line_components(df).collect()} == want
+
+
 def test_language_on_held_out_rows(spark, docs):
     rows = {r.doc_id: r for r in queries.op4_language(spark, "/root/testdata/sf0.01").collect()}
     truth = {r.doc_id: r.lang for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()}
