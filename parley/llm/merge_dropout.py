@@ -3,15 +3,17 @@
 Encoding is the usual agenda: adjacent symbols that form a piece wait in a queue by score (ties: leftmost first). When a
 candidate's turn comes it is skipped for good if a keyed hash of it falls below the dropout rate, which leaves a coarser
 or finer segmentation into pieces that merges can reach. The key is (seed, document, number of the word, number of the
-turn), so every occurrence of a word draws its own skips, equal on every run and machine. What a word becomes depends on
-the turns skipped alone: each worker remembers that as a tree of skips, a node for each set met. Rate 0 is plain BPE.
+turn), so every occurrence of a word draws its own skips, equal on every run and machine. A worker remembers what each
+word becomes without skips and how many turns that takes; an occurrence that skips one of them has an agenda of its own,
+and the agendas of thousands of words run side by side, a turn of each at a time. Rate 0 is plain BPE.
 
 No piece holds anything before a blank mark, so words (blank marks and what follows) are encoded apart; characters
 outside the vocabulary become byte pieces, and so does a blank mark that the text itself holds, which keeps decoding
 lossless. Decoding joins the pieces' bytes, turns blank marks into blanks and drops the leading one.
 
 Defined results: null and empty texts have no ids and decode to the empty text; repeated rows with equal ids get equal
-ids of pieces; an empty table gives an empty result; other columns are ignored.
+ids of pieces; equal scores go to the leftmost candidate; very long texts and words are encoded whole; an empty table
+gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,8 +35,10 @@ from parley.llm.common import tidy
 MARK = "▁"
 RATE = 0.1
 SEED = 20
-#: Segmentations that one worker remembers before it starts anew.
+#: Words that one worker remembers before it starts anew.
 MEMORY = 600_000
+#: Words whose agendas run side by side.
+ABREAST = 8192
 ENCODED = "doc_id long, ids array<int>, lossless boolean"
 DIGEST = "doc_id long, n_tokens long, ids_crc32 long, n_chars long, lossless boolean"
 
@@ -55,34 +59,51 @@ class Pairs:
         self.shift = np.uint64(64 - max(4, (8 * len(rows)).bit_length()))
         size = 1 << (64 - int(self.shift))
         self.key, self.rank, self.id = np.full(size + 64, -1, np.int64), np.full(size + 64, np.inf, np.float32), np.full(size + 64, -1, np.int32)
-        self.reach = 1
         for a, b, score, i in rows:
             key = a << 20 | b
             at = int((key * 0x9E3779B97F4A7C15 & _ALL) >> int(self.shift))
-            far = 1
             while self.key[at] != -1:
-                at, far = at + 1, far + 1
-            self.key[at], self.rank[at], self.id[at], self.reach = key, score, i, max(self.reach, far)
+                at += 1
+            self.key[at], self.rank[at], self.id[at] = key, score, i
 
     def find(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Rank (infinite: none) and id of what each pair joins to; negative symbols never join."""
-        rank, merged = np.full(a.shape, np.inf, np.float32), np.full(a.shape, -1, np.int32)
-        todo = np.nonzero((a >= 0) & (b >= 0))
-        key = a[todo].astype(np.int64) << 20 | b[todo]
+        key = a.astype(np.int64) << 20 | b
         with np.errstate(over="ignore"):
             at = ((key.view(np.uint64) * _KEYS[0]) >> self.shift).astype(np.int64)
-        for _ in range(self.reach):
-            there = self.key[at]
-            hit = there == key
-            place = tuple(x[hit] for x in todo)
-            rank[place], merged[place] = self.rank[at[hit]], self.id[at[hit]]
-            on = (there != -1) & ~hit
-            if not on.any():
-                break
-            todo, key, at = tuple(x[on] for x in todo), key[on], at[on] + 1
+        there = self.key[at]
+        hit = (there == key) & (a >= 0) & (b >= 0)
+        rank, merged = np.where(hit, self.rank[at], np.float32(np.inf)), self.id[at]
+        todo = np.nonzero((there != -1) & (there != key) & (a >= 0) & (b >= 0))[0]
+        while len(todo):  # the place was taken by another pair
+            at[todo] += 1
+            there = self.key[at[todo]]
+            found = todo[there == key[todo]]
+            rank[found], merged[found] = self.rank[at[found]], self.id[at[found]]
+            todo = todo[(there != -1) & (there != key[todo])]
         return rank, merged
 
 
+class Pool:
+    """An array that grows at its end."""
+
+    def __init__(self, kind: type):
+        self.kept, self.size = np.zeros(1024, kind), 0
+
+    def add(self, more: np.ndarray) -> int:
+        """Where it begins."""
+        at, self.size = self.size, self.size + len(more)
+        if self.size > len(self.kept):
+            self.kept = np.append(self.kept[:at], np.zeros(2 * self.size - at, self.kept.dtype))
+        self.kept[at : self.size] = more
+        return at
+
+
+def spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The places starts[k], starts[k] + 1, ... of each k, one after the other."""
+    return np.repeat(starts - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
+
+
 @lru_cache(maxsize=4)
 def codec(path: str, rate: float = RATE, seed: int = SEED) -> Codec:
     return Codec(path, rate, seed)
@@ -101,14 +122,13 @@ class Codec:
         for b, i in enumerate(self.byte):
             self.raw[i] = bytes([b])
         self.limit, self.seed = int(rate * (1 << 64)), seed & _ALL
-        self.forget()
-        self.mark_bytes = np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes()
         self.pairs = Pairs(self.piece)
         single = {ord(p): i for p, (_, i) in self.piece.items() if len(p) == 1}
         self.of_char = np.full(0x110000, -1, np.int32)
         self.of_char[list(single)] = list(single.values())
         if any(MARK in p.lstrip(MARK) for p in self.piece) or any("\n" in p for p in self.piece if p != "\n"):
             raise ValueError("this vocabulary merges over blanks")
+        self.forget()
 
     def segment(self, word: str, draw: int = 0) -> tuple[int, ...]:
         """Ids of one word; draw: the key of its skips."""
@@ -163,64 +183,79 @@ class Codec:
             h = (h ^ (h >> np.uint64(29))) * _KEYS[0]
         return h < np.uint64(self.limit)
 
-    def segment_all(self, words: list[str], draws: np.ndarray) -> list[bytes]:
-        """Ids of many words of at most LONGEST characters, as segment() gives them."""
-        keys = draws.astype(np.uint64)
-        return self._agenda(words, lambda live, turn: self.skipped(keys[live], turn))[0]
-
-    def _agenda(self, words: list[str], skips: Callable[[np.ndarray, int], np.ndarray]) -> tuple[list[bytes], np.ndarray]:
-        """Ids of many words and the number of turns each took: one turn of every word's agenda at a time."""
+    def segment_all(self, words: list[str], draws: np.ndarray) -> list[list[int]]:
+        """Ids of many words of known characters, as segment() gives them."""
         size = np.fromiter(map(len, words), np.int64, len(words))
-        top, n = int(size.max()), len(words)
-        code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
-        inside = np.arange(top)[None, :] < size[:, None]
-        sym = np.full((n, top + 2), -2, np.int32)
-        sym[:, :top][inside] = self.of_char[code]
-        start = np.minimum(np.arange(top + 2)[None, :], size[:, None]).astype(np.int32)
-        rank, merged = self.pairs.find(sym[:, :-1], sym[:, 1:])
-        turn, turns = 0, np.zeros(n, np.int64)
-        live, done_sym, done_start = np.arange(n), sym.copy(), start.copy()
-        columns = np.arange(top + 2)[None, :]
-        while len(live):
+        code = self.of_char[np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)]
+        flat, count, _ = self._agendas(code, np.cumsum(size) - size, size, draws)
+        return [x.tolist() for x in np.split(flat, np.cumsum(count)[:-1])] if len(words) else []
+
+    def _agendas(self, code: np.ndarray, begins: np.ndarray, size: np.ndarray, draws: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of words code[begins : begins + size]: their ids one after the other, how many each has, and the turns taken.
+
+        draws: the keys of their skips; None: no turn is skipped. Words of like length go side by side.
+        """
+        n = len(size)
+        order = np.argsort(size, kind="stable")
+        count, turns = np.zeros(n, np.int64), np.zeros(n, np.int64)
+        ids, whose = [np.empty(0, np.int32)], [np.empty(0, np.int64)]
+        for at in range(0, n, ABREAST):
+            part = order[at : at + ABREAST]
+            top = int(size[part[-1]])
+            inside = np.arange(top + 1)[None, :] < size[part][:, None]
+            sym = np.full((len(part), top + 1), -2, np.int32)
+            sym[inside] = code[spread(begins[part], size[part])]
+            left, took = self._agenda(sym, size[part], None if draws is None else draws[part])
+            turns[part], count[part] = took, (left != -2).sum(axis=1)
+            ids.append(left[left != -2])
+            whose.append(part)
+        flat, place = np.concatenate(ids), np.concatenate(whose)
+        out, starts = np.empty(len(flat), np.int32), np.cumsum(count) - count
+        out[spread(starts[place], count[place])] = flat
+        return out, count, turns
+
+    def _agenda(self, sym: np.ndarray, size: np.ndarray, draws: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols left of each row (-2: merged away), and turns. The last column is no symbol: what has no neighbour points there."""
+        n, end = len(sym), sym.shape[1] - 1
+        turns = np.zeros(n, np.int64)
+        if end < 2:
+            return sym, turns
+        after = np.minimum(np.arange(1, end + 2)[None, :], np.where(np.arange(end + 1)[None, :] + 1 < size[:, None], end + 1, end)).astype(np.int32)
+        after[:, end] = end
+        prior = np.tile(np.append(np.arange(-1, end - 1), end).astype(np.int32), (n, 1))
+        prior[:, 0] = end
+        rank, merged = self.pairs.find(sym[:, :-1].ravel(), sym[:, 1:].ravel())
+        rank = np.hstack([rank.reshape(n, end), np.full((n, 1), np.inf, np.float32)])
+        merged = np.hstack([merged.reshape(n, end), np.full((n, 1), -1, np.int32)])
+        whole, live, turn = sym, np.arange(n), 0
+        while True:
             best = rank.argmin(axis=1)
-            row = np.arange(len(live))
-            active = rank[row, best] < np.inf
-            if not active.all():
-                over = ~active
-                done_sym[live[over]], done_start[live[over]], turns[live[over]] = sym[over], start[over], turn
-                live, sym, start, rank, merged, best = (x[active] for x in (live, sym, start, rank, merged, best))
+            row = np.nonzero(rank[np.arange(len(rank)), best] < np.inf)[0]
+            if not len(row):
+                break
+            turns[live[row]] = turn + 1
+            if 2 * len(row) < len(live):  # most are done
+                if sym is not whole:
+                    whole[live] = sym
+                sym, after, prior, rank, merged, live, best = sym[row], after[row], prior[row], rank[row], merged[row], live[row], best[row]
                 row = np.arange(len(live))
-                if not len(live):
-                    break
-            skip = skips(live, turn) if self.limit else np.zeros(len(live), bool)
+            at = best[row]
+            if draws is not None:
+                skip = self.skipped(draws[live[row]], turn)
+                rank[row[skip], at[skip]] = np.inf
+                row, at = row[~skip], at[~skip]
             turn += 1
-            rank[row[skip], best[skip]] = np.inf
-            go, at = row[~skip], best[~skip]
-            if len(go):
-                new = merged[go, at]
-                later = columns > at[:, None]
-                take = np.minimum(columns + later, top + 1)  # what stands behind the merged symbol moves up by one
-                s2, t2 = np.take_along_axis(sym[go], take, 1), np.take_along_axis(start[go], take, 1)
-                s2[np.arange(len(go)), at] = new
-                r2, m2 = np.take_along_axis(rank[go], take[:, :-1].clip(max=top), 1), np.take_along_axis(merged[go], take[:, :-1].clip(max=top), 1)
-                r2[:, top], s2[:, top + 1] = np.inf, -2
-                own = np.arange(len(go))
-                r2[own, at], m2[own, at] = self.pairs.find(s2[own, at], s2[own, at + 1])
-                prior = np.nonzero(at > 0)[0]
-                pa_ = at[prior] - 1
-                r2[prior, pa_], m2[prior, pa_] = self.pairs.find(s2[prior, pa_], s2[prior, pa_ + 1])
-                sym[go], start[go], rank[go], merged[go] = s2, t2, r2, m2
-        used = done_sym != -2
-        flat, begins = done_sym[used], done_start[used]
-        count = used.sum(axis=1)
-        if (flat == -1).any():  # characters that only bytes can give
-            rows = np.repeat(np.arange(n), count)
-            parts: list[list[int]] = [[] for _ in range(n)]
-            for r, i, at in zip(rows.tolist(), flat.tolist(), begins.tolist(), strict=True):
-                parts[r] += [i] if i >= 0 else [self.byte[b] for b in words[r][at].encode("utf-8", "surrogatepass")]
-            return [np.array(p, "<i4").tobytes() for p in parts], turns
-        raw, ends = flat.astype("<i4").tobytes(), (np.cumsum(count) * 4).tolist()
-        return [raw[a:b] for a, b in zip([0, *ends], ends, strict=False)], turns
+            gone, before, new = after[row, at], prior[row, at], merged[row, at]
+            follows = after[row, gone]
+            sym[row, at], sym[row, gone] = new, -2
+            rank[row, gone] = np.inf
+            after[row, at], prior[row, follows] = follows, at
+            prior[row, end] = end
+            rank[row, at], merged[row, at] = self.pairs.find(new, sym[row, follows])
+            rank[row, before], merged[row, before] = self.pairs.find(sym[row, before], new)
+        if sym is not whole:
+            whole[live] = sym
+        return whole, turns
 
     def words(self, text: str) -> list[str]:
         """Words of a text without literal blank marks, before which a mark has been put."""
@@ -243,78 +278,68 @@ class Codec:
             h = (np.arange(len(words), dtype=np.uint64) + np.uint64(xxhash.xxh64_intdigest(str(doc_id).encode(), self.seed))) * _KEYS[0]
             return words, (h ^ (h >> np.uint64(29))) * _KEYS[3]
 
-    def _add(self, words: list[str], skips: list[tuple[int, ...]]) -> list[int]:
-        """New nodes: what words become if exactly these turns are skipped."""
-        out = [0] * len(words)
-        order = sorted(range(len(words)), key=lambda k: len(words[k]))
-        for at in range(0, len(order), 4096):
-            part = order[at : at + 4096]
-            own = np.zeros((len(part), max((skips[k][-1] + 1 for k in part if skips[k]), default=0)), bool)
-            for r, k in enumerate(part):
-                own[r, list(skips[k])] = True
-            ids, turns = self._agenda([words[k] for k in part], lambda live, turn, own=own: own[live, turn] if turn < own.shape[1] else np.zeros(len(live), bool))
-            for k, i, n in zip(part, ids, turns.tolist(), strict=True):
-                out[k] = self._node(words[k], skips[k], i, n)
-        return out
-
-    def _node(self, word: str | None, skips: tuple[int, ...], ids: bytes, turns: int) -> int:
-        n = len(self.ids)
-        if n == len(self.turns):
-            self.turns = np.append(self.turns, np.zeros(n, np.int32))
-        self.turns[n] = turns
-        self.ids.append(ids)
-        self.of.append((word, skips))
-        return n
+    def forget(self) -> None:
+        self.root: dict[str | None, int] = {}
+        self.code, self.ids = Pool(np.int32), Pool(np.int32)  # characters and plain ids of the words met
+        self.rows = {name: Pool(np.int64) for name in ("code_at", "code_n", "ids_at", "ids_n", "turns")}
+        self._remember([None], np.empty(0, np.int32), np.zeros(1, np.int64), np.array([self.byte[b] for b in MARK.encode()], np.int32), np.array([len(MARK.encode())]), np.zeros(1, np.int64))
+
+    def _remember(self, words: list, code: np.ndarray, code_n: np.ndarray, ids: np.ndarray, ids_n: np.ndarray, turns: np.ndarray) -> None:
+        first = self.rows["turns"].size
+        self.root.update(zip(words, range(first, first + len(words)), strict=True))
+        own = {"code_at": self.code.add(code) + np.cumsum(code_n) - code_n, "code_n": code_n, "ids_at": self.ids.add(ids) + np.cumsum(ids_n) - ids_n, "ids_n": ids_n, "turns": turns}
+        for name, column in own.items():
+            self.rows[name].add(column)
+
+    def _meet(self, words: list[str]) -> None:
+        """New words; those too long or with characters outside the vocabulary are marked by -1 turns and encoded one by one."""
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        code = self.of_char[np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)]
+        begins = np.cumsum(size) - size
+        odd = (np.add.reduceat(code < 0, begins) > 0) | (size > LONGEST)
+        names = [words[k] for k in np.nonzero(~odd)[0].tolist()]
+        own = code[spread(begins[~odd], size[~odd])]
+        flat, count, turns = self._agendas(own, np.cumsum(size[~odd]) - size[~odd], size[~odd], None)
+        self._remember(names, own, size[~odd], flat, count, turns)
+        names = [words[k] for k in np.nonzero(odd)[0].tolist()]
+        zero = np.zeros(len(names), np.int64)
+        self._remember(names, np.empty(0, np.int32), zero, np.empty(0, np.int32), zero, zero - 1)
 
     def encode_all(self, texts: list[str | None], doc_ids: list[int | None]) -> list[np.ndarray]:
-        if len(self.ids) > MEMORY:
+        if len(self.root) > MEMORY:
             self.forget()
         split = [self._split(t, d) for t, d in zip(texts, doc_ids, strict=True)]
         flat = [w for words, _ in split for w in words]
         keys = np.concatenate([np.zeros(0, np.uint64), *(k for _, k in split)])
-        new = [w for w in set(flat).difference(self.root) if w is not None and len(w) <= LONGEST]
-        self.root.update(zip(new, self._add(new, [()] * len(new)), strict=True))
-        if None not in self.root:
-            self.root[None] = self._node(None, (), self.mark_bytes, 0)
-        at = np.fromiter((self.root.get(w, -1) for w in flat), np.int64, len(flat))
-        if self.limit:
-            self._descend(at, keys)
-        parts = [self.ids[n] for n in at.tolist()]
-        for k in np.nonzero(at < 0)[0].tolist():
-            parts[k] = np.array(self.segment(flat[k], int(keys[k])), "<i4").tobytes()
-        out, begin = [], 0
-        for words, _ in split:
-            out.append(np.frombuffer(b"".join(parts[begin : begin + len(words)]), "<i4"))
-            begin += len(words)
-        return out
-
-    def _descend(self, at: np.ndarray, keys: np.ndarray) -> None:
-        """Moves each occurrence from its word's root to the node of the turns that it skips, a skip of all at a time."""
-        todo = np.nonzero(at >= 0)[0]
-        turn = np.zeros(len(todo), np.int64)
-        while len(todo):
-            end, looking, met = self.turns[at[todo]], np.arange(len(todo)), np.zeros(len(todo), bool)
-            while len(looking := looking[turn[looking] < end[looking]]):
-                skip = self.skipped(keys[todo[looking]], turn[looking])
-                met[looking[skip]] = True
-                looking = looking[~skip]
-                turn[looking] += 1
-            todo, turn = todo[met], turn[met]
-            code, back = np.unique(at[todo] << 10 | turn, return_inverse=True)
-            names = code.tolist()
-            missing = [c for c in names if c not in self.child]
-            if missing:
-                from_ = [self.of[c >> 10] for c in missing]
-                self.child.update(zip(missing, self._add([w for w, _ in from_], [s + (c & 1023,) for c, (_, s) in zip(missing, from_, strict=True)]), strict=True))
-            at[todo] = np.array([self.child[c] for c in names], np.int64)[back]
+        if new := list(set(flat).difference(self.root)):
+            self._meet(new)
+        at = np.fromiter(map(self.root.__getitem__, flat), np.int64, len(flat))
+        column = {name: pool.kept[at] for name, pool in self.rows.items()}
+        count, source = column["ids_n"], column["ids_at"]
+        pieces = self.ids.kept[: self.ids.size]
+        if self.limit and len(own := np.nonzero(self._skips(keys, column["turns"]))[0]):
+            some, n, _ = self._agendas(self.code.kept, column["code_at"][own], column["code_n"][own], keys[own])
+            count[own], source[own] = n, len(pieces) + np.cumsum(n) - n
+            pieces = np.concatenate([pieces, some])
+        if len(odd := np.nonzero(column["turns"] < 0)[0]):
+            each = [self.segment(flat[k], int(keys[k])) for k in odd.tolist()]
+            n = np.fromiter(map(len, each), np.int64, len(each))
+            count[odd], source[odd] = n, len(pieces) + np.cumsum(n) - n
+            pieces = np.concatenate([pieces, np.fromiter((i for ids in each for i in ids), np.int32, int(n.sum()))])
+        out = pieces[spread(source, count)].astype("<i4")
+        words = np.cumsum([0, *(len(w) for w, _ in split)])
+        edges = np.append(0, np.cumsum(count))[words]
+        return [out[a:b] for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
+
+    def _skips(self, keys: np.ndarray, turns: np.ndarray) -> np.ndarray:
+        """Which occurrences skip one of the turns that their word takes without skips."""
+        met, looking, turn = np.zeros(len(keys), bool), np.nonzero(turns > 0)[0], 0
+        while len(looking):
+            skip = self.skipped(keys[looking], turn)
+            met[looking[skip]] = True
             turn += 1
-
-    def forget(self) -> None:
-        self.root: dict[str | None, int] = {}
-        self.child: dict[int, int] = {}  # by node << 10 | turn; LONGEST characters have far fewer turns than 1024
-        self.ids: list[bytes] = []
-        self.of: list[tuple[str | None, tuple[int, ...]]] = []
-        self.turns = np.zeros(1024, np.int32)
+            looking = looking[~skip & (turns[looking] > turn)]
+        return met
 
     def encode(self, text: str | None, doc_id: int | None = 0) -> list[int]:
         return self.encode_all([text], [doc_id])[0].tolist()
