@@ -4,12 +4,19 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from parley.functions.prox import Regulariser
 
 #: Models of one round that the driver may gather to find their centre; beyond it the distributed forms run.
 GATHER_BYTES = 64 << 20
+#: Ids that a round may send to every task; beyond it they are joined by exchange.
+BROADCAST_BYTES = 8 << 20
+#: Values of one coordinate that one buffer may hold.
+MEDIAN_ROWS = 1_000_000
+#: Bytes of a federation that one task may hold; beyond it the distributed loop runs the same rounds.
+TASK_BYTES = 256 << 20
 
 
 @dataclass(frozen=True)
@@ -33,6 +40,6 @@ def sufficient_statistics(loss_name: str, features: int, full_gradient: bool, mo
     return loss_name == "Linear" and full_gradient and features <= most
 
 
-def local_tasks(spark: SparkSession, active: int) -> int:
-    """Tasks for the active parties' local steps: no more than parties, no fewer than the cluster's slots."""
-    return max(1, min(active, max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))))
+def few(df: DataFrame, rows: int, width: int = 8) -> DataFrame:
+    """df marked for broadcast if its known number of rows is small."""
+    return F.broadcast(df) if rows * width <= BROADCAST_BYTES else df
