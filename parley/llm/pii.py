@@ -4,20 +4,22 @@ One pattern finds candidates; each is validated (check digits, calendar, octets,
 keyed Feistel permutation within its own format, so that equal values get equal pseudonyms in every document and table
 made with the same key, and different values different ones:
 
-    card numbers   13-19 digits, Luhn: the body is permuted, the check digit computed anew
+    card numbers   13-19 digits, an issuer's prefix and length, Luhn: what lies between prefix and check digit is permuted
     IBAN           mod 97: the digits after the check digits are permuted, the check digits computed anew
     dates          calendar dates 1900-2099, year first, day first or month first: the day's number is permuted
     social numbers ddd-dd-dddd outside reserved areas: permuted among valid ones
-    phone numbers  the ten national digits are permuted, the country code stays
-    IPv4           the 32 bits are permuted
-    hex secrets    40 hexadecimal digits in one case: the digits are permuted
+    phone numbers  ten national digits, permuted among valid ones (area and exchange begin with 2-9) or among the others;
+                   without country code and brackets only valid ones count; a country code stays
+    IPv4           four octets without leading zeros, not a version number: the 32 bits are permuted
+    hex secrets    40 hexadecimal digits in one case: the digits are permuted (a commit's name looks alike and is replaced too)
     e-mail         a keyed name at a reserved domain (no permutation: mailboxes have no fixed format)
 
-Candidates that fail validation stay as they are. Where a permutation must stay inside a set (valid dates and social
-numbers) it is applied until it lands there again, which keeps it one-to-one.
+Candidates that fail validation stay as they are. Where a permutation must stay inside a set (valid dates, phone and
+social numbers) it is applied until it lands there again, which keeps it one-to-one. Where kinds overlap, the first in
+KINDS wins.
 
-Defined results: null texts stay null and empty ones empty, with 0 replaced; repeated rows are treated alike; an empty
-table gives an empty result; other columns pass through ``pseudonymise`` untouched.
+Defined results: null texts stay null and empty ones empty, with 0 replaced; repeated rows are treated alike; very long
+texts are searched whole; an empty table gives an empty result; other columns pass through ``pseudonymise`` untouched.
 """
 
 from __future__ import annotations
@@ -38,8 +40,11 @@ SECRET = r"(?<![0-9A-Za-z])(?:[0-9a-f]{40}|[0-9A-F]{40})(?![0-9A-Za-z])"
 PHONE = r"(?<![\d.+-])(?:\+\d{1,3}[ -]?)?(?:\(\d{3}\) ?|\d{3}[-. ])\d{3}[-. ]\d{4}(?![\d-])"
 SOCIAL = r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])"
 DATE = r"(?<![\d/.-])(?:\d{4}-\d{2}-\d{2}|\d{2}[/.]\d{2}[/.]\d{4})(?![\d/-])"
-IP = r"(?<![\d.])\d{1,3}(?:\.\d{1,3}){3}(?!\d|\.\d)"
+IP = r"(?<![\d.])(?<!\b[vV])(?<![vV]ersion )\d{1,3}(?:\.\d{1,3}){3}(?!\d|\.\d)"
 CARD = r"(?<![\d.-])\d(?:[ -]?\d){12,18}(?!\d)"
+#: Prefixes and lengths of card issuers (fixed values): those of one digit, two, three and four digits.
+ISSUED = r"^(?:4(?:\d{12}|\d{15}|\d{18})|5[1-5]\d{14}|3[47]\d{13}|6(?:5|2)\d{14,17}|3[689]\d{12,17}|64[4-9]\d{13,16}|30[0-5]\d{11,16}|(?:222[1-9]|22[3-9]\d|2[3-6]\d\d|27[01]\d|2720)\d{12}|6011\d{12,15}|35(?:2[89]|[3-8]\d)\d{12,15})$"
+PREFIX = r"^(?:(4)|(5[1-5]|3[47]|6[25]|3[689])|(64[4-9]|30[0-5])|(\d{4}))"
 #: In the order in which a place is tried.
 KINDS = {"email": EMAIL, "iban": IBAN, "secret": SECRET, "phone": PHONE, "social": SOCIAL, "date": DATE, "ip": IP, "card": CARD}
 ANY = "|".join(KINDS.values())
@@ -93,9 +98,10 @@ def _mod97(s: Column) -> Column:
 
 def card(v: Column, key: str) -> Column:
     d = _digits(v)
-    body = _feistel(F.substr(d, F.lit(1), F.length(d) - 1), DIGITS, "card", key)
+    head = F.regexp_extract(d, PREFIX, 0)
+    body = F.concat(head, _feistel(F.substr(d, F.length(head) + 1, F.length(d) - F.length(head) - 1), DIGITS, "card", key))
     new = F.concat(body, ((10 - _luhn_sum(F.concat(body, F.lit("0"))) % 10) % 10).cast("string"))
-    return F.when(_luhn_sum(d) % 10 == 0, _laid_out(v, new))
+    return F.when(d.rlike(ISSUED) & (_luhn_sum(d) % 10 == 0), _laid_out(v, new))
 
 
 def iban(v: Column, key: str) -> Column:
@@ -117,7 +123,10 @@ def secret(v: Column, key: str) -> Column:
 def phone(v: Column, key: str) -> Column:
     d = _digits(v)
     head = F.length(d) - 10
-    return _laid_out(v, F.concat(F.substr(d, F.lit(1), head), _feistel(F.substr(d, head + 1, F.lit(10)), DIGITS, "phone", key)))
+    national = F.substr(d, head + 1, F.lit(10))
+    valid = lambda s: s.rlike(r"^[2-9]\d\d[2-9]")
+    moved = _walk(national, lambda s: valid(s) == valid(national), DIGITS, "phone", key)
+    return F.when(v.rlike(r"[+(]") | valid(national), _laid_out(v, F.concat(F.substr(d, F.lit(1), head), moved)))
 
 
 def _valid_social(d: Column) -> Column:
@@ -152,7 +161,7 @@ def ip(v: Column, key: str) -> Column:
     bits = F.array_join(F.transform(octet, lambda x: F.lpad(F.lower(F.hex(x.cast("long"))), 2, "0")), "")
     moved = _feistel(bits, HEX, "ip", key)
     part = lambda k: F.conv(F.substr(moved, F.lit(1 + 2 * k), F.lit(2)), 16, 10)
-    return F.when(F.forall(octet, lambda x: x.cast("int") < 256), F.concat_ws(".", *[part(k) for k in range(4)]))
+    return F.when(F.forall(octet, lambda x: (x.cast("int") < 256) & ~x.rlike("^0.")), F.concat_ws(".", *[part(k) for k in range(4)]))
 
 
 def email(v: Column, key: str) -> Column:
