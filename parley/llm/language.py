@@ -9,7 +9,7 @@ The model is fitted on at most PER_LANGUAGE labelled rows of each language, chos
 and limits belong to that model. Prediction reads nothing but whole texts.
 Defined results: null texts and texts without a letter get ``und``, score 0, and are rejected; so does every text where
 no labelled row exists; ties go to the language first in order; repeated rows get equal results; an empty table gives an
-empty result; other columns are ignored.
+empty result; very long texts are read whole, in which memory grows with one text; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -34,7 +34,8 @@ MARGIN = 0.75
 UNKNOWN = "und"
 PREDICTION = "doc_id long, lang_pred string, score double, rejected boolean"
 
-_LETTER = np.array([chr(c).isalpha() for c in range(0x3000)])
+#: Of every code point, whether Unicode calls it a letter.
+_LETTER = np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
 _P = [np.uint32(x) for x in (2654435761, 2246822519, 3266489917)]
 
 
@@ -43,7 +44,7 @@ def letters(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     low = [" " + t.lower() + " " for t in texts]
     code = np.frombuffer("".join(low).encode("utf-32-le", "surrogatepass"), np.uint32).copy()
     owner = np.repeat(np.arange(len(low)), np.fromiter(map(len, low), np.int64, len(low)))
-    blank = np.where(code < 0x3000, ~_LETTER[np.minimum(code, 0x2FFF)], False)
+    blank = ~_LETTER[code]
     code[blank] = 32
     keep = np.ones(len(code), bool)
     keep[1:] = ~(blank[1:] & blank[:-1] & (owner[1:] == owner[:-1]))
@@ -175,9 +176,6 @@ def sample(df: DataFrame, id_col: str, text_col: str, lang_col: str, per_languag
             own.append((r[0], r[1]))
     return [x for own in out.values() for x in own]
 
-
-
-
 def train(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_language: int = PER_LANGUAGE) -> Model | None:
     return fit(sample(df, id_col, text_col, lang_col, per_language))
 
@@ -197,7 +195,7 @@ def predict(df: DataFrame, model: Model | None, id_col: str = "doc_id", text_col
 
 
 def recognised(df: DataFrame, model: Model | None, text_col: str = "text") -> DataFrame:
-    """The rows of df that aren't rejected, whole."""
+    """The rows of df that aren't rejected, whole: null texts and texts without a letter go, repeated rows fare alike, ids don't matter."""
     shared = df.sparkSession.sparkContext.broadcast(model)
     at = df.columns.index(text_col)
 
