@@ -10,10 +10,13 @@ A retrieved item is then verified on the words around the passage: five-word shi
 the last) and of its answer (the last one). It counts if 0.8 of all its shingles are there, or 0.8 of the question's and
 half of the answer's.
 
+Items of fewer than SHORT words have an index of their own, and count only where all their words follow each other.
+
 The index must fit in memory on each worker: items are taken in shards of at most INDEX_BYTES of text, each with a pass
-over the documents. Items of fewer than 8 words are too common to be evidence and aren't indexed.
-Defined results: null and empty texts contain nothing; repeated rows are judged alike; without items or documents the
-result is empty; a null item id is kept as null; other columns are ignored.
+over the documents.
+Defined results: null and empty texts, and texts of punctuation alone, contain nothing and are contained in nothing;
+repeated rows are judged alike; equal items are all reported; very long texts are read whole, passage by passage; without
+items or documents the result is empty; a null item id is kept as null; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,7 +36,7 @@ from pyspark.sql import functions as F
 from parley.llm.common import tidy
 
 SEGMENT, PASSAGE, STRIDE = 32, 64, 32
-MIN_WORDS = 8
+SHORT = 8
 SHINGLE = 5
 THRESHOLD = 0.5
 OVERLAP = 0.8
@@ -74,8 +77,10 @@ class Item:
 class Index:
     """Inverted index of item segments, postings in blocks with their greatest weight."""
 
-    def __init__(self, items: list[tuple[int | None, str]]):
-        self.items = [i for i in (Item(k, t) for k, t in items) if len(i.words) >= MIN_WORDS]
+    def __init__(self, items: list[tuple[int | None, str]], short: bool = False):
+        """Of the items, those of SHORT words or more, or the others."""
+        self.short = short
+        self.items = [i for i in (Item(k, t) for k, t in items) if i.words and (len(i.words) < SHORT) == short]
         segments, self.owner = [], []
         for at, item in enumerate(self.items):
             n = -(-len(item.words) // SEGMENT)
@@ -190,8 +195,13 @@ class Index:
             for segment, score in self.search(set(w[p * STRIDE : p * STRIDE + PASSAGE])):
                 best[self.owner[segment]].append((score, p))
         out = []
+        whole = b" %b " % b" ".join(w) if self.short and best else b""
         for at, hits in best.items():
             item = self.items[at]
+            if self.short:
+                if b" %b " % b" ".join(item.words) in whole:
+                    out.append((item.item_id, max(hits)[0], 1.0, 1.0))
+                continue
             reach = 2 * len(item.words) + PASSAGE
             found = max((item.overlaps(w[max(0, p * STRIDE - reach) : p * STRIDE + reach]) for _, p in hits), default=(0, 0, 0))
             if found[0] >= OVERLAP or (found[1] >= OVERLAP and found[2] >= 0.5):
@@ -199,17 +209,21 @@ class Index:
         return out
 
 
-def shards_of(items: DataFrame, id_col: str, text_col: str) -> Iterator[list[tuple[int | None, str]]]:
-    """Items in lists of at most INDEX_BYTES of text (one item at least), one of them at a time on the driver."""
+def shards_of(items: DataFrame, id_col: str, text_col: str) -> Iterator[list[Index]]:
+    """Indexes of items of at most INDEX_BYTES of text (one item at least), one shard at a time on the driver."""
+
+    def indexes(rows: list[tuple[int | None, str]]) -> list[Index]:
+        return [x for x in (Index(rows), Index(rows, True)) if x.items]
+
     held, size = [], 0
     for row in items.select(F.col(id_col).cast("long"), F.col(text_col)).where(F.col(text_col).isNotNull()).toLocalIterator():
         if held and size + len(row[1]) > INDEX_BYTES:
-            yield held
+            yield indexes(held)
             held, size = [], 0
         held.append((row[0], row[1]))
         size += len(row[1])
     if held:
-        yield held
+        yield indexes(held)
 
 
 def contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
@@ -217,12 +231,12 @@ def contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text
     spark, parts = docs.sparkSession, []
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     for shard in shards_of(items, item_id, item_text):
-        shared = spark.sparkContext.broadcast(Index(shard))
+        shared = spark.sparkContext.broadcast(shard)
 
         def judge(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            index = shared.value
             for batch in batches:
-                rows = [(doc, *hit) for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) for hit in index.judge(text)]
+                texts = zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)
+                rows = [(doc, *hit) for doc, text in texts for index in shared.value for hit in index.judge(text)]
                 a, b, s, q, r = zip(*rows, strict=True) if rows else ([],) * 5
                 yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), *(pa.array(x, pa.float64()) for x in (s, q, r))], ["doc_id", "item_id", "score", "question_overlap", "answer_overlap"])
 
@@ -237,12 +251,11 @@ def clean(docs: DataFrame, items: DataFrame, text_col: str = "text") -> DataFram
     """docs without those that contain a test item: a filter in place, so that nothing moves and ids don't matter."""
     spark, at = docs.sparkSession, docs.columns.index(text_col)
     for shard in shards_of(items, "item_id", "text"):
-        shared = spark.sparkContext.broadcast(Index(shard))
+        shared = spark.sparkContext.broadcast(shard)
 
         def keep(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            index = shared.value
             for batch in batches:
-                yield batch.filter(pa.array([not index.judge(t) for t in batch.column(at).to_pylist()], pa.bool_()))
+                yield batch.filter(pa.array([not any(index.judge(t) for index in shared.value) for t in batch.column(at).to_pylist()], pa.bool_()))
 
         docs = docs.mapInArrow(tidy(keep), docs.schema)
     return docs
