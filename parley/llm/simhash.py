@@ -7,7 +7,9 @@ up once every distance in it exceeds the radius. Buckets too large for one task
 of chunks becomes a group of its own. Only a spanning forest of each group leaves it.
 
 Defined results: null and empty texts have fingerprint zero, which links like any other; repeated rows share a
-fingerprint; an empty table gives an empty result; other columns are ignored.
+fingerprint, rows that share an id are judged by their own texts; bits set in exactly half of the shingles are 0; a
+component without any id has none; very long texts are read whole; an empty table gives an empty result; other columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.llm.common import stored, tidy
+from parley.llm.common import Tables, free_name, one_of_each, tidy
 from parley.llm.components import components, forest
 
 RADIUS = 4
@@ -72,13 +74,14 @@ def fingerprint_batch(texts: list[str | None]) -> np.ndarray:
 
 def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        fp = fingerprint_batch(batch.column(1).to_pylist()).view(np.int64)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp)], ["doc_id", "fp"])
+        fp = fingerprint_batch(batch.column(2).to_pylist()).view(np.int64)
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fp)], ["doc_id", "mark", "fp"])
 
 
 def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp): fp holds the unsigned fingerprint's 64 bits as a long."""
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(_fingerprints), "doc_id long, fp long")
+    """(doc_id, mark, fp): fp holds the unsigned fingerprint's 64 bits as a long, mark is the text's hash."""
+    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text_col).alias("mark"), F.col(text_col).alias("text"))
+    return rows.mapInArrow(tidy(_fingerprints), "doc_id long, mark long, fp long")
 
 
 def planes_of(fp: np.ndarray) -> np.ndarray:
@@ -246,11 +249,11 @@ def _chunk_pair(key: tuple, table: pa.Table) -> pa.Table:
     return pa.table({"a": both[v], "b": both[u]})
 
 
-def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
+def links(distinct: DataFrame, tables: Tables, radius: int = RADIUS) -> DataFrame:
     """distinct: one long column fp. Links (a, b) that connect all fingerprints within the radius of each other."""
     spread = F.explode(F.array(*[F.struct(F.lit(t).alias("bucket"), F.col("fp").bitwiseAND(F.lit(signed(m))).alias("k")) for t, m in enumerate(masks(radius))])).alias("e")
     dealt = distinct.select("fp", spread).select("e.bucket", "e.k", "fp").repartition("bucket", "k").sortWithinPartitions("bucket", "k", "fp")
-    first = stored(dealt.mapInArrow(tidy(_bucket_links), "a long, b long, chunk int, bucket int"), "links")
+    first = tables.keep(dealt.mapInArrow(tidy(_bucket_links), "a long, b long, chunk int, bucket int"), "links")
     plain = first.where("chunk IS NULL").select("a", "b")
     large = first.where("chunk IS NOT NULL")
     last = large.groupBy("bucket", "b").agg(F.max("chunk").alias("top"))
@@ -260,14 +263,36 @@ def links(distinct: DataFrame, radius: int = RADIUS) -> DataFrame:
 
 
 def cluster(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
-    """(doc_id, fp, component_id): component_id is the smallest doc_id reachable over links."""
-    prints = stored(fingerprints(df, id_col, text_col), "fingerprints")
-    reps = stored(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
-    moved = components(links(reps.select("fp"), radius))
+    """(doc_id, mark, fp, component_id): component_id is the smallest doc_id reachable over links."""
+    tables = Tables(df.sparkSession)
+    prints = tables.keep(fingerprints(df, id_col, text_col), "fingerprints")
+    reps = tables.keep(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
+    moved = components(links(reps.select("fp"), tables, radius), tables)
     rooted = reps.join(moved, reps.fp == moved.node, "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("rep").alias("component_id"))
     named = rooted.join(least, "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    return prints.join(named, "fp").select("doc_id", "mark", "fp", "component_id")
+
+
+def one_of_each_group(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """df with one row of each component: that of the smallest id, and of rows with that id the one of the smallest text hash.
+
+    Rows without an id stay. A row is known by its id and its text's hash; of rows alike in both, one stays.
+    """
+    doc, mark, copies = (free_name(df, f"group_{x}") for x in ("doc", "mark", "copies"))
+    tables = Tables(df.sparkSession)
+    rows = tables.keep(cluster(df, id_col, text_col).where("doc_id IS NOT NULL"), "clusters")
+    first = rows.where(F.col("doc_id") == F.col("component_id"))
+    several = tables.keep(first.groupBy("component_id").agg(F.min("mark").alias("least"), F.count("*").alias("n")).where("n > 1"), "several")  # repeated ids alone
+    twins = first.join(several, "component_id").select("doc_id", "mark", (F.col("mark") == F.col("least")).alias("stays"))
+    gone = rows.where(F.col("doc_id") != F.col("component_id")).select("doc_id", "mark").unionByName(twins.where("NOT stays").select("doc_id", "mark")).distinct()
+    gone = gone.select(F.col("doc_id").alias(doc), F.col("mark").alias(mark))
+    own = [F.col(id_col).cast("long") == F.col(doc), F.xxhash64(text_col) == F.col(mark)]
+    left = df.join(gone, own[0] & own[1], "left_anti")
+    if several.isEmpty():
+        return left
+    counted = twins.where("stays").groupBy("doc_id", "mark").agg(F.count("*").alias(copies)).select(F.col("doc_id").alias(doc), F.col("mark").alias(mark), copies)
+    return one_of_each(left.join(counted, own[0] & own[1], "left"), counted.where(F.col(copies) > 1), copies, [doc, mark]).drop(doc, mark, copies)
 
 
 def with_hex(clusters: DataFrame) -> DataFrame:
