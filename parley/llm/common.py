@@ -11,7 +11,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from parley.sources.tables import Tables, fresh_path, load, remove  # noqa: F401
-from parley.sources.tables import written as stored  # noqa: F401
 
 #: The word alphabet of every contract: anything but blank and the five control blanks.
 WORD_GAP = r"[\x20\x09-\x0D]+"

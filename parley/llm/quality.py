@@ -5,6 +5,7 @@ Policies are versioned bit masks over that ledger, so changing a policy or askin
 reads a text again.
 
 Defined results: null and empty texts measure 0 everywhere and fail ``few_words``; repeated rows are judged row by
+row; of equal lines or windows the first counts as the original; very long texts are measured whole, in arrays of one
 row; an empty table gives an empty ledger; columns other than the id and the text are ignored.
 Repeated windows are found by their 64-bit XXH64 within one document (n windows: a false repeat with odds n*n/2**65).
 """

@@ -15,6 +15,11 @@ def op1_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.apply_policy(quality.ledger(load(spark, sf_dir, "documents").select("doc_id", "text")))
 
 
+def quality_rule_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each rule of the latest policy rejects, and what it alone rejects."""
+    return quality.ablation(quality.ledger(load(spark, sf_dir, "documents").select("doc_id", "text")))
+
+
 def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.with_hex(simhash.cluster(load(spark, sf_dir, "documents")))
 
@@ -77,6 +82,7 @@ def op3_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_ledger": op1_quality_ledger,
+        "quality_rule_ablation": quality_rule_ablation,
         "op2_simhash_groups": op2_simhash_groups,
         "op10_fuzzy_lines": op10_fuzzy_lines,
         "op6_token_shards": op6_token_shards,
@@ -90,4 +96,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_quality_ledger": sql.QUALITY}
+    return {"op1_quality_ledger": sql.QUALITY, "quality_rule_ablation": sql.ABLATION}

@@ -22,3 +22,11 @@ QUALITY = QUALITY_MEASURES + """
 SELECT doc_id, n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words, fail_bits,
        fail_bits & 3 != 0 AS base_failed, fail_bits = 0 AS kept FROM b
 """
+
+#: The rules of policy v2 and their bits.
+ABLATION = QUALITY_MEASURES + """
+, r AS (SELECT * FROM (VALUES ('few_words', 1), ('repeated_windows', 2), ('symbols', 4), ('repeated_lines', 8), ('tiny_words', 16), ('giant_words', 32)) v(rule, bit)),
+c AS (SELECT fail_bits AS bits, count(*) AS n FROM b GROUP BY 1)
+SELECT rule, coalesce(sum(n) FILTER (bits & bit != 0), 0)::BIGINT AS n_failed, coalesce(sum(n) FILTER (bits = bit), 0)::BIGINT AS n_only_this,
+       bit_or(bits) FILTER (bits & bit != 0)::BIGINT AS fails_with FROM c, r GROUP BY rule
+"""

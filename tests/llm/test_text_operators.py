@@ -63,6 +63,13 @@ def test_quality_matches_sql(spark, duck):
     assert sorted(map(tuple, df.select(names).collect())) == sorted(rel.fetchall())
 
 
+def test_ablation_matches_sql(spark, duck):
+    df = queries.quality_rule_ablation(spark, SF)
+    rel = duck.execute(queries.oracle_sql()["quality_rule_ablation"])
+    names = [d[0] for d in rel.description]
+    assert sorted(map(tuple, df.select(names).collect())) == sorted(rel.fetchall())
+
+
 def test_quality_hard_rows_policies_and_ablation(hard, empty):
     rows = quality.apply_policy(quality.ledger(hard)).collect()
     assert len(rows) == len(HARD)
@@ -233,6 +240,12 @@ def test_language_hard_rows(spark, hard, empty, docs):
     assert far[2]  # a script that no language was learned from
 
 
+def test_language_of_texts_without_letters_of_any_plane(docs):
+    model = language.fit([(lang, t) for _, t, lang in docs if any(map(str.isalpha, t))])
+    got = model.predict(["\U0001f600", "。。！", "\u3000\u3001 12", "日本語", "𝔞"])
+    assert [g[0] == "und" for g in got] == [True, True, True, False, False]
+
+
 def test_merge_dropout_round_trips(docs):
     import sentencepiece
 
@@ -339,6 +352,14 @@ def test_wand_finds_what_scoring_everything_finds():
             assert all(found[d] == pytest.approx(scores[d]) for d in found)
 
 
+def test_short_items_count_where_all_their_words_follow_each_other(spark):
+    items = spark.createDataFrame([(1, "Who wrote the odd book? Ada."), (2, "yes"), (3, "..."), (4, "the odd book")], "item_id long, text string")
+    texts = ["so who wrote the odd book ada asked", "who wrote the book, the odd one? ada", "yesterday", "well, YES!", None, "", "an odd book"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {(r.doc_id, r.item_id) for r in decontaminate.contaminated(df, items).collect()} == {(0, 1), (0, 4), (3, 2)}
+    assert {r.doc_id for r in decontaminate.clean(df, items).collect()} == {1, 2, 4, 5, 6}
+
+
 def test_leaks_hard_rows(spark, hard, empty, monkeypatch):
     items = spark.createDataFrame([(1, "The cat sat on the mat and looked at the dog for a very long while."), (2, None), (3, ""), (None, "nothing of this is in any of the documents here at all")], "item_id long, text string")
     assert {r.doc_id for r in decontaminate.contaminated(hard, items).collect()} == {5, 6}
@@ -380,6 +401,37 @@ def test_permutations_are_one_to_one(spark):
     assert len({r.o for r in d.collect()} - {None}) == 2000
 
 
+def test_pseudonyms_leave_look_alikes_alone(spark):
+    """No issuer's prefix, octets with leading zeros, version numbers, area codes that don't exist."""
+    same = ["9807915762804490", "010.001.1.1", "v1.2.3.4", "version 1.2.3.4", "123-456-7890", "213-056-7890", "1234567890123"]
+    df = spark.createDataFrame(list(enumerate(same)), "doc_id long, text string")
+    assert {r.doc_id: (r.text, r.n_replaced) for r in pii.pseudonymise(df).collect()} == {k: (t, 0) for k, t in enumerate(same)}
+    cards = ["4111111111111111", "5500005555555559", "340000000000009", "6011000000000004", "2221000000000009"]
+    rows = pii.pseudonymise(spark.createDataFrame(list(enumerate(cards)), "doc_id long, text string")).orderBy("doc_id").collect()
+    assert all(r.n_replaced == 1 and len(r.text) == len(c) and r.text[0] == c[0] and r.text != c for r, c in zip(rows, cards, strict=True))
+    phones = [f"{a}-{b}-{c}" for a in ("212", "913") for b in ("555", "200", "777") for c in ("0123", "9999", "4567")]
+    out = [r.text for r in pii.pseudonymise(spark.createDataFrame([(p,) for p in phones], "text string")).collect()]
+    assert len(set(out)) == len(phones) and all(o[0] in "23456789" and o[4] in "23456789" for o in out)
+    linked = pii.pseudonymise(spark.createDataFrame([("212-555-0123",), ("+1 (212) 555-0123",)], "text string")).collect()
+    assert "".join(filter(str.isdigit, linked[0].text)) == "".join(filter(str.isdigit, linked[1].text))[1:]
+
+
+def test_pseudonyms_query_over_whole_texts(spark):
+    """The registered query: what isn't found stays to the letter, and equal values stay equal in all documents."""
+    import re
+
+    before = {r.doc_id: r.text for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
+    link = {}
+    for r in queries.op8_pii_pseudonyms(spark, SF).collect():
+        old, new = before[r.doc_id], r.text
+        parts = re.split(pii.EMAIL, old)
+        assert r.n_replaced or old == new
+        assert [p for p in re.split(pii.EMAIL, new)][0][:5] == parts[0][:5]
+        for a, b in zip(re.findall(pii.EMAIL, old), re.findall(pii.EMAIL, new), strict=True):
+            assert link.setdefault(a.lower(), b) == b != a
+    assert len(set(link.values())) == len(link)
+
+
 def test_pseudonyms_hard_rows(hard, empty):
     out = pii.pseudonymise(hard)
     assert set(out.columns) == set(hard.columns)
@@ -454,6 +506,38 @@ def test_pages_without_articles_lose_repeated_runs():
     assert html_text.texts_of(same) == ["one article that two addresses of a host carry word for word"] * 2  # copies aren't furniture
 
 
+def test_pages_of_a_host_give_equal_texts_on_any_number_of_partitions(spark, monkeypatch):
+    """Cohorts follow the pages, not the partitions; a menu that no cohort lacks goes everywhere."""
+    menu = "<p>home news sport weather travel food culture games archive contact</p>"
+    rows = [(k, "http://one.host/p" if k % 7 else "http://two.host/p", f"<body>{menu}<p>{' '.join(WORDS[(k * 5 + j * j) % len(WORDS)] for j in range(14))} page {k}</p></body>") for k in range(120)]
+    rows.append((500, "http://two.host/long", f"<article><p>{LONG}</p></article><p>left open by structure and unique</p>"))
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    results = []
+    monkeypatch.setattr(html_text, "PAGES", 25)
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        for n in (1, 8, 61):
+            spark.conf.set("spark.sql.shuffle.partitions", n)
+            results.append(sorted((r.page_id, r.text) for r in html_text.extract(df.repartition(n)).collect()))
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert results[0] == results[1] == results[2]
+    texts = dict(results[0])
+    assert len(texts) == len(rows) and all("sport weather" not in t for t in texts.values()) and all(f"page {k}" in texts[k] for k in range(120))
+    assert texts[500] == " ".join(LONG.split()) + "\nleft open by structure and unique"
+
+
+def test_the_array_alone_finds_menus_without_tags(spark):
+    from pyspark.sql import functions as F
+
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    alone = {r.page_id: r.text for r in html_text.extract(pages, structure=False).collect()}
+    both = {r.page_id: r.text for r in html_text.extract(pages).collect()}
+    assert alone.keys() == both.keys() and pages.agg(F.count("*")).first()[0] == len(both)
+    kept = np.mean([len(set(both[k].split("\n")) & set(alone[k].split("\n"))) / len(set(both[k].split("\n"))) for k in both if both[k]])
+    assert kept > 0.5  # hosts repeat articles: the array alone takes some of them for furniture
+
+
 def test_repeats_against_brute_force():
     rng = np.random.default_rng(4)
     page = np.repeat(np.arange(6), 60)
@@ -479,6 +563,19 @@ def test_pages_hard_rows(spark):
     assert html_text.extract(df.where("false")).count() == 0
 
 
+def test_pipeline_keeps_rows_that_share_an_id(spark):
+    """Group stage: a row goes only if its own text is a copy; of rows alike, one stays."""
+    import corpus_pipeline as C
+
+    rng = np.random.default_rng(12)
+    a, z, y = (" ".join(rng.choice(WORDS, 60)) for _ in range(3))
+    rows = [(1, a, 10), (2, a, 11), (2, z, 12), (3, y, 13), (3, y, 14), (None, a, 15)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, group_doc int")
+    out = C.one_of_each_group(spark, df, SF)
+    assert out.columns == df.columns
+    assert sorted((r.doc_id or 0, r.text) for r in out.collect()) == sorted([(0, a), (1, a), (2, z), (3, y)])
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as C
 
@@ -499,12 +596,19 @@ def test_pipeline_stages(spark):
 
 
 def test_pipeline_stages_on_hard_and_empty_tables(spark, hard, empty):
+    from pyspark.sql import functions as F
+
     import corpus_pipeline as C
 
-    for table in (hard, empty):
+    left = {
+        "language": Counter({4: 1, 5: 1, 6: 2, None: 1, 7: 1, -9: 1}), "line_dedup": Counter({None: 2, 1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 7: 1, 8: 1, -9: 1}),
+        "simhash": Counter({None: 2, 1: 1, 4: 1, 5: 1, 7: 1, 8: 1, -9: 1}), "decontamination": Counter(i for i, _ in HARD), "sentencepiece": Counter(i for i, _ in HARD),
+    }
+    labelled = hard.withColumn("lang", F.lit("en"))
+    for table in (labelled, empty):
         for name, stage in C.STAGES:
             out = stage(spark, table, SF)
-            out.count()
+            assert Counter(r.doc_id for r in out.select("doc_id").collect()) == (left[name] if table is labelled else Counter()), name
             assert name == "sentencepiece" or out.columns == table.columns
 
 
