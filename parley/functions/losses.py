@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from typing import Protocol, runtime_checkable
 
 import numpy as np
 
@@ -24,6 +25,43 @@ def _ones(x: np.ndarray) -> np.ndarray:
     return np.concatenate([x, np.ones((*x.shape[:-1], 1))], axis=-1)
 
 
+@runtime_checkable
+class Loss(Protocol):
+    """What the round loop needs of a loss: any object with these members trains, built in or not.
+
+    size: numbers in a model; task: "classification", "regression" or "growth". value, grad and predict take models W (P, size)
+    and rows X (P, B, ...), y (P, B, ...) of P parties. Optional: lipschitz(x) for step lengths and exact minimisers,
+    solve(w, x, y, z, sigma) where the penalised minimiser has a closed form.
+    """
+
+    task: str
+
+    @property
+    def size(self) -> int: ...
+
+    def value(self, w: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray: ...
+
+    def grad(self, w: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray: ...
+
+    def predict(self, w: np.ndarray, x: np.ndarray) -> np.ndarray: ...
+
+
+def minimiser(loss: Loss, w: np.ndarray, x: np.ndarray, y: np.ndarray, z: np.ndarray, sigma: float, tol: float = 1e-10, limit: int = 50_000) -> np.ndarray:
+    """The exact minimiser of each party's loss + sigma / 2 |w - z|^2: closed form where the loss has one, else accelerated gradients."""
+    if hasattr(loss, "solve"):
+        return loss.solve(w, x, y, z, sigma)
+    smooth = loss.lipschitz(list(x)) + sigma
+    turn = (np.sqrt(smooth) - np.sqrt(sigma)) / (np.sqrt(smooth) + np.sqrt(sigma))
+    ahead = w
+    for _ in range(limit):
+        slope = loss.grad(ahead, x, y) + sigma * (ahead - z)
+        new = ahead - slope / smooth
+        if np.abs(slope).max() <= tol:
+            return new
+        ahead, w = new + turn * (new - w), new
+    return w
+
+
 @dataclass(frozen=True)
 class Linear:
     """Half the squared error, no intercept."""
@@ -44,6 +82,10 @@ class Linear:
     def predict(self, w, x):
         return np.einsum("pbf,pf->pb", x, w)
 
+    def solve(self, w, x, y, z, sigma):
+        gram = np.einsum("pbf,pbg->pfg", x, x) / x.shape[1] + sigma * np.eye(self.features)
+        return np.linalg.solve(gram, (np.einsum("pbf,pb->pf", x, y) / x.shape[1] + sigma * z)[..., None])[..., 0]
+
     def lipschitz(self, x):
         return float(max(np.linalg.eigvalsh(a.T @ a / len(a))[-1] for a in x))
 

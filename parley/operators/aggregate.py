@@ -8,15 +8,17 @@ step: tasks add up their own weighted vectors, and only those sums move.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from parley.functions.centres import Layout, centre, clipped
+from parley.functions.centres import Layout, clipped, solved
 from parley.functions.prox import Regulariser
-from parley.plans.choose import aggregator
+from parley.plans.choose import MEDIAN_ROWS, aggregator
 
 
 def long_form(models: DataFrame, w: str = "w", *keep: str) -> DataFrame:
@@ -32,14 +34,54 @@ def weighted_mean(models: DataFrame, weight: str = "weight") -> DataFrame:
     return long_form(models, "w", weight).groupBy("coord").agg((F.sum(F.col(weight) * F.col("value")) / F.sum(weight)).alias("g"))
 
 
-def coordinate_median(models: DataFrame) -> DataFrame:
-    """Exact; an even number of parties gives the middle of the two inner values."""
-    return long_form(models).groupBy("coord").agg(F.percentile("value", 0.5).alias("g"))
+@contextmanager
+def held(models: DataFrame):
+    """Models that an iteration scans many times: made once, in memory or on disk, and made anew where an executor is lost."""
+    own = models.select("w")
+    if own.storageLevel.useMemory or own.storageLevel.useDisk:
+        yield own
+        return
+    own.persist(StorageLevel.MEMORY_AND_DISK)
+    try:
+        yield own
+    finally:
+        own.unpersist()
 
 
-def approximate_coordinate_median(models: DataFrame, accuracy: int = 10_000) -> DataFrame:
-    """Mergeable sketch for party counts beyond one task's memory."""
-    return long_form(models).groupBy("coord").agg(F.percentile_approx("value", 0.5, accuracy).alias("g"))
+def coordinate_median(models: DataFrame, parties: int | None = None, weight: str | None = None) -> DataFrame:
+    """Exact; an even number of parties gives the middle of the two inner values. weight: the lower weighted median.
+
+    Up to MEDIAN_ROWS parties a coordinate's values meet in one buffer; beyond, sketched bounds first leave the few values
+    around the middle (the result is the same).
+    """
+    if weight:
+        return _weighted_median(models, weight)
+    if (models.count() if parties is None else parties) <= MEDIAN_ROWS:
+        return long_form(models).groupBy("coord").agg(F.percentile("value", 0.5).alias("g"))
+    return median_between_bounds(models)
+
+
+def median_between_bounds(models: DataFrame, accuracy: int = 10_000) -> DataFrame:
+    """The exact median from a mergeable sketch: values outside its bounds are only counted."""
+    rows, e = long_form(models), 2.0 / accuracy
+    sketch = rows.groupBy("coord").agg(F.percentile_approx("value", [max(0.0, 0.5 - e), 0.5 + e], accuracy).alias("q"))
+    near = rows.join(sketch, "coord").withColumn("side", F.when(F.col("value") < F.col("q")[0], -1).when(F.col("value") > F.col("q")[1], 1).otherwise(0))
+    counts = near.groupBy("coord").agg(F.count("*").alias("n"), F.sum((F.col("side") < 0).cast("long")).alias("below"))
+    # equal values count as one row with their number, so that ties don't fill a task
+    inner = near.where("side = 0").groupBy("coord", "value").agg(F.count("*").alias("k")).join(counts, "coord")
+    upto = F.sum("k").over(Window.partitionBy("coord").orderBy("value")) + F.col("below")
+    lower, upper = F.floor((F.col("n") + 1) / 2), F.floor(F.col("n") / 2) + 1
+    placed = inner.withColumn("upto", upto).withColumn("from", F.col("upto") - F.col("k") + 1)
+    at = lambda place: F.max(F.when((F.col("from") <= place) & (F.col("upto") >= place), F.col("value")))
+    return placed.groupBy("coord").agg(((at(lower) + at(upper)) / 2).alias("g"))
+
+
+def _weighted_median(models: DataFrame, weight: str) -> DataFrame:
+    """Per coordinate the smallest value at which half of all weight is reached."""
+    rows = long_form(models, "w", weight).groupBy("coord", "value").agg(F.sum(weight).alias("weight"))
+    total = rows.groupBy("coord").agg(F.sum("weight").alias("total"))
+    upto = F.sum("weight").over(Window.partitionBy("coord").orderBy("value"))
+    return rows.withColumn("upto", upto).join(total, "coord").where(F.col("upto") >= F.col("total") / 2).groupBy("coord").agg(F.min("value").alias("g"))
 
 
 def smoothed_coordinate_median(models: DataFrame, delta: float) -> DataFrame:
@@ -69,9 +111,10 @@ def smoothed_coordinate_median(models: DataFrame, delta: float) -> DataFrame:
 
 def plain_steps(models: DataFrame, kind: str, delta: float, steps: int) -> DataFrame:
     """A fixed number of the alternating iteration's steps, begun at the mean."""
-    g = _vector(mean(models))
-    for _ in range(steps):
-        g = g + _mean_of(models, lambda w, g=g: clipped(w - g, kind, delta))
+    with held(models) as own:
+        g = _start(own)
+        for _ in range(steps):
+            g = g + _mean_of(own, lambda w, g=g: clipped(w - g, kind, delta))
     return _long(models, g)
 
 
@@ -107,48 +150,77 @@ def _mean_of(models: DataFrame, f) -> np.ndarray:
     return total / n
 
 
-def geometric_median(models: DataFrame, delta: float = 0.0, tol: float = 1e-10, limit: int = 200, start: np.ndarray | None = None) -> tuple[DataFrame, int]:
-    """Smoothed (delta > 0) or exact geometric median by reweighting; also the number of steps."""
+def _start(models: DataFrame) -> np.ndarray:
+    """The mean, from the same partial sums as every later step."""
+    return _mean_of(models, lambda w: w)
+
+
+def geometric_median(
+    models: DataFrame, delta: float = 0.0, tol: float = 1e-10, limit: int = 500, start: np.ndarray | None = None, weight: str | None = None
+) -> tuple[DataFrame, int]:
+    """Smoothed (delta > 0) or exact geometric median by reweighting, weighted if a column says so; also the number of steps."""
     floor = max(float(delta), 1e-9)
-    g = _vector(mean(models)) if start is None else start
-    for k in range(limit):
-
-        def pull(w: np.ndarray, g: np.ndarray = g) -> tuple[np.ndarray, np.ndarray]:
-            share = np.minimum(1, floor / np.maximum(np.linalg.norm(w - g, axis=1), 1e-300))
-            return share[:, None] * w, share
-
-        total, weight = _summed(models, pull)
-        new = total / weight
-        moved = np.abs(new - g).max()
-        g = new
-        if moved <= tol * max(1.0, np.abs(g).max()):
-            return _long(models, g), k + 1
+    own = models if weight is None else models.select(F.concat(F.array(F.col(weight).cast("double")), "w").alias("w"))  # the weight travels before the vector
+
+    def parted(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return (w[:, 0], w[:, 1:]) if weight else (np.ones(len(w)), w)
+
+    with held(own) as vectors:
+        if start is None:
+            total, weights = _summed(vectors, lambda w: (parted(w)[0][:, None] * parted(w)[1], parted(w)[0]))
+            start = total / weights
+        g = start
+        for k in range(limit):
+
+            def pull(w: np.ndarray, g: np.ndarray = g) -> tuple[np.ndarray, np.ndarray]:
+                p, v = parted(w)
+                share = p * np.minimum(1, floor / np.maximum(np.linalg.norm(v - g, axis=1), 1e-300))
+                return share[:, None] * v, share
+
+            total, weights = _summed(vectors, pull)
+            new = total / weights
+            moved = np.abs(new - g).max()
+            g = new
+            if moved <= tol * max(1.0, np.abs(g).max()):
+                return _long(models, g), k + 1
     return _long(models, g), limit
 
 
 def general_centre(models: DataFrame, reg: Regulariser, sigma: float, tol: float = 1e-10, limit: int = 500) -> tuple[DataFrame, int]:
     """The alternating iteration for any proximal map."""
-    m = _vector(mean(models))
-    g = m
-    for k in range(limit):
-        new = m - _mean_of(models, lambda w, g=g: reg.prox(w - g, sigma))
-        moved = np.abs(new - g).max()
-        g = new
-        if moved <= tol:
-            return _long(models, g), k + 1
+    with held(models) as vectors:
+        m = _start(vectors)
+        g = m
+        for k in range(limit):
+            new = m - _mean_of(vectors, lambda w, g=g: reg.prox(w - g, sigma))
+            moved = np.abs(new - g).max()
+            g = new
+            if moved <= tol:
+                return _long(models, g), k + 1
+    return _long(models, g), limit
+
+
+def plain_centre(models: DataFrame, kind: str, delta: float, tol: float = 1e-10, limit: int = 100_000) -> tuple[DataFrame, int]:
+    """The alternating iteration to its end."""
+    with held(models) as vectors:
+        g = _start(vectors)
+        for k in range(limit):
+            step = _mean_of(vectors, lambda w, g=g: clipped(w - g, kind, delta))
+            g = g + step
+            if np.abs(step).max() <= tol:
+                return _long(models, g), k + 1
     return _long(models, g), limit
 
 
-def hybrid(models: DataFrame, layout: Layout) -> DataFrame:
-    """A regulariser for each block of coordinates [lo, hi)."""
-    parts = []
+def hybrid(models: DataFrame, layout: Layout, sigma: float = 1.0, exact: bool = False, solver: str = "accelerated", parties: int | None = None) -> tuple[DataFrame, int]:
+    """A regulariser for each block of coordinates [lo, hi); also the steps of all blocks."""
+    out, steps = None, 0
     for lo, hi, reg in layout:
         block = models.select("party_id", F.slice("w", lo + 1, hi - lo).alias("w"))
-        parts.append(aggregate(block, reg).select((F.col("coord") + lo).alias("coord"), "g"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+        g, k = solve(block, reg, sigma, exact, solver, parties, hi - lo)
+        part = g.select((F.col("coord") + lo).cast("int").alias("coord"), "g")
+        out, steps = part if out is None else out.unionByName(part), steps + k
+    return out, steps
 
 
 def carried_forward(models: DataFrame, news: DataFrame) -> DataFrame:
@@ -156,26 +228,49 @@ def carried_forward(models: DataFrame, news: DataFrame) -> DataFrame:
     return models.join(news.withColumnRenamed("w", "__new"), "party_id", "left").select("party_id", F.coalesce("__new", "w").alias("w"))
 
 
-def aggregate(models: DataFrame, reg: Regulariser, sigma: float = 1.0, exact: bool = False, solver: str = "accelerated", parties: int | None = None, size: int | None = None) -> DataFrame:
-    """(coord, g) by the form that the planner picks."""
+def solve(
+    models: DataFrame, reg: Regulariser, sigma: float = 1.0, exact: bool = False, solver: str = "accelerated", parties: int | None = None, size: int | None = None
+) -> tuple[DataFrame, int]:
+    """(coord, g) by the form that the planner picks, and the steps it took."""
     if parties is None or size is None:
         got = models.agg(F.count("*").alias("n"), F.max(F.size("w")).alias("d")).first()
         parties, size = got["n"], got["d"] or 0
     form = aggregator(reg, parties, size).form
     if form == "mean":
-        return mean(models)
+        return mean(models), 1
     if form == "gathered":
         w = np.array([r.w for r in models.orderBy("party_id").select("w").collect()])
-        return _long(models, centre(w, reg, sigma, solver, exact))
+        g, steps = solved(w, reg, sigma, solver, exact)
+        return _long(models, g), steps
+    if solver == "plain" and not exact and reg.kind in ("l1", "l2"):
+        return plain_centre(models, reg.kind, reg.delta)
     if form == "by_coordinate":
-        return coordinate_median(models) if exact else smoothed_coordinate_median(models, reg.delta)
+        return coordinate_median(models, parties) if exact or reg.delta <= 0 else smoothed_coordinate_median(models, reg.delta), 1
     if reg.kind == "l2":
-        return geometric_median(models, 0.0 if exact else reg.delta)[0]
-    return general_centre(models, reg, sigma)[0]
+        return geometric_median(models, 0.0 if exact else reg.delta)
+    return general_centre(models, reg, sigma)
 
 
-def residual(models: DataFrame, g: DataFrame, kind: str, delta: float) -> Column | DataFrame:
+def aggregate(models: DataFrame, reg: Regulariser, sigma: float = 1.0, exact: bool = False, solver: str = "accelerated", parties: int | None = None, size: int | None = None) -> DataFrame:
+    """(coord, g) by the form that the planner picks."""
+    return solve(models, reg, sigma, exact, solver, parties, size)[0]
+
+
+def residual(models: DataFrame, g: DataFrame, kind: str, delta: float) -> DataFrame:
     """Length of the mean clipped residual: 0 at a smoothed median."""
     v = _vector(g)
     r = _mean_of(models, lambda w: clipped(w - v, kind, delta))
     return models.sparkSession.createDataFrame([(float(np.linalg.norm(r)),)], "residual double")
+
+
+def offsets(models: DataFrame, reg: Regulariser, sigma: float = 1.0) -> tuple[DataFrame, DataFrame]:
+    """Joint minimiser of the objective for fixed models: (party_id, v) and (coord, g)."""
+    g = aggregate(models, reg, sigma)
+    at = _vector(g)
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            if len(frame):
+                yield pd.DataFrame({"party_id": frame["party_id"], "v": list(reg.prox(np.stack(frame["w"].to_numpy()) - at, sigma))})
+
+    return models.select("party_id", "w").mapInPandas(part, "party_id long, v array<double>"), g
