@@ -13,6 +13,7 @@ import numpy as np
 
 from parley.functions.centres import Layout, centre
 from parley.functions.draws import mixed_np, uniform_np
+from parley.functions.losses import minimiser
 from parley.functions.prox import Regulariser
 
 MEAN, GEO, COORD = Regulariser("sq", 0.1), Regulariser("l2", 0.1), Regulariser("l1", 0.1)
@@ -56,6 +57,7 @@ class Rounds:
     seed: int = 1
     scope: str = "active"
     stragglers: float = 0.0
+    local: str = "steps"  # "exact": each party minimises its penalised loss over its batch (losses.minimiser)
 
     @property
     def kappa(self) -> float:
@@ -110,20 +112,25 @@ def fed_prox_mean() -> Method:
     return Method("fed_prox_mean", Regulariser("consensus"), 1.0, score="global")
 
 
+def _baseline(name: str, score: str, kind: str, **extra) -> Method:
+    """Parties go on from the mean, each baseline by its own steps."""
+    return Method(name, Regulariser("consensus"), 1.0, tied=False, score=score, kind=kind, extra=extra)
+
+
 def control_variate_mean(eta_g: float = 1.0) -> Method:
-    return Method("control_variate_mean", Regulariser("consensus"), 1.0, tied=False, score="global", kind="control", extra={"eta_g": eta_g})
+    return _baseline("control_variate_mean", "global", "control", eta_g=eta_g)
 
 
 def envelope_personal(lam_p: float = 15.0, inner: int = 5, beta: float = 1.0) -> Method:
-    return Method("envelope_personal", Regulariser("consensus"), 1.0, tied=False, score="theta", kind="envelope", extra={"lam_p": lam_p, "inner": inner, "beta": beta})
+    return _baseline("envelope_personal", "theta", "envelope", lam_p=lam_p, inner=inner, beta=beta)
 
 
 def meta_init_personal(alpha: float | None = None, mode: str = "fo") -> Method:
-    return Method("meta_init_personal", Regulariser("consensus"), 1.0, tied=False, score="adapted", kind="meta", extra={"alpha": alpha, "mode": mode})
+    return _baseline("meta_init_personal", "adapted", "meta", alpha=alpha, mode=mode)
 
 
 def adaptive_mix_personal(alpha0: float = 0.5, adapt: bool = True) -> Method:
-    return Method("adaptive_mix_personal", Regulariser("consensus"), 1.0, tied=False, score="mixture", kind="mix", extra={"alpha0": alpha0, "adapt": adapt})
+    return _baseline("adaptive_mix_personal", "mixture", "mix", alpha0=alpha0, adapt=adapt)
 
 
 PERSONAL = (personal_mean, personal_geomed, personal_comed)
@@ -166,7 +173,17 @@ def batch_rows(n: np.ndarray, t: int, i: int, cfg: Rounds) -> np.ndarray:
     return ((t * cfg.steps + i) * b + np.arange(b))[None, :] % n[:, None]
 
 
-def party_round(loss, method: Method, cfg: Rounds, state: dict[str, np.ndarray], g: np.ndarray, parties: np.ndarray, t: int, rows: Callable[[int], tuple[np.ndarray, np.ndarray]], control: np.ndarray | None = None) -> dict[str, np.ndarray]:
+def party_round(
+    loss,
+    method: Method,
+    cfg: Rounds,
+    state: dict[str, np.ndarray],
+    g: np.ndarray,
+    parties: np.ndarray,
+    t: int,
+    rows: Callable[[int], tuple[np.ndarray, np.ndarray]],
+    control: np.ndarray | None = None,
+) -> dict[str, np.ndarray]:
     """New state of active parties (leading axis). rows(i) gives step i's batch (x, y); control: the server's variate."""
     w0, eta, e = state["w"], cfg.eta, method.extra
     sigma = cfg.sigma if method.tied else 0.0
@@ -181,15 +198,18 @@ def party_round(loss, method: Method, cfg: Rounds, state: dict[str, np.ndarray],
     for i in range(int(steps.max())):
         x, y = rows(i)
         on = (i < steps)[:, None]
-        if method.kind == "loop":
+        if method.kind == "loop" and cfg.local == "exact":
+            new = minimiser(loss, w, x, y, anchor, sigma)
+        elif method.kind == "loop":
             new = kappa * (w - eta * loss.grad(w, x, y)) + (1 - kappa) * anchor
         elif method.kind == "control":
             new = w - eta * (loss.grad(w, x, y) - state["c"] + control)
         elif method.kind == "envelope":
-            theta = w.copy()
+            inside = w.copy()
             for _ in range(e["inner"]):
-                theta = theta - eta * (loss.grad(theta, x, y) + e["lam_p"] * (theta - w))
-            new = w - eta * e["lam_p"] * (w - theta)
+                inside = inside - eta * (loss.grad(inside, x, y) + e["lam_p"] * (inside - w))
+            new = w - eta * e["lam_p"] * (w - inside)
+            theta = np.where(on, inside, theta)  # a party's own steps end before those of others
         elif method.kind == "meta":
             a = eta if e["alpha"] is None else e["alpha"]
             inner = loss.grad(w - a * loss.grad(w, x, y), *rows(i + 1))

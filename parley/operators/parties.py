@@ -69,6 +69,11 @@ def negate(df: DataFrame, share: float, n: int, x: str = "x") -> DataFrame:
     return df.withColumn(x, F.when(F.col("party_id") < int(round(share * n)), F.transform(x, lambda a: -a)).otherwise(F.col(x)))
 
 
+def outlier(df: DataFrame, party: int, far: float = 8.0, y: str = "y") -> DataFrame:
+    """One party's targets moved far out, as if its model came from another centre."""
+    return df.withColumn(y, F.when(F.col("party_id") == party, F.col(y) * far).otherwise(F.col(y)))
+
+
 def noisy_classes(df: DataFrame, seed: int, key: str, classes: int = 10, per_party: int = 2, scale: float = 0.3, x: str = "x", label: str = "y") -> DataFrame:
     """Laplace noise on the inputs of per_party neighbouring classes of each party."""
     first = F.pmod(mixed(seed, 5, F.col("party_id")), F.lit(classes))

@@ -6,7 +6,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from parley.operators.methods import Method, Rounds, draw_active, initial, party_round
+from parley.operators.methods import Method, Rounds
+from parley.operators.rounds import RunResult, run_rounds
 
 
 def statistics(examples: DataFrame, features: int) -> DataFrame:
@@ -16,28 +17,26 @@ def statistics(examples: DataFrame, features: int) -> DataFrame:
     return examples.groupBy("party_id").agg(F.count("*").alias("n"), F.array(*gram).alias("gram"), F.array(*cross).alias("cross"))
 
 
-class _FromStatistics:
+class FromStatistics:
+    """Half the squared error, of a party whose one row holds its Gram matrix (x) and cross products (y)."""
+
     task = "regression"
 
-    def __init__(self, gram: np.ndarray, cross: np.ndarray):
-        self.gram, self.cross, self.size = gram, cross, cross.shape[1]
+    def __init__(self, features: int):
+        self.size = features
 
     def grad(self, w, x, y):
-        return np.einsum("pij,pj->pi", x, w) - y
-
-
-def rounds(stats: DataFrame, method: Method, cfg: Rounds) -> tuple[dict[int, np.ndarray], np.ndarray]:
-    """Models of the parties and the centre after full-gradient rounds; the statistics (features**2 numbers a party) are gathered once."""
-    rows = stats.orderBy("party_id").collect()
-    d = len(rows[0].cross)
-    gram, cross = np.array([r.gram for r in rows]).reshape(-1, d, d), np.array([r.cross for r in rows])
-    loss, g, places = _FromStatistics(gram, cross), np.zeros(d), np.arange(len(rows))
-    state = initial(method, len(rows), g)
-    for t in range(cfg.rounds):
-        k = draw_active(places, cfg.active, t, cfg.seed)
-        new = party_round(loss, method, cfg, {m: v[k] for m, v in state.items()}, g, k, t, lambda i, k=k: (gram[k], cross[k]))
-        for m, v in new.items():
-            state[m][k] = v
-        if method.aggregates:
-            g = method.centre(state["w"] if cfg.scope == "all" else new["w"], cfg.sigma)
-    return {r.party_id: w for r, w in zip(rows, state["w"], strict=True)}, g
+        return np.einsum("pij,pj->pi", x[:, 0].reshape(len(w), self.size, self.size), w) - y[:, 0]
+
+    def solve(self, w, x, y, z, sigma):
+        gram = x[:, 0].reshape(len(w), self.size, self.size) + sigma * np.eye(self.size)
+        return np.linalg.solve(gram, (y[:, 0] + sigma * z)[..., None])[..., 0]
+
+
+def rounds(stats: DataFrame, method: Method, cfg: Rounds) -> RunResult:
+    """Full-gradient rounds by the distributed loop over one row a party; nothing but the centre comes to the driver."""
+    if cfg.batch is not None:
+        raise ValueError("sufficient statistics give full gradients only")
+    features = stats.select(F.max(F.size("cross"))).first()[0] or 0
+    rows = stats.select("party_id", F.lit(0).cast("long").alias("pos"), F.lit(1).cast("long").alias("n"), F.col("gram").alias("x"), F.col("cross").alias("y"))
+    return run_rounds(rows, FromStatistics(features), method, cfg)

@@ -8,19 +8,22 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from parley.functions.prox import envelope_np
 from parley.operators.methods import Method, Rounds, batch_rows, draw_active, initial, judged, party_round
+from parley.plans.choose import TASK_BYTES
 
 
 @dataclass
 class Federation:
-    """Training and test rows of each party (lists of arrays)."""
+    """Training and test rows of each party (lists of arrays); ids: the parties' own numbers, ascending, if not 0, 1, ..."""
 
     x: list[np.ndarray]
     y: list[np.ndarray]
     xt: list[np.ndarray]
     yt: list[np.ndarray]
+    ids: np.ndarray | None = None
 
     @property
     def parties(self) -> np.ndarray:
@@ -36,6 +39,23 @@ def split(x: list[np.ndarray], y: list[np.ndarray], share: float, seed: int) ->
     return Federation(*map(list, zip(*parts, strict=True)))
 
 
+def fits(examples: DataFrame, limit: int = TASK_BYTES) -> bool:
+    """Whether an example table may be held by one task: from its row count and the width of its widest row."""
+    got = examples.agg(F.count("*").alias("n"), F.max(F.size("x")).alias("d")).first()
+    return got["n"] * ((got["d"] or 0) + 8) * 8 <= limit
+
+
+def gathered(examples: DataFrame) -> Federation:
+    """The federation of an example table that fits a task; a party without test rows trains and has no score."""
+    rows = examples.select("party_id", "pos", "split", "x", "y").orderBy("party_id", "pos").toPandas()
+    parts: dict[int, dict[str, tuple]] = {}
+    for (party, name), own in rows.groupby(["party_id", "split"], sort=True):
+        parts.setdefault(int(party), {})[name] = np.stack(own["x"].to_numpy()), np.stack(own["y"].to_numpy())
+    ids = sorted(k for k, p in parts.items() if "train" in p)
+    test = [parts[k].get("test", tuple(a[:0] for a in parts[k]["train"])) for k in ids]
+    return Federation([parts[k]["train"][0] for k in ids], [parts[k]["train"][1] for k in ids], [x for x, _ in test], [y for _, y in test], np.array(ids, np.int64))
+
+
 def score(loss, w: np.ndarray, x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
     """Accuracy, mean squared error or log growth of each party's parameters on its rows."""
     out = np.full(len(x), np.nan)
@@ -50,6 +70,12 @@ def score(loss, w: np.ndarray, x: list[np.ndarray], y: list[np.ndarray]) -> np.n
     return out
 
 
+def _mean(scores: np.ndarray) -> float:
+    """Of the parties that have a score; none: not a number."""
+    known = scores[~np.isnan(scores)]
+    return float(known.mean()) if len(known) else float("nan")
+
+
 def objective(loss, method: Method, cfg: Rounds, w: np.ndarray, g: np.ndarray, fed: Federation) -> float:
     """The joint objective with offsets and centre minimised out, for the models w and the centre g."""
     f = np.array([loss.value(w[k : k + 1], fed.x[k][None], fed.y[k][None])[0] for k in fed.parties])
@@ -59,6 +85,7 @@ def objective(loss, method: Method, cfg: Rounds, w: np.ndarray, g: np.ndarray, f
 def simulate(loss, fed: Federation, method: Method, cfg: Rounds, every: int = 0, g0: np.ndarray | None = None, watch: Callable | None = None) -> dict:
     """Final scores, and a log with a row for each watched round: (round, mean test score, mean and deviation of the change at aggregation)."""
     parties, n = fed.parties, np.array([len(a) for a in fed.x])
+    ids = parties if fed.ids is None else fed.ids
     g = np.zeros(loss.size) if g0 is None else g0
     state, log = initial(method, len(parties), g), []
     control = np.zeros(loss.size)
@@ -77,13 +104,13 @@ def simulate(loss, fed: Federation, method: Method, cfg: Rounds, every: int = 0,
         return np.concatenate([loss.grad(start[j : j + 1], fed.x[j][None], fed.y[j][None]) for j in parties])
 
     for t in range(cfg.rounds):
-        k = draw_active(parties, cfg.active, t, cfg.seed)
+        k = np.searchsorted(ids, draw_active(ids, cfg.active, t, cfg.seed))
         part = {name: v[k] for name, v in state.items()}
         if cfg.batch is None and len(set(n[k])) > 1:
-            new = [party_round(loss, method, cfg, {m: v[j : j + 1] for m, v in part.items()}, g, k[j : j + 1], t, rows(k[j : j + 1], t), control) for j in range(len(k))]
+            new = [party_round(loss, method, cfg, {m: v[j : j + 1] for m, v in part.items()}, g, ids[k[j : j + 1]], t, rows(k[j : j + 1], t), control) for j in range(len(k))]
             new = {m: np.concatenate([x[m] for x in new]) for m in part}
         else:
-            new = party_round(loss, method, cfg, part, g, k, t, rows(k, t), control)
+            new = party_round(loss, method, cfg, part, g, ids[k], t, rows(k, t), control)
         if method.kind == "control":
             control = control + len(k) / len(parties) * (new["c"] - part["c"]).mean(0)
         before = new["w"]
@@ -106,7 +133,7 @@ def simulate(loss, fed: Federation, method: Method, cfg: Rounds, every: int = 0,
             after = (1 - method.lam) * before + method.lam * g  # what the parties go on from
             change = after - before
             own = judged(loss, method, cfg, state, g, train_gradient)
-            log.append((t + 1, float(np.nanmean(score(loss, own, fed.xt, fed.yt))), float(change.mean()), float(change.std())))
+            log.append((t + 1, _mean(score(loss, own, fed.xt, fed.yt)), float(change.mean()), float(change.std())))
     own = judged(loss, method, cfg, state, g, train_gradient)
     return {"state": state, "g": g, "log": log, "party": score(loss, own, fed.xt, fed.yt), "own": own}
 
@@ -115,18 +142,19 @@ RESULT = "dataset string, n_parties int, method string, seed int, round int, sco
 
 
 def sweep(spark: SparkSession, settings: Iterable[tuple], build: Callable[[str, int, int], tuple]) -> DataFrame:
-    """Results of settings (dataset, n_parties, method, rounds-config), each in a task; build(dataset, n, seed) gives (loss, federation)."""
-    listed = list(settings)
+    """Results of settings (dataset, n_parties, method, rounds-config, every[, name]), each in a task; build(dataset, n, seed) gives (loss, federation)."""
+    listed = [(*s, s[0]) if len(s) == 5 else s for s in settings]
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
             rows = []
             for i in frame["id"]:
-                dataset, n, method, cfg, every = listed[i]
+                dataset, n, method, cfg, every, name = listed[i]
                 loss, fed = build(dataset, n, cfg.seed)
                 r = simulate(loss, fed, method, cfg, every)
-                worst = np.nanmax(r["party"]) if loss.task == "regression" else np.nanmin(r["party"])
-                rows += [(dataset, n, method.name, cfg.seed, t, s, float(worst), m, d) for t, s, m, d in r["log"]]
+                known = r["party"][~np.isnan(r["party"])]
+                worst = (known.max() if loss.task == "regression" else known.min()) if len(known) else np.nan
+                rows += [(name, n, method.name, cfg.seed, t, s, float(worst), m, d) for t, s, m, d in r["log"]]
             yield pd.DataFrame(rows, columns=[c.split()[0] for c in RESULT.split(", ")])
 
     return spark.range(0, len(listed), 1, max(1, len(listed))).mapInPandas(run, RESULT)

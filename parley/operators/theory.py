@@ -7,15 +7,19 @@ regulariser weights a / (a + s), s = sigma delta / (1 + delta), and parties at g
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from parley.functions.centres import coordinate
 from parley.functions.prox import Regulariser
+from parley.operators.aggregate import _vector, aggregate
 from parley.operators.methods import Method, Rounds
+from parley.operators.quadratic import statistics
 from parley.operators.simulation import Federation, objective, simulate
-from parley.sources.tables import load, written
+from parley.sources.tables import Tables, load
 
 
 def quadratic_parties(spark, sf_dir: str) -> DataFrame:
@@ -50,13 +54,16 @@ def offset(kind: str, r: Column, delta: float) -> Column:
     return {"sq": r / (1 + delta), "l1": F.signum(r) * F.greatest(F.abs(r) - delta, F.lit(0.0)), "consensus": F.lit(0.0), "free": r}[kind]
 
 
-def quadratic_rounds(parties: DataFrame, kind: str, sigma: float, delta: float, rounds: int, eta: float | None = None, steps: int = 0, lam: float = 0.0) -> DataFrame:
-    """(party_id, w, g) after rounds of exact local minimisation, or of `steps` fused steps of length eta; all parties active, begun at 0.
+def quadratic_path(
+    parties: DataFrame, kind: str, sigma: float, delta: float, rounds: int, eta: float | None = None, steps: int = 0, lam: float = 0.0
+) -> Iterator[tuple[DataFrame, float]]:
+    """((party_id, a, c, w), g) after each round of exact local minimisation, or of `steps` fused steps of length eta; all parties active, begun at 0.
 
-    The centre is one number from one aggregation; the plan of a round is a projection over the parties.
+    The centre is one number; the plan of a round is a projection over the parties, written every fourth round.
     """
-    now, g = parties.withColumn("w", F.lit(0.0)), 0.0
-    kappa = 1 / (1 + (eta or 0) * sigma)
+    tables = Tables(parties.sparkSession)
+    base = now = tables.keep(parties.withColumn("w", F.lit(0.0)), "quadratic")
+    g, kappa = 0.0, 1 / (1 + (eta or 0) * sigma)
     for t in range(rounds):
         z = g + offset(kind, F.col("w") - g, delta)
         if steps:
@@ -68,11 +75,20 @@ def quadratic_rounds(parties: DataFrame, kind: str, sigma: float, delta: float,
             new = (F.col("a") * F.col("c") + sigma * z) / (F.col("a") + sigma)
         now = now.select("party_id", "a", "c", new.alias("w"))
         if t % 4 == 3:
-            now = written(now, "quadratic")
-        if kind == "l1":
-            g = float(coordinate(np.array([[r.w] for r in now.select("w").collect()]), delta)[0])  # one number for each party
-        else:
-            g = now.agg(F.avg("w")).first()[0]
+            before, base = base, tables.keep(now, "quadratic")
+            now = base
+            tables.drop(before)
+        reg = Regulariser(kind if kind in ("l1", "l2") else "consensus", delta)
+        found = _vector(aggregate(now.select("party_id", F.array("w").alias("w")), reg, sigma))
+        g = float(found[0]) if len(found) else g
+        yield now, g
+
+
+def quadratic_rounds(parties: DataFrame, kind: str, sigma: float, delta: float, rounds: int, eta: float | None = None, steps: int = 0, lam: float = 0.0) -> DataFrame:
+    """(party_id, w, g) after so many rounds."""
+    now, g = parties.withColumn("w", F.lit(0.0)), 0.0
+    for now, g in quadratic_path(parties, kind, sigma, delta, rounds, eta, steps, lam):  # noqa: B007
+        pass
     return now.select("party_id", "w", F.lit(g).alias("g"))
 
 
@@ -80,7 +96,48 @@ def residuals(parties: DataFrame, at: DataFrame, kind: str, sigma: float, delta:
     """Fixed-point conditions: mean envelope gradient, and the largest miss of a party's relation to it."""
     z = F.col("g") + offset(kind, F.col("w") - F.col("g"), delta)
     slope = F.col("a") * sigma / (F.col("a") + sigma) * (z - F.col("c"))  # of the loss's Moreau envelope at z
-    return parties.join(at, "party_id").select(slope.alias("slope"), F.abs(F.col("w") - (z - slope / sigma)).alias("miss")).agg(F.abs(F.avg("slope")).alias("mean_slope"), F.max("miss").alias("worst_miss"))
+    both = parties.join(at, "party_id").select(slope.alias("slope"), F.abs(F.col("w") - (z - slope / sigma)).alias("miss"))
+    return both.agg(F.abs(F.avg("slope")).alias("mean_slope"), F.max("miss").alias("worst_miss"))
+
+
+def vector_residuals(stats: DataFrame, models: DataFrame, g: np.ndarray, reg: Regulariser, sigma: float) -> DataFrame:
+    """Fixed-point conditions of linear parties: (coord, mean_slope) and the worst miss, in one row a coordinate.
+
+    stats: (party_id, gram, cross); at a fixed point the envelope gradients at z = g + offset average to 0, and every
+    party's model is the minimiser at its z.
+    """
+    size = len(g)
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            out = []
+            for row in frame.itertuples():
+                w = np.array(row.w)
+                z = g + reg.prox(w - g, sigma)
+                best = np.linalg.solve(np.array(row.gram).reshape(size, size) + sigma * np.eye(size), np.array(row.cross) + sigma * z)
+                out += [(j, sigma * (z[j] - best[j]), float(np.abs(w - best).max())) for j in range(size)]
+            yield pd.DataFrame(out, columns=["coord", "slope", "miss"])
+
+    rows = stats.select("party_id", "gram", "cross").join(models.select("party_id", "w"), "party_id").mapInPandas(part, "coord int, slope double, miss double")
+    return rows.groupBy("coord").agg(F.avg("slope").alias("mean_slope"), F.max("miss").alias("worst_miss"))
+
+
+def loss_envelopes(examples: DataFrame, features: int, z: list[float], sigma: float) -> DataFrame:
+    """(party_id, envelope, slope): the Moreau envelope of each party's linear loss at z, and its gradient, from one scan."""
+    st = statistics(examples, features).join(examples.groupBy("party_id").agg(F.avg(F.col("y") * F.col("y")).alias("yy")), "party_id")
+    at = np.array(z, float)
+
+    def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            out = []
+            for row in frame.itertuples():
+                gram, cross = np.array(row.gram).reshape(features, features), np.array(row.cross)
+                best = np.linalg.solve(gram + sigma * np.eye(features), cross + sigma * at)  # the exact inner minimiser
+                f = 0.5 * (best @ gram @ best - 2 * cross @ best + row.yy)
+                out.append((row.party_id, f + sigma / 2 * ((best - at) ** 2).sum(), sigma * (at - best)))
+            yield pd.DataFrame(out, columns=["party_id", "envelope", "slope"])
+
+    return st.mapInPandas(part, "party_id long, envelope double, slope array<double>")
 
 
 def rate(values: list[float]) -> float:
@@ -115,11 +172,3 @@ def descent(loss, fed: Federation, method: Method, cfg: Rounds) -> list[dict]:
 
     simulate(loss, fed, method, cfg, watch=watch)
     return rows
-
-
-def offsets_at_optimum(models: np.ndarray, reg: Regulariser, sigma: float) -> tuple[np.ndarray, np.ndarray]:
-    """Joint minimiser (offsets, centre) of the objective for fixed models."""
-    from parley.functions.centres import centre
-
-    g = centre(models, reg, sigma)
-    return reg.prox(models - g, sigma), g

@@ -8,18 +8,26 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
-from pyspark.sql.types import StructType
+from pyspark.sql.types import StringType, StructField, StructType
+
+from parley.operators.rounds import RunResult
 
 EXAMPLES = "party_id long, pos long, n long, split string, x array<double>, y double"
 
 
-def read_parties(spark: SparkSession, path: str, fmt: str, schema: str | StructType) -> DataFrame:
-    """Party files of a format; rows of text formats that don't parse are kept in _corrupt."""
-    reader = spark.read.schema(schema if isinstance(schema, StructType) else StructType.fromDDL(schema))
-    if fmt == "csv":
-        return reader.option("header", True).option("mode", "PERMISSIVE").csv(path)
-    if fmt == "json":
-        return reader.option("mode", "PERMISSIVE").json(path)
+def read_parties(spark: SparkSession, path: str, fmt: str, schema: str | StructType, corrupt: str | None = None) -> DataFrame:
+    """Party files of a format. corrupt: a column for the whole text of CSV and JSON rows that don't parse (null for those that do)."""
+    own = schema if isinstance(schema, StructType) else StructType.fromDDL(schema)
+    if fmt == "text":
+        return spark.read.text(path).withColumnRenamed("value", own.fieldNames()[0])
+    if corrupt and fmt in ("csv", "json"):
+        own = StructType([*own.fields, StructField(corrupt, StringType())])
+    reader = spark.read.schema(own)
+    if fmt in ("csv", "json"):
+        reader = reader.option("mode", "PERMISSIVE")
+        if corrupt:
+            reader = reader.option("columnNameOfCorruptRecord", corrupt)
+        return reader.option("header", True).csv(path) if fmt == "csv" else reader.json(path)
     return reader.format(fmt).load(path)
 
 
@@ -41,14 +49,16 @@ def bucketed(df: DataFrame, table: str, buckets: int, *sort: str) -> DataFrame:
 
 
 class RunStore:
-    """State and centre of each round below one path; a round counts once its manifest row is there."""
+    """A run after each saved round below one path; a round counts once its manifest row is there."""
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
 
-    def save(self, t: int, state: DataFrame, g: np.ndarray) -> None:
-        state.write.mode("overwrite").parquet(f"{self.path}/state/round={t}")
-        row = self.spark.createDataFrame([(t, json.dumps([float(a) for a in g]))], "done int, g string")
+    def save(self, run: RunResult) -> None:
+        t = run.rounds
+        run.state.write.mode("overwrite").parquet(f"{self.path}/state/round={t}")
+        lists = [None if a is None else [float(x) for x in a] for a in (run.g, run.control, run.before)]
+        row = self.spark.createDataFrame([(t, json.dumps(lists))], "done int, vectors string")
         row.coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest/round={t}")  # last: its presence says that the state is whole
 
     def rounds(self) -> list[int]:
@@ -57,9 +67,10 @@ class RunStore:
         found = path.getFileSystem(self.spark._jsc.hadoopConfiguration()).globStatus(path)
         return sorted(int(s.getPath().getParent().getName().split("=")[1]) for s in found or [])
 
-    def load(self, t: int) -> tuple[DataFrame, np.ndarray, int]:
-        g = self.spark.read.parquet(f"{self.path}/manifest/round={t}").first()["g"]
-        return self.spark.read.parquet(f"{self.path}/state/round={t}"), np.array(json.loads(g)), t + 1
+    def load(self, t: int) -> RunResult:
+        vectors = json.loads(self.spark.read.parquet(f"{self.path}/manifest/round={t}").first()["vectors"])
+        g, control, before = (None if a is None else np.array(a) for a in vectors)
+        return RunResult(self.spark.read.parquet(f"{self.path}/state/round={t}"), g, [], control, t, before)
 
 
 class FederationSource(DataSource):
