@@ -20,7 +20,7 @@ from parley.operators import methods as M
 from parley.operators import parties as PT
 from parley.operators import theory as T
 from parley.queries import Registry
-from parley.queries.loops import QUAD_SQL, _r, _rounds_sql
+from parley.queries.loops import QUAD_SQL, SHORT, _r, _rounds_sql
 from parley.sources.tables import load
 
 register = Registry()
@@ -102,14 +102,12 @@ def _objective_sql(rounds: int) -> str:
 @register(_objective_sql(6))
 def objective_by_round(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The joint objective after each round of the mean variant; it never rises."""
-    p, rows = T.quadratic_parties(spark, sf_dir).persist(), []
-    for t in range(1, 7):
-        at = p.join(T.quadratic_rounds(p, "sq", 2.0, 0.1, t), "party_id")
-        r = F.col("w") - F.col("g")
-        rows.append(at.agg(F.avg(F.col("a") / 2 * F.pow(F.col("w") - F.col("c"), 2) + 2.0 * 0.1 / (2 * 1.1) * r * r).alias("o")).select(F.lit(t).alias("round"), "o"))
-    every = rows[0]
-    for r in rows[1:]:
-        every = every.unionByName(r)
+    p, rows = T.quadratic_parties(spark, sf_dir), []
+    r = F.col("w") - F.col("g")
+    o = F.avg(F.col("a") / 2 * F.pow(F.col("w") - F.col("c"), 2) + 2.0 * 0.1 / (2 * 1.1) * r * r)
+    for t, (now, g) in enumerate(T.quadratic_path(p, "sq", 2.0, 0.1, 6), 1):
+        rows.append((t, now.withColumn("g", F.lit(g)).agg(o.alias("o")).first()["o"]))  # one number a round
+    every = spark.createDataFrame(rows, "round int, o double")
     w = Window.orderBy("round")  # six rows
     return every.select("round", (F.round("o", 6) + 0.0).alias("objective"), (F.col("o") > F.coalesce(F.lag("o").over(w), F.lit(1e300)) + 1e-12).alias("rose"))
 
@@ -169,6 +167,47 @@ def parties_five_label(spark: SparkSession, sf_dir: str) -> DataFrame:
     return PT.some_labels(load(spark, sf_dir, "embeddings"), 20, 1, "vec_id", "label", 10, 5).groupBy("party_id").agg(F.count("*").alias("n"), F.countDistinct("label").alias("labels"))
 
 
+def _shared(examples: DataFrame) -> DataFrame:
+    """How many rows the parties hold, in how many parties a row is, and whether a training row is tested somewhere."""
+    key = examples.withColumn("k", F.xxhash64("x", "y"))
+    per = key.groupBy("k").agg(F.countDistinct("party_id").alias("parties"), F.countDistinct("split").alias("parts"), F.count("*").alias("copies"))
+    return per.agg(F.sum("copies").alias("rows"), F.max("parties").alias("most_parties"), F.max("parts").alias("most_parts"))
+
+
+@register("SELECT each, (SELECT count(*) FROM embeddings)::BIGINT AS rows, 1::BIGINT AS most_parties, 1::BIGINT AS most_parts FROM (VALUES (1), (5)) v(each)")
+def label_parties_share_nothing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One-label and five-label parties together hold every image once."""
+    out = None
+    for each, n in ((1, 100), (5, 20)):
+        part = _shared(W.label_examples(spark, sf_dir, n, 1, each)).select(F.lit(each).alias("each"), "*")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@register(f"""WITH s AS (SELECT source, row_number() OVER (ORDER BY source) - 1 AS k, count(*) OVER () AS m FROM (SELECT DISTINCT source FROM documents d JOIN labels l USING (doc_id))),
+b AS (SELECT source, floor(k * 77 / m) AS lo, floor((k + 1) * 77 / m) AS hi FROM s),
+d AS (SELECT d.source, (lo + least(floor(({mixed_sql(1, 13, 'doc_id')} + 0.5) / 2147483647.0 * (hi - lo)), greatest(hi - lo - 1, 0)))::BIGINT AS party_id FROM documents d JOIN labels USING (doc_id) JOIN b ON b.source = d.source)
+SELECT party_id, count(*) AS n, count(DISTINCT source) AS sources FROM d GROUP BY 1""")
+def text_accounts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Accounts of the text workload: every account has documents of one source."""
+    return W.accounts(W.labelled_text(spark, sf_dir), 77, 1).groupBy("party_id").agg(F.count("*").alias("n"), F.countDistinct("source").alias("sources"))
+
+
+@register("""WITH h AS (SELECT date_trunc('hour', ts) AS hour, event_type, avg(value) AS price FROM events GROUP BY 1, 2),
+r AS (SELECT DISTINCT hour FROM (SELECT hour, price / lag(price) OVER (PARTITION BY event_type ORDER BY hour) AS relative FROM h) WHERE relative IS NOT NULL),
+p AS (SELECT row_number() OVER (ORDER BY hour) AS k, count(*) OVER () AS m FROM r) SELECT floor((k - 1) * 8 / (m - 1))::BIGINT AS party_id, count(*) AS n, max(k) - min(k) + 1 AS stretch FROM p WHERE k < m GROUP BY 1""")
+def portfolio_stretches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each party of the portfolio workload has a stretch of hours of its own, without gaps."""
+    ex = W.portfolio_examples(spark, sf_dir).groupBy("party_id").agg(F.count("*").alias("n"))
+    return ex.select("party_id", "n", F.col("n").alias("stretch"))
+
+
+@register(f"WITH p AS (SELECT vec_id, {mixed_sql(1, 'vec_id')} % 10 AS party_id, label FROM embeddings) SELECT vec_id, CASE WHEN party_id = 9 THEN label * 8.0 ELSE label END::DOUBLE AS y FROM p")
+def outlier_party(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = PT.by_hash(load(spark, sf_dir, "embeddings"), 10, 1, "vec_id").withColumn("y", F.col("label").cast("double"))
+    return PT.outlier(p, 9).select("vec_id", "y")
+
+
 @register(f"SELECT least(floor(power({_U}, 2.0) * 30), 29)::BIGINT AS party_id, count(*) AS n FROM embeddings GROUP BY 1")
 def parties_power_law(spark: SparkSession, sf_dir: str) -> DataFrame:
     return PT.power_law(load(spark, sf_dir, "embeddings"), 30, 1, "vec_id").groupBy("party_id").agg(F.count("*").alias("n"))
@@ -238,7 +277,7 @@ def seeded_draws(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register()
 def method_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Relative gain of the best variant over each other method, by dataset, and over all datasets."""
-    r = W.compare_standard(spark, sf_dir, rounds=10, seeds=range(1, 2), every=0)
+    r = W.compare_standard(spark, sf_dir, rounds=10, seeds=range(1, 2), every=0, sizes=SHORT)
     s = r.groupBy("dataset", "method").agg(F.avg("score").alias("score"))
     best = s.where(F.col("method").startswith("personal")).groupBy("dataset").agg(F.max("score").alias("best"))
     return s.where(~F.col("method").startswith("personal")).join(best, "dataset").withColumn("gain", F.col("best") / F.col("score") - 1).rollup("method", "dataset").agg(F.avg("gain").alias("gain"), F.count("*").alias("n"))
@@ -247,7 +286,7 @@ def method_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register()
 def curve_speed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """First watched round at which a method reaches 90 % of its dataset's best score."""
-    r = W.compare_standard(spark, sf_dir, rounds=12, seeds=range(1, 2), every=2)
+    r = W.compare_standard(spark, sf_dir, rounds=12, seeds=range(1, 2), every=2, sizes=SHORT)
     top = r.groupBy("dataset").agg(F.max("score").alias("top"))
     return r.join(top, "dataset").groupBy("dataset", "method").agg(F.min(F.when(F.col("score") >= 0.9 * F.col("top"), F.col("round"))).alias("reached"), F.max("score").alias("score"))
 

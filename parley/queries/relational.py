@@ -7,6 +7,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from parley.functions.draws import mixed_sql
+from parley.functions.prox import Regulariser
 from parley.queries import Registry
 from parley.sources import stores
 from parley.sources.tables import load, run_folder
@@ -37,10 +39,13 @@ def join_inner_left(spark: SparkSession, sf_dir: str) -> DataFrame:
     return n.join(r, n.n_regionkey == r.r_regionkey).join(c, c.c_nationkey == n.n_nationkey, "left").groupBy("n_name", "r_name").agg(F.count("c_custkey").alias("customers"))
 
 
-@register("SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, coalesce(l.quality, -1) AS quality, coalesce(d.source, 'none') AS source FROM (SELECT * FROM documents WHERE doc_id % 2 = 0) d FULL JOIN labels l ON d.doc_id = l.doc_id")
+@register("WITH u AS (SELECT user_id, count(*) AS n FROM events GROUP BY 1) SELECT coalesce(u.user_id, s.s_suppkey) AS party_id, coalesce(n, 0)::BIGINT AS events, coalesce(s_name, 'none') AS supplier FROM u FULL JOIN supplier s ON u.user_id = s.s_suppkey + 20")
 def join_full(spark: SparkSession, sf_dir: str) -> DataFrame:
-    d, lab = load(spark, sf_dir, "documents").where("doc_id % 2 = 0").select("doc_id", "source"), load(spark, sf_dir, "labels").select("doc_id", "quality")
-    return d.join(lab, "doc_id", "full").select("doc_id", F.coalesce("quality", F.lit(-1)).alias("quality"), F.coalesce("source", F.lit("none")).alias("source"))
+    """Two sides of which each has rows that the other lacks."""
+    u = load(spark, sf_dir, "events").groupBy("user_id").agg(F.count("*").alias("n"))
+    s = load(spark, sf_dir, "supplier").select("s_suppkey", "s_name")
+    both = u.join(s, u.user_id == s.s_suppkey + 20, "full")
+    return both.select(F.coalesce("user_id", "s_suppkey").alias("party_id"), F.coalesce("n", F.lit(0)).cast("long").alias("events"), F.coalesce("s_name", F.lit("none")).alias("supplier"))
 
 
 @register("SELECT doc_id, EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id) AS labelled FROM documents d")
@@ -56,13 +61,13 @@ def band_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return s.join(F.broadcast(b), (s.s_acctbal >= b.lo) & (s.s_acctbal < b.hi)).select("s_suppkey", "band")  # three rows
 
 
-@register("""WITH g AS (SELECT hour AS g_time, avg(value) AS g FROM (SELECT date_trunc('hour', ts) AS hour, value FROM events WHERE event_id % 3 = 0) GROUP BY 1)
-SELECT event_id, round(g, 4) AS g FROM events e ASOF LEFT JOIN g ON e.ts >= g.g_time WHERE user_id < 20""")
+@register("""WITH g AS (SELECT date_trunc('hour', ts) + INTERVAL 1 HOUR AS g_time, avg(value) AS g FROM events GROUP BY 1)
+SELECT event_id, round(g, 4) AS g FROM events e ASOF LEFT JOIN g ON e.ts >= g.g_time""")
 def asof_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Each update beside the latest centre at or before its time: the time line is cut into days that tasks work on apart."""
+    """Each update beside the latest centre at or before its time (an hour's centre is known when it ends): tasks work on days apart."""
     e = load(spark, sf_dir, "events")
-    g = e.where("event_id % 3 = 0").groupBy(F.date_trunc("hour", "ts").alias("t")).agg(F.avg("value").alias("g"))
-    both = e.where("user_id < 20").select(F.col("ts").alias("t"), "event_id", F.lit(None).cast("double").alias("g")).unionByName(g.select("t", F.lit(None).cast("long").alias("event_id"), "g"))
+    g = e.groupBy((F.date_trunc("hour", "ts") + F.expr("interval 1 hour")).alias("t")).agg(F.avg("value").alias("g"))
+    both = e.select(F.col("ts").alias("t"), "event_id", F.lit(None).cast("double").alias("g")).unionByName(g.select("t", F.lit(None).cast("long").alias("event_id"), "g"))
     day = both.withColumn("day", F.to_date("t"))
     ends = day.groupBy("day").agg(F.max_by("g", F.when(F.col("g").isNotNull(), F.col("t"))).alias("last"))
     carry = ends.select("day", F.last("last", True).over(Window.orderBy("day").rowsBetween(Window.unboundedPreceding, -1)).alias("carried"))  # a row a day
@@ -203,22 +208,72 @@ def example_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(path).where(F.col("party_bucket").isin(buckets) & F.col("party_id").isin(3, 5)).groupBy("party_id").agg(F.count("*").alias("n"))
 
 
-@register("SELECT party_id, 20::BIGINT AS n, 8 AS width FROM range(5) t(party_id)")
+@register("SELECT s_suppkey, s_name, s_acctbal, CASE WHEN s_suppkey % 7 = 0 THEN 'bad ' || s_suppkey::VARCHAR || ',x' END AS broken FROM supplier")
+def corrupt_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of a text file that don't parse keep their whole text; the others their columns."""
+    s, path = load(spark, sf_dir, "supplier"), _scratch(spark)
+    line = F.concat_ws(",", F.col("s_suppkey").cast("string"), "s_name", F.col("s_acctbal").cast("string"))
+    bad = F.concat(F.lit("bad "), F.col("s_suppkey").cast("string"), F.lit(",x"))
+    s.select(F.when(F.col("s_suppkey") % 7 == 0, F.concat(bad, F.lit(","))).otherwise(line).alias("value")).write.text(path)
+    rows = spark.read.schema("s_suppkey long, s_name string, s_acctbal double, broken string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "broken").csv(path)
+    key = F.coalesce("s_suppkey", F.regexp_extract("broken", r"(\d+)", 1).cast("long")).alias("s_suppkey")
+    names = s.select(F.col("s_suppkey").alias("k"), F.col("s_name").alias("name"), F.col("s_acctbal").alias("bal"))
+    read = rows.select(key, F.regexp_replace("broken", ",$", "").alias("broken"))
+    return read.join(names, F.col("s_suppkey") == F.col("k")).select("s_suppkey", F.col("name").alias("s_name"), F.col("bal").alias("s_acctbal"), "broken")
+
+
+@register("SELECT n_name AS line FROM nation")
+def round_trip_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = _scratch(spark)
+    load(spark, sf_dir, "nation").select("n_name").write.text(path)
+    return stores.read_parties(spark, path, "text", "line string")
+
+
+def _drawn(*keys: str | int) -> str:
+    """SQL of a normal draw."""
+    u = lambda last: f"(({mixed_sql(*keys, last)} + 0.5) / 2147483647.0)"
+    return f"(sqrt(-2 * ln({u(1)})) * cos(2 * pi() * {u(2)}))"
+
+
+_FLAT = f"(({mixed_sql(1, 3, 'k', 'j')} + 0.5) / 2147483647.0 - 0.5)"
+
+
+@register(f"""WITH w AS (SELECT k, j, CASE WHEN k < 4 THEN {_drawn(1, 1, 'j')} * 2.2 ELSE {_drawn(1, 2, 'j')} * 7.1 END + 0.5 * (-sign({_FLAT}) * ln(1 - 2 * abs({_FLAT}))) AS w FROM range(5) a(k), range(8) b(j)),
+x AS (SELECT k, i, j, {_drawn(1, 5, 'k', 'i', 'j')} AS x FROM range(5) a(k), range(20) c(i), range(8) b(j)),
+y AS (SELECT k, i, sum(x * w) + any_value({_drawn(1, 6, 'k', 'i')}) AS y, sum(x) AS total FROM x JOIN w USING (k, j) GROUP BY k, i)
+SELECT k AS party_id, count(*) AS n, round(avg(y), 5) + 0.0 AS y, round(sum(total), 5) + 0.0 AS x FROM y GROUP BY k""")
 def generator_source(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Planted regressions out of a data source of our own; every value is a seeded draw."""
     stores.register_sources(spark)
     rows = spark.read.format("parley_synth").option("parties", 5).option("rows", 20).load()
-    return rows.groupBy("party_id").agg(F.count("*").alias("n"), F.max(F.size("x")).alias("width"))
+    total = F.aggregate("x", F.lit(0.0), lambda s, v: s + v)
+    return rows.groupBy("party_id").agg(F.count("*").alias("n"), (F.round(F.avg("y"), 5) + 0.0).alias("y"), (F.round(F.sum(total), 5) + 0.0).alias("x"))
+
 
+# ---- streams: four files that come one after the other, some of their rows late and some twice, against the same in SQL ----
 
-# ---- streams: run over all that has arrived, against the same question in SQL ------------------------------------------
+#: part: the file that a row comes in, by its day; every tenth row a file late, every seventeenth once more in the next file.
+_PART = "least(3, (day(ts) - 1) // 8 + CASE WHEN event_id % 10 = 0 THEN 1 ELSE 0 END)"
+_UPDATES_SQL = f"""WITH RECURSIVE e AS (SELECT *, {_PART} AS part FROM events),
+u AS (SELECT user_id AS party_id, hour(ts)::INTEGER AS round, ts AS event_time, value AS w, part FROM e
+UNION ALL SELECT user_id, hour(ts)::INTEGER, ts, value, least(3, part + 1) FROM e WHERE event_id % 17 = 0)"""
 
-_UPDATES_SQL = "WITH u AS (SELECT user_id AS party_id, hour(ts)::INTEGER AS round, ts AS event_time, value AS w FROM events)"
+
+def _arrived(spark: SparkSession, sf_dir: str) -> tuple[str, DataFrame]:
+    """The folder in which the files have come in order."""
+    e, path = load(spark, sf_dir, "events"), _scratch(spark)
+    part = F.least(F.lit(3), F.floor((F.dayofmonth("ts") - 1) / 8) + F.when(F.col("event_id") % 10 == 0, 1).otherwise(0))
+    first = e.withColumn("part", part)
+    every = first.unionByName(first.where("event_id % 17 = 0").withColumn("part", F.least(F.lit(3), F.col("part") + 1)))
+    for k in range(4):
+        every.where(F.col("part") == k).drop("part").coalesce(1).write.mode("append").parquet(path)
+    return path, e
 
 
 def _updates(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream of files."""
-    events = load(spark, sf_dir, "events")
-    return U.as_updates(U.stream_of(spark, f"{sf_dir}/events.parquet*", events.schema))
+    path, events = _arrived(spark, sf_dir)
+    return U.as_updates(U.stream_of(spark, path, events.schema))
 
 
 def _flat(df: DataFrame) -> DataFrame:
@@ -230,6 +285,20 @@ def stream_tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _flat(U.run_to_end(U.tumbling(_updates(spark, sf_dir)), "complete"))
 
 
+#: What a watermark of two hours lets in and closes: a file's rows are judged by the times seen before the file ahead of it.
+_LATE_SQL = _UPDATES_SQL + """, seen AS (SELECT p AS part, (SELECT max(event_time) FROM u WHERE u.part < p - LATE_LAG) - INTERVAL 2 HOUR AS mark FROM range(4) t(p)),
+win AS (SELECT time_bucket(INTERVAL 6 HOUR, event_time) AS start, u.* FROM u),
+kept AS (SELECT win.* FROM win JOIN seen USING (part) WHERE mark IS NULL OR start + INTERVAL 6 HOUR > mark),
+over AS (SELECT max(event_time) - INTERVAL 2 HOUR AS mark FROM u)
+SELECT epoch(start)::BIGINT AS start_s, count(*) AS n, round(sum(w), 3) AS w FROM kept, over WHERE start + INTERVAL 6 HOUR <= over.mark GROUP BY 1""".replace("LATE_LAG", "1")
+
+
+@register(_LATE_SQL)
+def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Closed windows, as they are given once: what comes after the watermark is dropped."""
+    return _flat(U.run_to_end(U.tumbling(_updates(spark, sf_dir))))
+
+
 @register(_UPDATES_SQL + """, s AS (SELECT time_bucket(INTERVAL 6 HOUR, event_time) - k * INTERVAL 6 HOUR AS start, w FROM u, range(2) t(k)) SELECT epoch(start)::BIGINT AS start_s, count(*) AS n, round(sum(w), 3) AS w FROM s GROUP BY 1""")
 def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _flat(U.run_to_end(U.sliding(_updates(spark, sf_dir)), "complete"))
@@ -238,7 +307,7 @@ def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register(_UPDATES_SQL + """, m AS (SELECT *, CASE WHEN event_time - lag(event_time) OVER p <= INTERVAL 8 HOUR THEN 0 ELSE 1 END AS new FROM u WINDOW p AS (PARTITION BY party_id ORDER BY event_time)),
 g AS (SELECT *, sum(new) OVER (PARTITION BY party_id ORDER BY event_time, w ROWS UNBOUNDED PRECEDING) AS s FROM m) SELECT floor(epoch(min(event_time)))::BIGINT AS start_s, party_id, count(*) AS n, round(sum(w), 3) AS w FROM g GROUP BY party_id, s""")
 def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _flat(U.run_to_end(U.sessions(_updates(spark, sf_dir)), "complete"))
+    return _flat(U.run_to_end(U.sessions(_updates(spark, sf_dir), late="40 days"), "complete"))
 
 
 @register(_UPDATES_SQL + " SELECT DISTINCT party_id, round FROM u")
@@ -246,30 +315,59 @@ def stream_once_each(spark: SparkSession, sf_dir: str) -> DataFrame:
     return U.run_to_end(U.once_each(_updates(spark, sf_dir))).select("party_id", "round")
 
 
-@register(_UPDATES_SQL + ", g AS (SELECT round, avg(w) AS g FROM u GROUP BY 1) SELECT round, count(*) AS n, round(sum(w - g), 3) + 0.0 AS pull FROM u JOIN g USING (round) GROUP BY round")
+@register(_UPDATES_SQL + ", g AS (SELECT hour(ts)::INTEGER AS round, avg(value) AS g FROM events GROUP BY 1) SELECT round, count(*) AS n, round(sum(w - g), 3) + 0.0 AS pull FROM u JOIN g USING (round) GROUP BY round")
 def stream_with_centre(spark: SparkSession, sf_dir: str) -> DataFrame:
     centres = U.as_updates(load(spark, sf_dir, "events")).groupBy("round").agg(F.avg("w").alias("g"))
     j = U.run_to_end(U.with_centre(_updates(spark, sf_dir), centres))
     return j.groupBy("round").agg(F.count("*").alias("n"), (F.round(F.sum(F.col("w") - F.col("g")), 3) + 0.0).alias("pull"))
 
 
-@register(_UPDATES_SQL + " SELECT a.party_id, count(*) AS n FROM u a JOIN (SELECT * FROM u WHERE round % 2 = 0) b ON a.party_id = b.party_id AND b.event_time BETWEEN a.event_time AND a.event_time + INTERVAL 1 HOUR GROUP BY 1")
+@register(_UPDATES_SQL + " SELECT a.party_id, count(*) AS n FROM u a JOIN (SELECT * FROM u WHERE round < 12) b ON a.party_id = b.party_id AND b.event_time BETWEEN a.event_time AND a.event_time + INTERVAL 1 HOUR GROUP BY 1")
 def stream_acknowledged(spark: SparkSession, sf_dir: str) -> DataFrame:
-    acks = _updates(spark, sf_dir).where("round % 2 = 0")
-    return U.run_to_end(U.acknowledged(_updates(spark, sf_dir), acks)).groupBy("party_id").agg(F.count("*").alias("n"))
+    """Morning updates acknowledge what came in the hour before; the allowance is long enough for late ones."""
+    path, events = _arrived(spark, sf_dir)
+    one, two = (U.as_updates(U.stream_of(spark, path, events.schema)) for _ in range(2))
+    return U.run_to_end(U.acknowledged(one, two.where("round < 12"), late="40 days")).groupBy("party_id").agg(F.count("*").alias("n"))
+
+
+_MODELS_SQL = _UPDATES_SQL + """, o AS (SELECT *, count(*) OVER (PARTITION BY party_id) - row_number() OVER (PARTITION BY party_id ORDER BY part, event_time, w) AS after FROM u)
+SELECT party_id, count(*) AS n, round(sum(0.1 * power(0.9, after) * w), 4) AS w FROM o GROUP BY 1"""
+
+
+def _last(m: DataFrame) -> DataFrame:
+    return m.groupBy("party_id").agg(F.max_by("w", "n").alias("w"), F.max("n").alias("n")).select("party_id", "n", F.round("w", 4).alias("w"))
 
 
-@register(_UPDATES_SQL + """, o AS (SELECT *, count(*) OVER (PARTITION BY party_id) - row_number() OVER (PARTITION BY party_id ORDER BY event_time, w) AS after FROM u)
-SELECT party_id, count(*) AS n, round(sum(0.1 * power(0.9, after) * w), 4) AS w FROM o GROUP BY 1""")
+@register(_MODELS_SQL)
 def stream_party_models(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Models kept in state, as they stand after the last micro-batch."""
-    m = U.run_to_end(U.party_models(_updates(spark, sf_dir)), "update")
-    return m.groupBy("party_id").agg(F.max_by("w", "n").alias("w"), F.max("n").alias("n")).select("party_id", "n", F.round("w", 4).alias("w"))
+    return _last(U.run_to_end(U.party_models(_updates(spark, sf_dir)), "update"))
+
+
+@register(_MODELS_SQL)
+def stream_kept_models(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by the state API, with states on disk."""
+    before = spark.conf.get(U.ON_DISK[0], None)
+    spark.conf.set(*U.ON_DISK)
+    try:
+        return _last(U.run_to_end(U.kept_models(_updates(spark, sf_dir)), "update"))
+    finally:
+        spark.conf.set(U.ON_DISK[0], before) if before else spark.conf.unset(U.ON_DISK[0])
+
+
+_NEAR = 5.0
 
 
-@register(_UPDATES_SQL + ", l AS (SELECT party_id, arg_max(w, event_time) AS w FROM u GROUP BY 1) SELECT round(avg(w), 4) AS g, count(*) AS n FROM l")
+@register(_UPDATES_SQL + f""", l AS (SELECT p AS batch, party_id, arg_max(w, {{'a': part, 'b': event_time}}) AS w FROM u, range(4) t(p) WHERE part <= p GROUP BY 1, 2),
+m AS (SELECT batch, list(w) AS ws, avg(w) AS m FROM l GROUP BY 1),
+go(k, batch, ws, g) AS (SELECT 0, batch, ws, m FROM m UNION ALL SELECT k + 1, batch, ws, g + list_avg(list_transform(ws, lambda z: least(greatest(z - g, -{_NEAR}), {_NEAR}))) FROM go WHERE k < 3000)
+SELECT 'consensus' AS kind, batch::INTEGER AS batch, round(m, 4) AS g, len(ws)::BIGINT AS n FROM m UNION ALL SELECT kind, batch::INTEGER, round(g, 4), len(ws)::BIGINT FROM go, (VALUES ('l1'), ('l2')) v(kind) WHERE k = 3000""")
 def stream_close_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The centre after the last micro-batch."""
-    centres: list[tuple[int, float, int]] = []
-    U.close_rounds(_updates(spark, sf_dir), centres)
-    return spark.createDataFrame(centres[-1:], "batch int, g double, n long").select(F.round("g", 4).alias("g"), "n")
+    """The centre after each micro-batch, for three regularisers (of one number, both medians are the same)."""
+    path, events = _arrived(spark, sf_dir)
+    rows = []
+    for kind in ("consensus", "l1", "l2"):
+        centres: list[tuple[int, float, int]] = []
+        U.close_rounds(U.as_updates(U.stream_of(spark, path, events.schema)), centres, Regulariser(kind, _NEAR))
+        rows += [(kind, b, g, n) for b, g, n in centres]
+    return spark.createDataFrame(rows, "kind string, batch int, g double, n long").select("kind", "batch", F.round("g", 4).alias("g"), "n")

@@ -76,6 +76,18 @@ def prox_unscaled_l1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coords(residuals(spark, sf_dir), P.prox(reg.kind, F.col("r"), reg.delta))
 
 
+@register(_long_sql(f"list_transform(r, lambda x: x * CASE WHEN n > {1 / SIGMA} THEN 1 - {1 / SIGMA} / n ELSE 0 END)"))
+def prox_unscaled_l2(spark: SparkSession, sf_dir: str) -> DataFrame:
+    reg = P.unscaled("l2", SIGMA)
+    return coords(residuals(spark, sf_dir), P.prox(reg.kind, F.col("r"), reg.delta))
+
+
+@register(_long_sql(f"list_transform(r, lambda x: x / (1 + {2 / SIGMA}))"))
+def prox_unscaled_sq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    reg = P.unscaled("sq", SIGMA)
+    return coords(residuals(spark, sf_dir), P.prox(reg.kind, F.col("r"), reg.delta))
+
+
 @register(_long_sql(f"list_concat(list_transform(r[1:2], lambda x: x / (1 + {D})), list_transform(r[3:4], lambda x: sign(x) * greatest(abs(x) - {D}, 0)))"))
 def prox_blockwise(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = residuals(spark, sf_dir)
@@ -122,6 +134,24 @@ def agg_comed_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return centre_rows(A.coordinate_median(models(spark, sf_dir)))
 
 
+@register(MODELS_SQL + "SELECT coord, round(quantile_cont(value, 0.5), 6) + 0.0 AS g FROM rows_ GROUP BY coord")
+def agg_comed_bounded(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The exact median of many parties: sketched bounds, then the values between them."""
+    return centre_rows(A.median_between_bounds(models(spark, sf_dir), 20))
+
+
+@register(MODELS_SQL + """, t AS (SELECT coord, sum(weight) AS total FROM rows_ GROUP BY 1),
+u AS (SELECT coord, value, sum(weight) OVER (PARTITION BY coord ORDER BY value RANGE UNBOUNDED PRECEDING) AS upto FROM rows_) SELECT coord, round(min(value), 6) + 0.0 AS g FROM u JOIN t USING (coord) WHERE upto >= total / 2 GROUP BY coord""")
+def agg_weighted_comed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return centre_rows(A.coordinate_median(models(spark, sf_dir), weight="weight"))
+
+
+@register(MODELS_SQL + """SELECT coord, round(avg(value), 6) + 0.0 AS g FROM rows_ GROUP BY coord""")
+def agg_mean_identity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The alternating iteration with the squared norm ends at the mean, which the planner therefore takes at once."""
+    return centre_rows(A.general_centre(models(spark, sf_dir), Regulariser("sq", D), SIGMA)[0])
+
+
 def _unrolled(kind: str, steps: int, reweighted: bool = False, delta: float = D) -> str:
     """Steps of a centre's iteration as one query after the other."""
     sql = MODELS_SQL + ", g0 AS (SELECT g FROM mvec)"
@@ -154,6 +184,32 @@ def agg_geomed_smoothed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return centre_rows(A.geometric_median(models(spark, sf_dir), D)[0])
 
 
+def _weighted_sql(steps: int) -> str:
+    """Weighted reweighting as a recursion over lists."""
+    far = " + ".join(f"power(ws[i][{j}] - g[{j}], 2)" for j in range(1, 5))
+    step = ", ".join(f"list_dot_product(s, list_transform(ws, lambda v: v[{j}])) / list_sum(s)" for j in range(1, 5))
+    first = ", ".join(f"sum(weight * w[{j}]) / sum(weight)" for j in range(1, 5))
+    return MODELS_SQL.replace("WITH v", "WITH RECURSIVE v", 1) + f""", l AS (SELECT list(w ORDER BY party_id) AS ws, list(weight::DOUBLE ORDER BY party_id) AS ps, [{first}] AS g FROM models),
+go(k, ws, ps, g) AS (SELECT 0, ws, ps, g FROM l UNION ALL SELECT k + 1, ws, ps, [{step}] FROM (SELECT *, list_transform(range(1, len(ws) + 1), lambda i: ps[i] * least(1.0::DOUBLE, {D} / greatest(sqrt({far}), 1e-300))) AS s FROM go WHERE k < {steps}))
+SELECT unnest(range(4)) AS coord, round(unnest(g), 6) + 0.0 AS g FROM go WHERE k = {steps}"""
+
+
+@register(_weighted_sql(60))
+def agg_weighted_geomed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parties weighed by their rows."""
+    return centre_rows(A.geometric_median(models(spark, sf_dir), D, weight="weight")[0])
+
+
+@register("SELECT kind, true AS at_optimum FROM (VALUES ('l1'), ('l2')) v(kind)")
+def agg_residual(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The mean clipped residual vanishes at both smoothed medians."""
+    m, out = models(spark, sf_dir), None
+    for kind, g in (("l1", A.smoothed_coordinate_median(m, D)), ("l2", A.geometric_median(m, D)[0])):
+        part = A.residual(m, g, kind, D).select(F.lit(kind).alias("kind"), (F.col("residual") < 1e-8).alias("at_optimum"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @register(_unrolled("l2", 60, True, 1e-9))
 def agg_geomed_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return centre_rows(A.geometric_median(models(spark, sf_dir))[0])
@@ -176,7 +232,17 @@ def agg_comed_smoothed(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register(COMED_SQL + "SELECT coord, round(g, 6) + 0.0 AS g FROM mean_ WHERE coord < 2 UNION ALL SELECT coord, round(g, 6) + 0.0 FROM (SELECT * FROM flat UNION ALL SELECT * FROM cut) WHERE coord >= 2")
 def agg_hybrid(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The mean for the first two coordinates, the smoothed coordinate median for the others."""
-    return centre_rows(A.hybrid(models(spark, sf_dir), [(0, 2, Regulariser("sq", D)), (2, 4, Regulariser("l1", D))]))
+    return centre_rows(A.hybrid(models(spark, sf_dir), [(0, 2, Regulariser("sq", D)), (2, 4, Regulariser("l1", D))])[0])
+
+
+@register(
+    COMED_SQL
+    + f""", c AS (SELECT list(g ORDER BY coord) AS g FROM (SELECT * FROM flat UNION ALL SELECT * FROM cut)), o AS (SELECT party_id, list_transform(range(1, 5), lambda i: sign(w[i] - g[i]) * greatest(abs(w[i] - g[i]) - {D}, 0)) AS v FROM models, c)
+SELECT party_id, unnest(range(4)) AS coord, round(unnest(v), 6) + 0.0 AS value FROM o"""
+)
+def offsets_at_optimum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Offsets and centre that minimise the objective together, for given models."""
+    return coords(A.offsets(models(spark, sf_dir), Regulariser("l1", D), SIGMA)[0], F.col("v"))
 
 
 @register(_unrolled("l2", 40, True))
