@@ -2,23 +2,23 @@
 
 Words are compared by the subsequences of three letters they share, each weighted by DECAY to the power of its span, so
 that stretched, gapped and interrupted spellings stay near the word they hide; marks inside a word only widen spans.
-Letters written apart ("w o r d") are read as one word. The normalised kernel k is
-made local, exp((k - 1) / WIDTH), and cut to 0 below CUT. Landmarks are words tied to the label and the clean words nearest
-to them; the kernel to them, whitened by the landmarks' own kernel matrix, gives each word's features, and a linear
-machine with squared hinge loss separates tied words from the words of clean texts. A logistic curve
-fitted on the training texts turns the margins of a text's worst words into its score.
+Letters written apart ("w o r d") are read as one word. The normalised kernel k is made local, exp((k - 1) / WIDTH), and
+cut to 0 below CUT. Landmarks are words tied to the label and the clean words nearest to them. A text's features are, for
+each landmark, the greatest kernel that any of its words has with it, whitened by the landmarks' own kernel matrix, and
+the logarithm of its number of words; a linear machine with squared hinge loss is trained on the labelled texts, and a
+logistic curve over its margins on the same texts gives scores.
 A bound from each subsequence's greatest landmark weight spares most words the kernel, without changing any score.
 
 The model is fitted on at most PER_CLASS labelled rows of each class, chosen by a hash of their ids. Scores read whole
 texts: long words are read in overlapping windows.
-Defined results: null and empty texts score as a text without any tied word; without labels of both classes every score
-is the share of toxic labels (0 if none); repeated rows get equal scores; an empty table gives an empty result; other
-columns are ignored.
+Defined results: null and empty texts score as a text without any word near a landmark; without labels of both classes
+every score is the share of toxic labels (0 if none); repeated rows get equal scores; of equally strong tied words the
+first in order comes first; very long texts are read whole; an empty table gives an empty result; other columns are
+ignored.
 """
 
 from __future__ import annotations
 
-import heapq
 import re
 import string
 from collections import Counter
@@ -31,6 +31,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from parley.llm.common import tidy
+
 DECAY = 0.7
 ORDER = 3
 #: Longest stretch of a word that a subsequence is taken from.
@@ -40,8 +42,8 @@ PER_CLASS = 2000
 LANDMARKS = 120
 #: Similarities below CUT count as none; the local kernel falls by e for each WIDTH below 1.
 CUT, WIDTH = 0.55, 0.15
-#: Worst words whose margins a text's score looks at.
-TOP = 4
+#: Ridge of the machine's weights.
+RIDGE = 1.0
 WINDOW, STEP = 16, 8
 MEMORY = 1_000_000
 SCORED = "doc_id long, score double, predicted int"
@@ -140,7 +142,7 @@ class Landmarks:
                 out[at] = self.kernel(c, number, weight)
         return out
 
-    def bounds(self, which: np.ndarray, most: int = 16) -> np.ndarray:
+    def bounds(self, which: np.ndarray, most: int = 24) -> np.ndarray:
         """Greatest weight of each subsequence in the chosen landmarks, for groups of similar ones (a column each)."""
         groups: list[list[int]] = []
         for k in which.tolist():
@@ -156,15 +158,16 @@ class Landmarks:
 class Model:
     base: float
     marks: Landmarks | None = None
-    alpha: np.ndarray | None = None
+    alpha: np.ndarray | None = None  # of each landmark's kernel
     bias: float = -1.0
-    bound: np.ndarray | None = None  # of the landmarks that raise a margin
+    bound: np.ndarray | None = None
+    length: float = 0.0  # of the logarithm of the number of words
     curve: np.ndarray | None = None
-    known: dict[str, float] = field(default_factory=dict, repr=False)
+    known: dict[str, tuple[np.ndarray, np.ndarray] | None] = field(default_factory=dict, repr=False)
 
-    def margins(self, words: list[str]) -> np.ndarray:
-        """The machine's margin of each window, or the bias where it can't be more than that."""
-        out = np.full(len(words), self.bias)
+    def near(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Which windows any landmark is near to, and their kernels with all of them."""
+        at_, rows = [np.empty(0, np.int64)], [np.empty((0, len(self.marks.words)))]
         for at, c in by_length(words):
             number, weight = subsequences(c)
             if number.shape[1]:
@@ -176,36 +179,59 @@ class Model:
                 some = np.nonzero((best > 0) & (best >= CUT * least - 1e-6))[0]
                 some = some[best[some] >= CUT * np.sqrt(self_kernel(number[some], weight)) - 1e-6]
                 if len(some):
-                    out[at[some]] += self.marks.kernel(c[some], number[some], weight) @ self.alpha
+                    own = self.marks.kernel(c[some], number[some], weight)
+                    hit = own.any(axis=1)
+                    at_.append(at[some[hit]])
+                    rows.append(own[hit])
+        return np.concatenate(at_), np.concatenate(rows)
+
+    def margins(self, words: list[str]) -> np.ndarray:
+        """What each window alone gives a text, the bias included."""
+        out = np.full(len(words), self.bias)
+        at, rows = self.near(words)
+        out[at] += rows @ self.alpha
         return out
 
-    def worst(self, words: list[str]) -> list[float]:
+    def _learn(self, words: list[str]) -> None:
+        """Remember the landmarks near each word, through any of its windows."""
         parts = [windows(w) for w in words]
-        flat = self.margins([p for ps in parts for p in ps])
-        starts = np.cumsum([0, *map(len, parts)])[:-1]
-        return np.maximum.reduceat(flat, starts).tolist() if len(flat) else []
-
-    def evidence(self, texts: list[str | None]) -> np.ndarray:
-        """A row for each text: the margins of its TOP worst words, and the logarithm of its number of distinct words."""
+        owner = np.repeat(np.arange(len(words)), [len(p) for p in parts])
+        at, rows = self.near([p for ps in parts for p in ps])
+        self.known.update(dict.fromkeys(words))
+        for k, row in zip(owner[at].tolist(), rows, strict=True):
+            mark = np.nonzero(row)[0]
+            before = self.known[words[k]]
+            self.known[words[k]] = (mark, row[mark]) if before is None else (np.concatenate([before[0], mark]), np.concatenate([before[1], row[mark]]))
+
+    def features(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """A row for each text: its greatest kernel with each landmark; the logarithm of its number of distinct words, in fifths."""
         sets = [words_of(t) for t in texts]
         if len(self.known) > MEMORY:
             self.known.clear()
         new = list(set().union(*sets).difference(self.known)) if sets else []
         for at in range(0, len(new), 20_000):
-            part = new[at : at + 20_000]
-            self.known.update(zip(part, self.worst(part), strict=True))
-        out = np.full((len(sets), TOP + 1), self.bias)
-        for k, s in enumerate(sets):
-            top = heapq.nlargest(TOP, map(self.known.__getitem__, s))
-            out[k, : len(top)] = top
-            out[k, TOP] = np.log1p(len(s))
-        out[:, :TOP] = np.clip(out[:, :TOP], max(-1.0, self.bias), 1.5)  # what lowers a margin below that doesn't count
-        return out
+            self._learn(new[at : at + 20_000])
+        out = np.zeros((len(sets), len(self.marks.words)))
+        for row, s in zip(out, sets, strict=True):
+            for mark, value in filter(None, map(self.known.__getitem__, s)):
+                row[mark] = np.maximum(row[mark], value) if len(mark) < 2 else _greater(row, mark, value)
+        return out, np.log1p(np.fromiter(map(len, sets), float, len(sets))) / 5
+
+    def sums(self, texts: list[str | None]) -> np.ndarray:
+        """The machine's margin of each text."""
+        kernels, length = self.features(texts)
+        return kernels @ self.alpha + self.length * length + self.bias
 
     def scores(self, texts: list[str | None]) -> np.ndarray:
         if self.marks is None:
             return np.full(len(texts), self.base)
-        return 1 / (1 + np.exp(-np.clip(np.hstack([self.evidence(texts), np.ones((len(texts), 1))]) @ self.curve, -30, 30)))
+        return 1 / (1 + np.exp(-np.clip(self.curve[0] * self.sums(texts) + self.curve[1], -30, 30)))
+
+
+def _greater(row: np.ndarray, mark: np.ndarray, value: np.ndarray) -> np.ndarray:
+    """What row[mark] becomes; a landmark can come twice, through two windows of a word."""
+    np.maximum.at(row, mark, value)
+    return row[mark]
 
 
 def tied(rows: list[set[str]], toxic: np.ndarray, least: float = 12.0, lift: float = 20.0) -> tuple[list[str], set[str]]:
@@ -265,20 +291,19 @@ def fit(rows: list[tuple[str, int]], share: float | None = None) -> Model:
     inner = marks.kernel_of(marks.words)
     value, vector = np.linalg.eigh((inner + inner.T) / 2)
     white = vector / np.sqrt(np.maximum(value, 1e-3)) @ vector.T
-    # clean words: the commonest, those nearest to tied words, and an even choice of the others
-    pick = sorted(set(range(min(1000, len(good)))) | set(hard[:3000].tolist()) | set(range(0, len(good), max(1, len(good) // 1000))))
-    words = bad + [good[k] for k in pick]
-    y = np.where(np.arange(len(words)) < len(bad), 1.0, -1.0)
-    w = squared_hinge(marks.kernel_of(words) @ white, y, np.where(y > 0, 3.0, 1.0), 0.1)
-    model = Model(share, marks, white @ w[:-1], float(w[-1]))
-    model.bound = marks.bounds(np.nonzero(model.alpha > 0)[0])
-    model.curve = logistic(model.evidence([t for t, _ in rows]), toxic, np.where(toxic, share, 1 - share) / np.where(toxic, base, 1 - base))
+    model = Model(share, marks, np.zeros(len(marks.words)), 0.0, marks.bounds(np.arange(len(marks.words))))
+    kernels, length = model.features([t for t, _ in rows])
+    cost = np.where(toxic, share, 1 - share) / np.where(toxic, base, 1 - base)  # undoes the sampling by class
+    w = squared_hinge(np.hstack([kernels @ white, length[:, None]]), np.where(toxic, 1.0, -1.0), cost, RIDGE)
+    model.alpha, model.length, model.bias = white @ w[:-2], float(w[-2]), float(w[-1])
+    margin = kernels @ model.alpha + model.length * length + model.bias
+    model.curve = logistic(margin[:, None], toxic, cost)
     model.known.clear()
     return model
 
 
 def logistic(x: np.ndarray, toxic: np.ndarray, weight: np.ndarray) -> np.ndarray:
-    """Weights (the last one the bias) of a logistic curve over texts' evidence, by Newton steps."""
+    """Weights (the last one the bias) of a logistic curve over texts' margins, by Newton steps."""
     x = np.hstack([x, np.ones((len(x), 1))])
     b, ridge = np.zeros(x.shape[1]), np.append(np.full(x.shape[1] - 1, 0.5), 1e-3)
     for _ in range(100):
@@ -325,4 +350,4 @@ def score(df: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "
             s = np.concatenate(out)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, SCORED)
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), SCORED)
