@@ -124,13 +124,8 @@ def test_simhash_hard_rows(hard, empty):
     assert simhash.cluster(empty).count() == 0
 
 
-@pytest.mark.parametrize("chunk", [line_dedup.CHUNK, 2])
-def test_fuzzy_lines_against_all_pairs(spark, docs, monkeypatch, chunk):
-    """Every link of Jaccard 0.8 and more among the lines of the smallest table, and one line kept of each component."""
-    monkeypatch.setattr(line_dedup, "CHUNK", chunk)
-    rows = line_dedup.line_components(spark.read.parquet(f"{SF}/documents.parquet")).collect()
-    texts = {d: t.split("\n") for d, t, _ in docs}
-    lines = {r.lid: line_dedup.normal(texts[r.doc_id][r.line_no]) for r in rows}
+def linked_lines(lines):
+    """Components by brute force over lines {key: normalised text}: Jaccard 0.8 of 8-character shingles, equal text for shorter ones."""
     sets = {k: frozenset(t[i : i + 8] for i in range(len(t) - 7)) for k, t in lines.items()}
     holds = defaultdict(set)
     for k, s in sets.items():
@@ -141,7 +136,16 @@ def test_fuzzy_lines_against_all_pairs(spark, docs, monkeypatch, chunk):
         for m, c in Counter(m for x in s for m in holds[x] if m > k).items():
             if c >= 0.8 * (len(s) + len(sets[m]) - c):
                 pairs.append((k, m))
-    want = union_find(pairs, sets)
+    return union_find(pairs, sets)
+
+
+@pytest.mark.parametrize("chunk", [line_dedup.CHUNK, 2])
+def test_fuzzy_lines_against_all_pairs(spark, docs, monkeypatch, chunk):
+    """Every link of Jaccard 0.8 and more among the lines of the smallest table, and one line kept of each component."""
+    monkeypatch.setattr(line_dedup, "CHUNK", chunk)
+    rows = line_dedup.line_components(spark.read.parquet(f"{SF}/documents.parquet")).collect()
+    texts = {d: t.split("\n") for d, t, _ in docs}
+    want = linked_lines({r.lid: line_dedup.normal(texts[r.doc_id][r.line_no]) for r in rows})
     assert {r.lid: r.root for r in rows} == want
     first = {}
     for r in sorted(rows, key=lambda r: (r.doc_id, r.line_no)):
@@ -170,6 +174,31 @@ def test_short_lines_are_grouped_and_components_named(spark, monkeypatch):
     assert line_dedup.dedup_documents(df, least=1).where("doc_id = 1").first().text == "only here"
 
 
+def kept_by_brute_force(rows, least):
+    """Per row of (id, text): the places of its lines that go."""
+    named, at = {}, {}
+    for k, (doc, text) in enumerate(rows):
+        for place, raw in enumerate((text or "").split("\n")):
+            if len(line := line_dedup.normal(raw)) >= least:
+                at[k, place] = line
+                named.setdefault(line, len(named))
+    root = linked_lines({n: line for line, n in named.items()})
+    first, gone = {}, defaultdict(list)
+    for k, place in sorted(at, key=lambda x: (rows[x[0]][0], x[1])):
+        if first.setdefault(root[named[at[k, place]]], (k, place)) != (k, place):
+            gone[k].append(place)
+    return gone
+
+
+def test_fuzzy_lines_query_against_brute_force(spark, docs):
+    rows = [(d, t) for d, t, _ in docs]
+    gone = kept_by_brute_force(rows, 1)
+    got = {r.doc_id: r for r in queries.op10_fuzzy_lines(spark, SF).collect()}
+    for k, (d, t) in enumerate(rows):
+        assert got[d].removed == sorted(gone[k]) and got[d].n_removed == len(gone[k])
+        assert got[d].n_compared == sum(bool(line_dedup.normal(x)) for x in t.split("\n"))
+
+
 REPEATED = ["a line that two documents have and that is long enough", "another line that is long enough, with the words xxx", "a line of its own that no other document has, with zzz"]
 
 
@@ -225,6 +254,35 @@ def test_language_on_held_out_rows(spark, docs):
     assert sum(r.rejected for r in rows.values()) <= 0.01 * len(rows)
 
 
+def test_language_query_against_plain_counting(spark):
+    """Counts by dictionary, cosines by loops: the query's languages and scores."""
+    sf, mask = "/root/testdata/sf0.01", (1 << 32) - 1
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    model = language.train(docs.where(language.remainder("doc_id", 4) != 2))
+    p = [int(x) for x in language._P]
+
+    def hashed(gram):
+        h = ord(gram[0]) * p[0] & mask
+        for k, c in enumerate(gram[1:], 1):
+            h = ((h ^ h >> 15) * p[k] + ord(c) * p[0]) & mask
+        h ^= h >> 13
+        return (h * (p[1] + 2 * len(gram)) & mask) >> 20
+
+    got = {r.doc_id: r for r in queries.op4_language(spark, sf).collect()}
+    rows = sorted(docs.select("doc_id", "text").collect())
+    assert len(got) == len(rows)
+    for r in rows[::25]:
+        text = "".join(c if c.isalpha() else " " for c in f" {r.text.lower()} ")
+        text = " " + " ".join(text.split()) + " "
+        tf = Counter(hashed(text[i : i + n]) for n in (1, 2, 3) for i in range(len(text) - n + 1) if n > 1 or text[i] != " ")
+        v = np.zeros(language.DIMS)
+        for k, c in tf.items():
+            v[k] = np.log1p(np.log1p(c)) * model.idf[k]
+        cosine = model.centroids @ (v / max(np.linalg.norm(v), 1e-12))
+        assert got[r.doc_id].lang_pred == model.names[model.language[cosine.argmax()]] or np.sort(cosine)[-1] - np.sort(cosine)[-2] < 1e-5
+        assert got[r.doc_id].score == pytest.approx(min(1, max(0, cosine.max())), abs=1e-4)
+
+
 def test_language_hard_rows(spark, hard, empty, docs):
     model = language.fit([(lang, t) for _, t, lang in docs if any(map(str.isalpha, t))])
     rows = language.predict(hard, model).collect()
@@ -276,6 +334,16 @@ def test_merge_dropout_draws_every_occurrence_apart():
     assert np.mean(codec.skipped(np.repeat(draws, 20), np.tile(np.arange(20), 400))) == pytest.approx(0.3, abs=0.02)
 
 
+def test_merge_dropout_query_against_one_word_at_a_time(spark, docs):
+    codec = merge_dropout.Codec(tokenizer_path("piece_bpe_32k.model"))
+    rows = {r.doc_id: r for r in queries.op5_merge_dropout(spark, SF).collect()}
+    assert len(rows) == len(docs) and all(r.lossless for r in rows.values())
+    for d, t, _ in docs:
+        words, draws = codec._split(t, d)
+        ids = [i for w, k in zip(words, draws.tolist(), strict=True) for i in (codec.segment(w, k) if w else [codec.byte[b] for b in merge_dropout.MARK.encode()])]
+        assert (rows[d].n_tokens, rows[d].ids_crc32, rows[d].n_chars) == (len(ids), zlib.crc32(np.array(ids, "<i4").tobytes()), len(t))
+
+
 def test_merge_dropout_hard_rows(hard, empty):
     path = tokenizer_path("piece_bpe_32k.model")
     rows = merge_dropout.round_trips(hard, path).collect()
@@ -475,6 +543,42 @@ def test_toxicity_on_held_out_rows(spark):
     assert all(0 <= r.score <= 1 and r.predicted == (r.score >= 0.5) for r in rows.values())
 
 
+def test_toxicity_query_against_plain_kernels(spark):
+    """Kernels by enumeration of subsequences, one word and one landmark at a time."""
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    model = toxicity.train(docs, spark.read.parquet(f"{sf}/labels.parquet").where(language.remainder("doc_id", 5) != 0))
+
+    def features(word):
+        f, c = Counter(), toxicity.codes([word])[0].tolist()
+        for i in range(len(c)):
+            for j in range(i + 1, len(c)):
+                for k in range(j + 1, min(len(c), i + toxicity.SPAN)):
+                    if c[i] and c[j] and c[k]:
+                        f[c[i], c[j], c[k]] += toxicity.DECAY ** (k - i + 1)
+        norm = sum(v * v for v in f.values()) ** 0.5
+        return {k: v / norm for k, v in f.items()}
+
+    marks = [features(w) for w in model.marks.words]
+    known = {}
+
+    def near(window):
+        if window not in known:
+            own = features(window)
+            raw = [sum(v * m.get(k, 0) for k, v in own.items()) for m in marks]
+            known[window] = np.array([np.exp((min(x, 1) - 1) / toxicity.WIDTH) if x >= toxicity.CUT else 0 for x in raw])
+        return known[window]
+
+    got = {r.doc_id: r.score for r in queries.op9_toxicity(spark, sf).collect()}
+    rows = sorted(docs.select("doc_id", "text").collect())
+    assert len(got) == len(rows)
+    for r in [r for r in rows if len(r.text) < 1500][::40]:
+        words = toxicity.words_of(r.text)
+        kernels = np.max([near(p) for w in words for p in toxicity.windows(w)], axis=0, initial=0)
+        margin = kernels @ model.alpha + model.length * np.log1p(len(words)) / 5 + model.bias
+        assert got[r.doc_id] == pytest.approx(1 / (1 + np.exp(-(model.curve[0] * margin + model.curve[1]))), abs=1e-4)
+
+
 def test_toxicity_tolerates_gaps_and_hard_rows(spark, hard, empty):
     rng = np.random.default_rng(3)
     rows = [(" ".join(rng.choice(WORDS, 20)), 0) for _ in range(80)] + [(" ".join([*rng.choice(WORDS, 20), "scoundrel"]), 1) for _ in range(40)]
@@ -585,6 +689,18 @@ def test_pipeline_stages(spark):
     for name, stage in C.STAGES[:-1]:
         after = stage(spark, before, SF).persist()
         assert after.columns == docs.columns and ids(after) <= ids(before), name
+        rows = before.select("doc_id", "text").collect()
+        if name == "language":
+            model = language.train(before.where(language.remainder("doc_id", 4) != 2))
+            assert ids(after) == {r.doc_id for r, (_, _, no) in zip(rows, model.predict([r.text for r in rows]), strict=True) if not no}
+        if name == "line_dedup":
+            gone = kept_by_brute_force([tuple(r) for r in rows], line_dedup.MIN_CHARS)
+            left = {r.doc_id: "\n".join(x for at, x in enumerate(r.text.split("\n")) if at not in gone[k]) for k, r in enumerate(rows)}
+            assert {r.doc_id: r.text for r in after.collect()} == {d: t for d, t in left.items() if t.split()}
+        if name == "decontamination":
+            items = [decontaminate.Item(r.item_id, r.text) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
+            held = lambda t: any(a >= 0.8 or (q >= 0.8 and s >= 0.5) for a, q, s in (i.overlaps(decontaminate.words(t)) for i in items))
+            assert ids(after) == {r.doc_id for r in rows if not held(r.text)}
         if name == "simhash":
             fp = simhash.fingerprint_batch([r.text for r in before.collect()])
             order = [r.doc_id for r in before.collect()]
