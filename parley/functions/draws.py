@@ -1,4 +1,8 @@
-"""Seeded random draws by integer arithmetic modulo 2**31 - 1, equal in Spark, DuckDB and NumPy on any number of tasks."""
+"""Seeded random draws by integer arithmetic modulo 2**31 - 1, equal in Spark, DuckDB and NumPy on any number of tasks.
+
+Every key is multiplied in and folded; three more rounds of folding high bits into low ones and multiplying part the draws
+of neighbouring keys (multiplication alone leaves them on lines). Leading numbers are mixed before a column is built.
+"""
 
 from __future__ import annotations
 
@@ -7,34 +11,54 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 P = 2147483647
-#: Fixed multipliers of the three rounds.
-MULT = (48271, 69621, 16807)
+#: Fixed multiplier of a key, and multipliers and shifts of the three last rounds.
+MULT = 48271
+LAST = ((69621, 15), (742938285, 12), (950706376, 17))
+
+
+def _leading(keys: tuple) -> tuple[int, tuple]:
+    """The state after the numbers that come first, and the other keys."""
+    x, at = 17, 0
+    while at < len(keys) and isinstance(keys[at], (int, np.integer)):
+        x = (x * MULT + int(keys[at]) % P + 1) % P
+        x ^= x >> 15
+        at += 1
+    return x, keys[at:]
 
 
 def mixed(*keys: Column | int) -> Column:
     """An integer below P from integer keys."""
-    x: Column = F.lit(17).cast("long")
-    for k in keys:
-        k = k if isinstance(k, Column) else F.lit(int(k))
-        x = F.pmod(x * MULT[0] + F.pmod(k.cast("long"), F.lit(P)) + 1, F.lit(P))
-        x = F.pmod(x * MULT[1] + F.floor(x / 65536).cast("long") * 31, F.lit(P))
-    return F.pmod(x * MULT[2], F.lit(P))
+    start, rest = _leading(keys)
+    x: Column = F.lit(start).cast("long")
+    for k in rest:
+        k = F.pmod(k.cast("long"), F.lit(P)) if isinstance(k, Column) else F.lit(int(k) % P).cast("long")
+        x = F.pmod(x * MULT + k + 1, F.lit(P))
+        x = x.bitwiseXOR(F.shiftright(x, 15))
+    for times, shift in LAST:
+        x = F.pmod(x.bitwiseXOR(F.shiftright(x, shift)) * times, F.lit(P))
+    return x
 
 
 def mixed_sql(*keys: str | int) -> str:
-    x = "17::BIGINT"
-    for k in keys:
-        x = f"((({x}) * {MULT[0]} + ((({k})::BIGINT % {P} + {P}) % {P}) + 1) % {P})"
-        x = f"((({x}) * {MULT[1]} + (({x}) // 65536) * 31) % {P})"
-    return f"((({x}) * {MULT[2]}) % {P})"
+    start, rest = _leading(keys)
+    x = f"{start}::BIGINT"
+    for k in rest:
+        own = f"((({k})::BIGINT % {P} + {P}) % {P})" if isinstance(k, str) else str(int(k) % P)
+        x = f"((({x}) * {MULT} + {own} + 1) % {P})"
+        x = f"xor({x}, {x} >> 15)"
+    for times, shift in LAST:
+        x = f"((xor({x}, {x} >> {shift}) * {times}) % {P})"
+    return x
 
 
 def mixed_np(*keys: np.ndarray | int) -> np.ndarray:
     x: np.ndarray = np.int64(17)
     for k in keys:
-        x = (x * MULT[0] + np.mod(np.asarray(k, np.int64), P) + 1) % P
-        x = (x * MULT[1] + (x // 65536) * 31) % P
-    return (x * MULT[2]) % P
+        x = (x * MULT + np.mod(np.asarray(k, np.int64), P) + 1) % P
+        x = x ^ (x >> 15)
+    for times, shift in LAST:
+        x = ((x ^ (x >> shift)) * times) % P
+    return x
 
 
 def uniform(*keys: Column | int) -> Column:
