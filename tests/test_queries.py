@@ -11,7 +11,7 @@ from parley.queries import loops, measures, relational, training, variants, vect
 SUBJECTS = [vectors.register, loops.register, training.register, measures.register, relational.register, variants.register]
 WITH_SQL = {k: (r.queries[k], s) for r in SUBJECTS for k, s in r.sql.items()}
 #: Short ones among those without SQL; the longer runs are in the bench and in test_methods.
-WITHOUT = ["quadratic_rounds_comed", "training_failure", "straggler_levels", "party_ablation"]
+WITHOUT = ["training_failure", "compare_standard", "text_sequences", "layer_hybrid", "straggler_levels", "party_ablation"]
 
 
 def canonical(rows):
