@@ -27,6 +27,7 @@ import string
 from bisect import bisect_left
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -42,7 +43,8 @@ THRESHOLD = 0.5
 OVERLAP = 0.8
 COMMON_MASS = 0.3
 BLOCK = 32
-INDEX_BYTES = 16 << 20
+#: Text of one shard's items; a worker holds about 30 MB of index for each MB of it (measured).
+INDEX_BYTES = 4 << 20
 K1, B = 1.2, 0.75
 RESULT = "doc_id long, item_id long, score double, question_overlap double, answer_overlap double"
 
@@ -58,15 +60,30 @@ def shingles(w: list[bytes]) -> set[bytes]:
 
 
 class Item:
-    """A test item's shingles, parted into question and answer."""
+    """A test item; its shingles, parted into question and answer, are made when a passage first meets it."""
 
     def __init__(self, item_id: int | None, text: str):
-        self.item_id = item_id
-        sentences = [s for s in re.split(r"(?<=[.!?])\s+", text.strip()) if words(s)]
-        self.words = words(text)
-        self.all = shingles(self.words)
-        self.answer = shingles(words(sentences[-1])) if len(sentences) > 1 else self.all
-        self.question = shingles(words(" ".join(sentences[:-1]))) if len(sentences) > 1 else self.all
+        self.item_id, self.text = item_id, text
+
+    @cached_property
+    def words(self) -> list[bytes]:
+        return words(self.text)
+
+    @cached_property
+    def sentences(self) -> list[str]:
+        return [s for s in re.split(r"(?<=[.!?])\s+", self.text.strip()) if words(s)]
+
+    @cached_property
+    def all(self) -> set[bytes]:
+        return shingles(self.words)
+
+    @cached_property
+    def answer(self) -> set[bytes]:
+        return shingles(words(self.sentences[-1])) if len(self.sentences) > 1 else self.all
+
+    @cached_property
+    def question(self) -> set[bytes]:
+        return shingles(words(" ".join(self.sentences[:-1]))) if len(self.sentences) > 1 else self.all
 
     def overlaps(self, around: list[bytes]) -> tuple[float, float, float]:
         there = {n: {b" ".join(around[k : k + n]) for k in range(len(around) - n + 1)} for n in {min(SHINGLE, s.count(b" ") + 1) for s in self.all | self.answer | self.question}}
@@ -79,15 +96,18 @@ class Index:
 
     def __init__(self, items: list[tuple[int | None, str]], short: bool = False):
         """Of the items, those of SHORT words or more, or the others."""
-        self.short = short
-        self.items = [i for i in (Item(k, t) for k, t in items) if i.words and (len(i.words) < SHORT) == short]
+        self.short, self.items = short, []
         segments, self.owner = [], []
-        for at, item in enumerate(self.items):
-            n = -(-len(item.words) // SEGMENT)
-            cut = [round(k * len(item.words) / n) for k in range(n + 1)]
+        for key, text in items:
+            own = words(text)
+            if not own or (len(own) < SHORT) != short:
+                continue
+            n = -(-len(own) // SEGMENT)
+            cut = [round(k * len(own) / n) for k in range(n + 1)]
             for a, b in zip(cut, cut[1:], strict=False):
-                segments.append(Counter(item.words[a:b]))
-                self.owner.append(at)
+                segments.append(Counter(own[a:b]))
+                self.owner.append(len(self.items))
+            self.items.append(Item(key, text))
         df = Counter(t for s in segments for t in s)
         mean = sum(sum(s.values()) for s in segments) / max(1, len(segments))
         postings: dict[bytes, list[tuple[int, float]]] = defaultdict(list)

@@ -37,7 +37,7 @@ THRESHOLD = 0.8
 BANDS, ROWS = 12, 5
 BINS = BANDS * ROWS
 #: Lines of one band bucket that one task compares; larger buckets are cut into chunks, and each pair of chunks is a group.
-CHUNK = 1024
+CHUNK = 512
 #: Buckets of so few lines are compared pair by pair; in larger ones bitmaps of the lines rule most pairs out first.
 FEW = 8
 #: Lines that a task remembers having signed.
