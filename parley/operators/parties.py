@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from parley.functions.draws import laplace, mixed, uniform
+from parley.functions.draws import P, laplace, mixed, uniform
 
 
 def by_hash(df: DataFrame, n: int, seed: int, key: str) -> DataFrame:
@@ -43,11 +43,20 @@ def power_law(df: DataFrame, n: int, seed: int, key: str) -> DataFrame:
     return df.withColumn("party_id", power_law_place(uniform(seed, F.col(key)), n))
 
 
-def split(df: DataFrame, share: float, seed: int, key: str) -> DataFrame:
-    """Exactly ceil(share x rows) training rows in each party; adds split and pos, a row's place in its party's seeded order."""
+def split(df: DataFrame, share: float, seed: int, key: str, slices: int = 256) -> DataFrame:
+    """Exactly ceil(share x rows) training rows in each party; adds split, n and pos, a row's place in its party's seeded order.
+
+    A party is ranked in slices of that order, each begun where the one before ends, so that no party is too large for a task.
+    """
+    order = mixed(seed, 11, F.col(key))
+    rows = df.withColumns({"_order": order, "_slice": F.floor(order * slices / P)})
+    sizes = rows.groupBy("party_id", "_slice").agg(F.count("*").alias("_size"))
     w = Window.partitionBy("party_id")
-    place = F.row_number().over(w.orderBy(mixed(seed, 11, F.col(key)), key))
-    return df.withColumns({"pos": place - 1, "n": F.count("*").over(w)}).withColumn("split", F.when(F.col("pos") < F.ceil(F.col("n") * share), "train").otherwise("test"))
+    ahead = F.coalesce(F.sum("_size").over(w.orderBy("_slice").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    begins = sizes.select("party_id", "_slice", ahead.alias("_ahead"), F.sum("_size").over(w).alias("n"))  # at most `slices` rows a party
+    place = F.row_number().over(Window.partitionBy("party_id", "_slice").orderBy("_order", key))
+    placed = rows.join(begins, ["party_id", "_slice"]).withColumn("pos", place - 1 + F.col("_ahead")).drop("_order", "_slice", "_ahead")
+    return placed.withColumn("split", F.when(F.col("pos") < F.ceil(F.col("n") * share), "train").otherwise("test"))
 
 
 def batches(df: DataFrame, size: int) -> DataFrame:

@@ -37,7 +37,7 @@ def test_query_matches_sql(spark, duck, name):
 
 @pytest.mark.parametrize("name", WITHOUT)
 def test_query_runs(spark, name):
-    df = loops.register.queries[name](spark, SF)
+    df = next(r.queries[name] for r in SUBJECTS if name in r.queries)(spark, SF)
     assert df.count() > 0
 
 
