@@ -29,6 +29,10 @@ class Federation:
     def parties(self) -> np.ndarray:
         return np.arange(len(self.x))
 
+    @property
+    def nbytes(self) -> int:
+        return sum(a.nbytes for part in (self.x, self.y, self.xt, self.yt) for a in part)
+
 
 def split(x: list[np.ndarray], y: list[np.ndarray], share: float, seed: int) -> Federation:
     rng, parts = np.random.default_rng(seed), []
@@ -39,10 +43,15 @@ def split(x: list[np.ndarray], y: list[np.ndarray], share: float, seed: int) ->
     return Federation(*map(list, zip(*parts, strict=True)))
 
 
-def fits(examples: DataFrame, limit: int = TASK_BYTES) -> bool:
-    """Whether an example table may be held by one task: from its row count and the width of its widest row."""
+def bytes_of(examples: DataFrame) -> int:
+    """Room that an example table takes in one task: from its row count and the width of its widest row."""
     got = examples.agg(F.count("*").alias("n"), F.max(F.size("x")).alias("d")).first()
-    return got["n"] * ((got["d"] or 0) + 8) * 8 <= limit
+    return got["n"] * ((got["d"] or 0) + 8) * 8
+
+
+def fits(examples: DataFrame, held: int = 0, limit: int = TASK_BYTES) -> bool:
+    """Whether a task that holds so many bytes already can hold an example table too."""
+    return held + bytes_of(examples) <= limit
 
 
 def gathered(examples: DataFrame) -> Federation:

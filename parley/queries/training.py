@@ -325,6 +325,26 @@ def loss_envelopes(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def gram_training(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Full-gradient rounds from sufficient statistics: one scan, then a row a party."""
-    st = statistics(W.order_examples(spark, sf_dir).where("split = 'train'"), 2)
-    run = quadratic.rounds(Tables(spark).keep(st, "statistics"), METHODS["personal_mean"], FULL)
+    run = quadratic.train(W.order_examples(spark, sf_dir).where("split = 'train'"), LOSS, METHODS["personal_mean"], FULL)
     return run.state.select("party_id", *[(F.round(F.get("w", F.lit(j)), 6) + 0.0).alias(f"w{j}") for j in range(2)])
+
+
+def _foreign_sql(method: M.Method) -> str:
+    return rounds_sql(method) + f" SELECT r.party_id, round(avg((w0 + w1 * x - y) * (w0 + w1 * x - y)), 5) + 0.0 AS mse FROM r{CFG.rounds} r JOIN te ON te.party_id != r.party_id GROUP BY r.party_id"
+
+
+@register(_foreign_sql(METHODS["personal_geomed"]))
+def trained_transfer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Trained models on the test rows of all other parties."""
+    ex = Tables(spark).keep(W.order_examples(spark, sf_dir), "examples")
+    run, test = R.run_rounds(ex.where("split = 'train'"), LOSS, METHODS["personal_geomed"], CFG), ex.where("split = 'test'")
+    yy = test.groupBy("party_id").agg(F.avg(F.col("y") * F.col("y")).alias("yy"))
+    got = quadratic.foreign_errors(statistics(test, 2).join(yy, "party_id"), run.state)
+    return got.select("party_id", (F.round("mse", 5) + 0.0).alias("mse"))
+
+
+@register(training_sql(METHODS["personal_comed"]).replace("SELECT j.party_id, round(any_value(w0)", "SELECT * FROM (SELECT j.party_id, round(any_value(w0)", 1).replace("GROUP BY j.party_id", "GROUP BY j.party_id)", 1).replace("SELECT * FROM (", "SELECT round(avg(mse), 4) AS mean, round(max(mse), 4) AS worst, round(quantile_cont(mse, 0.9), 4) AS p90 FROM (", 1))
+def trained_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean, worst and ninth decile of the parties' errors after training."""
+    t = trained(spark, sf_dir, METHODS["personal_comed"])
+    return t.agg(F.round(F.avg("mse"), 4).alias("mean"), F.round(F.max("mse"), 4).alias("worst"), F.round(F.percentile("mse", 0.9), 4).alias("p90"))

@@ -256,7 +256,7 @@ def experiment(spark: SparkSession, sf_dir: str, settings: Iterable[tuple], d: i
         key = (dataset, n, cfg.seed)
         if dataset in ON_TABLES and key not in small and key not in large:
             examples = tables.keep(ON_TABLES[dataset][1](spark, sf_dir, n, cfg.seed), "examples")
-            if fits(examples):
+            if fits(examples, sum(f.nbytes for f in small.values())):  # tasks hold all that are small
                 small[key] = gathered(examples)
                 tables.drop(examples)
             else:

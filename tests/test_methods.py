@@ -165,7 +165,7 @@ def test_sweeps_beyond_a_tasks_size_run_distributed(spark, monkeypatch):
     cfg = replace(M.bench_standard("five_labels", rounds=2), steps=2)
     settings = [("five_labels", 20, M.personal_geomed(), cfg, 1)]
     inside = sorted(W.experiment(spark, SF, settings).collect())
-    monkeypatch.setattr(W, "fits", lambda examples: False)
+    monkeypatch.setattr(W, "fits", lambda examples, held: False)
     beyond = sorted(W.experiment(spark, SF, settings).collect())
     assert [(r.round, r.method) for r in inside] == [(r.round, r.method) for r in beyond]
     assert [tuple(r)[5:7] for r in inside] == [pytest.approx(tuple(r)[5:7]) for r in beyond]  # parties without test rows have no score in either
@@ -237,6 +237,17 @@ def test_far_parties_hurt_the_common_model_most():
     assert mean["fed_mean"] == max(mean.values())
 
 
+def test_the_planner_trains_on_statistics_where_it_can(spark):
+    from parley.functions.losses import Linear
+    from parley.operators import quadratic
+
+    ex = W.order_examples(spark, SF).where("split = 'train'").persist()
+    cfg = M.Rounds(0.3, 1.0, 2, 8, 3, None)
+    a, b = quadratic.train(ex, Linear(2), M.personal_geomed(), cfg), R.run_rounds(ex, Linear(2), M.personal_geomed(), cfg)
+    assert np.allclose(a.g, b.g, atol=1e-12)
+    assert np.allclose([r.w for r in a.state.orderBy("party_id").collect()], [r.w for r in b.state.orderBy("party_id").collect()], atol=1e-12)
+
+
 def test_planner():
     assert aggregator(Regulariser("sq"), 10**6, 10**6).form == "mean"
     assert aggregator(Regulariser("l1"), 100, 1000).form == "gathered"
