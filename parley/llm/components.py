@@ -72,7 +72,10 @@ def components(edges: DataFrame, tables: Tables | None = None, max_rounds: int =
     """edges: two long columns. Returns (node, root) for every node that isn't its own component's smallest id."""
     names, tables = edges.columns, tables or Tables(edges.sparkSession)
     start = edges.select(F.col(names[0]).cast("long").alias("v"), F.col(names[1]).cast("long").alias("u")).where("v IS NOT NULL AND u IS NOT NULL AND v != u")
-    first = tables.keep(start.mapInArrow(tidy(_contract), "v long, u long"), "edges")
+    # written first: a task that makes edges in Python and contracts them too would keep two workers, for good
+    raw = tables.keep(start, "edges")
+    first = tables.keep(raw.mapInArrow(tidy(_contract), "v long, u long"), "forests")
+    tables.drop(raw)
     fewer = max(1, len(first.inputFiles()) // FEWER)
     now = tables.keep(first.coalesce(fewer).mapInArrow(tidy(_contract), "v long, u long"), "forest")
     tables.drop(first)

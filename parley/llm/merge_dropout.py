@@ -36,7 +36,7 @@ MARK = "▁"
 RATE = 0.1
 SEED = 20
 #: Words that one worker remembers before it starts anew.
-MEMORY = 600_000
+MEMORY = 250_000
 #: Words whose agendas run side by side.
 ABREAST = 8192
 ENCODED = "doc_id long, ids array<int>, lossless boolean"
@@ -353,9 +353,9 @@ def _runner(path: str, rate: float, seed: int, digest: bool):
         own = codec(path, rate, seed)
         for batch in batches:
             docs, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for at in range(0, len(docs), 256):
-                part, key = texts[at : at + 256], batch.column(0).slice(at, 256)
-                ids = own.encode_all(part, docs[at : at + 256])
+            for at in range(0, len(docs), 128):
+                part, key = texts[at : at + 128], batch.column(0).slice(at, 128)
+                ids = own.encode_all(part, docs[at : at + 128])
                 size = [len(x) for x in ids]
                 back = [own.decode(x.tolist()) for x in ids]
                 same = pa.array([b == (t or "") for b, t in zip(back, part, strict=True)], pa.bool_())
