@@ -47,6 +47,7 @@ def split(df: DataFrame, share: float, seed: int, key: str, slices: int = 256) -
     """Exactly ceil(share x rows) training rows in each party; adds split, n and pos, a row's place in its party's seeded order.
 
     A party is ranked in slices of that order, each begun where the one before ends, so that no party is too large for a task.
+    Rows without a party belong to no split and are left out.
     """
     order = mixed(seed, 11, F.col(key))
     rows = df.withColumns({"_order": order, "_slice": F.floor(order * slices / P)})

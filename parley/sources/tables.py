@@ -60,3 +60,7 @@ class Tables:
         for t in tables:
             if id(t) in self.paths:
                 remove(self.spark, self.paths.pop(id(t))[1])
+
+    def leave(self, *tables: DataFrame) -> None:
+        """Delete all but these."""
+        self.drop(*(t for t, _ in list(self.paths.values()) if not any(t is x for x in tables)))
