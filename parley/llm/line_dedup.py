@@ -54,6 +54,19 @@ def normal(line: str) -> str:
     return " ".join(line.lower().split())
 
 
+#: What a lower-case text must not hold for its lines to be normal as they stand (nor may it begin or end with a blank).
+_UNEVEN = ("  ", " \n", "\n ", *(chr(c) for c in range(0x3001) if chr(c).isspace() and chr(c) not in " \n"))
+
+
+def normal_lines(text: str) -> list[str]:
+    """normal() of every line of a text."""
+    low = text.lower()
+    lines = low.split("\n")
+    if low[:1] == " " or low[-1:] == " " or any(x in low for x in _UNEVEN):
+        return [" ".join(x.split()) for x in lines]
+    return lines
+
+
 def line_id(line: str) -> int:
     x = xxhash.xxh64_intdigest(line.encode("utf-8", "surrogatepass"))
     return x - (1 << 64) if x >> 63 else x
@@ -103,15 +116,16 @@ def signatures(lines: list[str]) -> np.ndarray:
 
 
 def _line_rows(least: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    least = max(1, least)  # a blank line is none
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         signed: set[int] = set()
         for batch in batches:
             rows, chars = [], 0
             for doc, mark, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 head = True
-                for at, raw in enumerate((text or "").split("\n")):
-                    # lower case can be longer than what it is made from
-                    if raw and len(line := normal(raw)) >= least:
+                for at, line in enumerate(normal_lines(text or "")):
+                    if len(line) >= least:
                         rows.append((doc, mark, at, head, line))
                         head, chars = False, chars + len(line)
                     if chars > 100_000:  # keeps the arrays within the processor's caches
@@ -367,7 +381,7 @@ def line_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
     moved = components(groups.mapInArrow(tidy(_links), "a long, b long"), tables)
     named = rows.select("doc_id", "mark", "line_no", "lid", "head").join(moved.withColumnRenamed("node", "lid"), "lid", "left").withColumn("root", F.coalesce("root", "lid"))
     named = tables.keep(named, "named")
-    tables.drop(rows, met, moved)
+    tables.leave(named)
     # only components of several lines are joined; stored, so that a join can split the rows of a common line
     several = named.groupBy("root").agg(F.min(F.struct("doc_id", "mark", "line_no")).alias("at"), F.count("*").alias("n")).where("n > 1")
     first = tables.keep(several.select("root", F.col("at.doc_id").alias("first_doc"), F.col("at.mark").alias("first_mark"), F.col("at.line_no").alias("first_line")), "first")

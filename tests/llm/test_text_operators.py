@@ -174,6 +174,12 @@ def test_short_lines_are_grouped_and_components_named(spark, monkeypatch):
     assert line_dedup.dedup_documents(df, least=1).where("doc_id = 1").first().text == "only here"
 
 
+def test_lines_of_a_text_are_normalised_as_each_alone(docs):
+    odd = ["", " a", "a ", "A  b\n\tc", "x\xa0y\nΟΔΟΣ\nΣ", "İstanbul\r\nB", "a\n b", "a \nb", "one\u2003two", "\n\n", "q\x1cr"]
+    for t in [*odd, *(t for _, t, _ in docs), LONG]:
+        assert line_dedup.normal_lines(t) == [line_dedup.normal(x) for x in t.split("\n")]
+
+
 def kept_by_brute_force(rows, least):
     """Per row of (id, text): the places of its lines that go."""
     named, at = {}, {}
