@@ -16,8 +16,9 @@ Writing: documents are dealt by id ranges, each task writes one shard to a name
 and then renames it, so that a task that runs again replaces its file by an equal one. Only the manifest (one row for
 each shard) is gathered. Reading opens each shard in a task of its own and streams its blocks.
 
-Defined results: null and empty texts hold just the end id; repeated ids lie side by side, in the order of their texts;
-null ids come first; an empty table gives no shards; other columns are ignored.
+Defined results: null and empty texts hold just the end id; repeated ids lie side by side, in the order of their texts,
+rows alike in both each with an entry of its own; null ids come first; a very long text is one entry, in a block of its
+own if need be; an empty table gives no shards; other columns are ignored.
 """
 
 from __future__ import annotations
