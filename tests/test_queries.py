@@ -60,3 +60,18 @@ def test_loss_constants_are_of_all_rows(spark):
         got = {r.loss: r.constant for r in measures.loss_constants(spark, SF).collect()}
     x *= np.sqrt(x.shape[1])
     assert got == {"softmax": pytest.approx(measures.Softmax(64, 10).lipschitz([x])), "rows": pytest.approx(np.linalg.norm(x, axis=1).max())}
+
+
+def test_day_windows_take_the_nearest_second(spark, tmp_path):
+    """Rows that truncated seconds would bring within a day of each other, or part."""
+    import duckdb
+
+    times = ("2024-01-01 00:00:00.6", "2024-01-02 00:00:01.4", "2024-01-02 00:00:01.6", "2024-01-03 00:00:00.5", "2024-01-03 00:00:01.5")
+    path = f"{tmp_path}/events.parquet"
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT k - 1 AS event_id, 7 AS user_id, ({list(times)})[k]::TIMESTAMP AS ts, k / 2.0 AS value FROM range(1, 6) t(k)) TO '{path}'")
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{path}'")
+    query, sql = WITH_SQL["analytic_windows"]
+    want = con.execute(f"SELECT event_id, change, least, day_n FROM ({sql})").fetchall()
+    assert canonical(query(spark, str(tmp_path)).select("event_id", "change", "least", "day_n").collect()) == canonical(want)
+    assert dict((r[0], r[3]) for r in want)[1] == 2  # 00:00:01 to the second, as the row a day before
