@@ -598,6 +598,21 @@ def test_toxicity_tolerates_gaps_and_hard_rows(spark, hard, empty):
     assert {r.score for r in toxicity.score(hard, toxicity.train(hard, labels)).collect()} == {0.0}
 
 
+def test_plain_words_skip_the_normaliser():
+    """Words that need no normalising are encoded without it, to the same ids; control blanks and special names aren't such."""
+    path = tokenizer_path("word_bpe_49k.json")
+    plain = ["the old été, (words)! c0ûté", "naïve çà.- ÿ þ", "", None]
+    odd = ["a\rb\x0b\x85c", "Ωé É\u0301 <|endoftext|>x it's", "a<|startoftext|>", "\xa0 \xad soft\xadhyphen"]
+    whole = WordEncoder(path).tokenizer
+    enc = WordEncoder(path)
+    ids = [np.frombuffer(b, enc.dtype).tolist() for b in enc.encode(plain[:2] + odd + plain[2:])]
+    assert ids == [whole.encode(t or "", add_special_tokens=False).ids for t in plain[:2] + odd + plain[2:]]
+    enc = WordEncoder(path)
+    enc._direct = lambda chunks: {c: pytest.fail(f"{c!r} went through it") for c in chunks}
+    enc.tokenizer = None
+    assert np.frombuffer(enc.encode(["the old été, words!"])[0], enc.dtype).tolist() == whole.encode("the old été, words!", add_special_tokens=False).ids
+
+
 def test_pages_article_text(spark):
     import html
     import re
