@@ -75,3 +75,24 @@ def test_day_windows_take_the_nearest_second(spark, tmp_path):
     want = con.execute(f"SELECT event_id, change, least, day_n FROM ({sql})").fetchall()
     assert canonical(query(spark, str(tmp_path)).select("event_id", "change", "least", "day_n").collect()) == canonical(want)
     assert dict((r[0], r[3]) for r in want)[1] == 2  # 00:00:01 to the second, as the row a day before
+
+
+def test_descent_check_reads_all_rows(spark):
+    """Losses and gradients of condensed parties are those on all of their rows; the decreases hold on them."""
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from parley.functions.losses import Linear
+    from parley.operators.theory import condensed
+
+    li = spark.read.parquet(f"{SF}/lineitem.parquet")
+    rows = li.select(F.pmod("l_suppkey", F.lit(3)).alias("party_id"), F.array(F.col("l_quantity") / 50, F.col("l_tax") * 10).alias("x"), (F.col("l_extendedprice") / 1e5).alias("y"))
+    fed, loss, w = condensed(rows, 2), Linear(2), np.array([[0.3, -0.7]])
+    every = rows.toPandas()
+    assert sum(len(own) for _, own in every.groupby("party_id")) == li.count() and fed.ids.tolist() == [0, 1, 2]
+    for k, own in every.groupby("party_id"):
+        x, y = np.stack(own["x"])[None], own["y"].to_numpy()[None]
+        assert loss.value(w, fed.x[k][None], fed.y[k][None]) == pytest.approx(loss.value(w, x, y))
+        assert loss.grad(w, fed.x[k][None], fed.y[k][None]) == pytest.approx(loss.grad(w, x, y))
+    got = measures.descent_check(spark, SF).collect()
+    assert len(got) == 3 and all(r.rises == 0 and r.decrease_held and r.gradient_ratio < 1 for r in got)
