@@ -96,3 +96,15 @@ def test_descent_check_reads_all_rows(spark):
         assert loss.grad(w, fed.x[k][None], fed.y[k][None]) == pytest.approx(loss.grad(w, x, y))
     got = measures.descent_check(spark, SF).collect()
     assert len(got) == 3 and all(r.rises == 0 and r.decrease_held and r.gradient_ratio < 1 for r in got)
+
+
+def test_generator_source_is_over_the_given_vectors(spark):
+    """Every vector is in one party; the source's models are those that plant its own rows."""
+    import numpy as np
+
+    n = spark.read.parquet(f"{SF}/embeddings.parquet").count()
+    assert sum(r.n for r in relational.generator_source(spark, SF).collect()) == n
+    source = spark.read.format("parley_synth").options(parties=3, rows=200)
+    models = {r.party_id: np.array(r.x) for r in source.option("models", 1).load().collect()}
+    for k, own in source.option("models", 0).load().toPandas().groupby("party_id"):
+        assert np.std(own["y"] - np.stack(own["x"]) @ models[k]) < 1.3  # what the model leaves is noise of variance 1
