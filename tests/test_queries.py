@@ -108,3 +108,9 @@ def test_generator_source_is_over_the_given_vectors(spark):
     models = {r.party_id: np.array(r.x) for r in source.option("models", 1).load().collect()}
     for k, own in source.option("models", 0).load().toPandas().groupby("party_id"):
         assert np.std(own["y"] - np.stack(own["x"]) @ models[k]) < 1.3  # what the model leaves is noise of variance 1
+
+
+def test_kappa_settings_cover_all_rows(spark):
+    got = measures.kappa_settings(spark, SF).collect()
+    assert sum(r.n for r in got) == spark.read.parquet(f"{SF}/lineitem.parquet").count()
+    assert {r.advised for r in got} == {True, False}
