@@ -114,3 +114,8 @@ def test_kappa_settings_cover_all_rows(spark):
     got = measures.kappa_settings(spark, SF).collect()
     assert sum(r.n for r in got) == spark.read.parquet(f"{SF}/lineitem.parquet").count()
     assert {r.advised for r in got} == {True, False}
+
+
+def test_seeded_draws_are_of_every_event(spark):
+    ids = [r[0] for r in spark.read.parquet(f"{SF}/events.parquet").select("event_id").collect()]
+    assert sorted(r.id for r in measures.seeded_draws(spark, SF).collect()) == sorted(ids)
