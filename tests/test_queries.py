@@ -131,3 +131,9 @@ def test_sensitivity_follows_the_given_vectors(spark, tmp_path):
     e.withColumn("embedding", F.transform("embedding", lambda a: a * 2)).write.parquet(f"{tmp_path}/embeddings.parquet")
     one, two = ({r.dataset: r.score for r in variants.sensitivity(spark, d).collect()} for d in (SF, str(tmp_path)))
     assert len(one) == 15 and all(math.isfinite(x) for x in one.values()) and all(one[k] != two[k] for k in one)
+
+
+def test_power_law_sizes_add_up_to_the_customers(spark):
+    got = variants.udtf_power_law(spark, SF).collect()
+    assert sum(r.total for r in got) == spark.read.parquet(f"{SF}/customer.parquet").count()
+    assert all(0 < r.largest <= r.total for r in got)
