@@ -652,6 +652,23 @@ def test_pages_of_a_host_give_equal_texts_on_any_number_of_partitions(spark, mon
     assert texts[500] == " ".join(LONG.split()) + "\nleft open by structure and unique"
 
 
+def test_large_hosts_are_compared_whole(spark, monkeypatch):
+    """Substrings on a fifth of a host's pages, few or none of them in one cohort, and others just below, as if all pages were in one task."""
+    rng = np.random.default_rng(3)
+    line = lambda *at: "<p>" + " ".join(f"{WORDS[(at[0] * 7 + j) % len(WORDS)]}{'-'.join(map(str, at))}" for j in range(11)) + "</p>"
+    pages = []
+    for k in range(60):
+        shared = "".join(line(m) for m in range(12) if rng.random() < (0.2 if m % 2 else 0.17))
+        pages.append(f"<body>{'<nav>' + line(0) + '</nav>' if k % 9 == 0 else ''}{shared}{line(100, k)}<article>{line(3) if k % 11 == 0 else ''}{line(200, k)}</article></body>")
+    pages += [pages[5]] * 3 + ["", None]
+    df = spark.createDataFrame([(k, "http://one.host/p", page) for k, page in enumerate(pages)], "page_id long, url string, html string")
+    monkeypatch.setattr(html_text, "PAGES", 5)
+    for structure in (True, False):
+        want = html_text.texts_of([html_text.blocks_of(page) for page in pages], structure)
+        got = {r.page_id: (r.text, r.n_chars) for r in html_text.extract(df, structure=structure).collect()}
+        assert got == {k: (t, len(t)) for k, t in enumerate(want)}
+
+
 def test_the_array_alone_finds_menus_without_tags(spark):
     from pyspark.sql import functions as F
 
