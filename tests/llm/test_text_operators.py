@@ -669,6 +669,55 @@ def test_large_hosts_are_compared_whole(spark, monkeypatch):
         assert got == {k: (t, len(t)) for k, t in enumerate(want)}
 
 
+def _boilerplate(pages, structure):
+    """(host, hash) of runs on a fifth of a host's contents, two at least, counted one by one. pages: (host, html)."""
+    kinds, on, known = defaultdict(set), defaultdict(set), html_text._Hashes()
+    for host, page in pages:
+        blocks = html_text.blocks_of(page)
+        kind = tuple(t for r, t in blocks if r != html_text.FURNITURE or not structure)
+        kinds[host].add(kind)
+        for h in html_text.run_hashes(" ".join(t for _, t in blocks).lower().split(), known).tolist():
+            on[host, h].add(kind)
+    return {(host, h) for (host, h), own in on.items() if len(own) >= max(2, int(np.ceil(html_text.SHARE * len(kinds[host]))))}
+
+
+def test_hosts_that_structure_decides_go_through_the_array_too(spark, monkeypatch):
+    """All given pages have articles, and no block that structure leaves open; each host is compared and each page gets the array's verdict."""
+    df = spark.read.parquet(f"{SF}/pages.parquet")
+    rows = df.select(html_text.host_of("url").alias("host"), "page_id", "url", "html")
+    want = _boilerplate([(r.host, r.html) for r in rows.collect()], True)
+    texts = html_text.extract(df)
+    assert "MapInArrow" in texts._jdf.queryExecution().optimizedPlan().toString()
+    got, boilerplate = [], html_text.boilerplate
+    monkeypatch.setattr(html_text, "boilerplate", lambda *a: got.append(boilerplate(*a)) or got[-1])
+    for pages in (html_text.PAGES, 3):
+        monkeypatch.setattr(html_text, "PAGES", pages)
+        assert sorted(html_text.extract(df).collect()) == sorted(texts.collect())
+    for total, _, found in got:
+        runs = [tuple(r) for r in found.collect()]
+        assert total == df.count() and len(runs) == len(set(runs)) and set(runs) == want and want
+
+
+@pytest.mark.parametrize("many", [1.1, 10])
+def test_cohorts_add_up_to_the_host(spark, monkeypatch, many):
+    """Runs close to the share, contents on more pages than a cohort has, and what cohorts leave out."""
+    rng = np.random.default_rng(5)
+    line = lambda *at: "<p>" + " ".join(f"{WORDS[(at[0] * 7 + j) % len(WORDS)]}{'-'.join(map(str, at))}" for j in range(9)) + "</p>"
+    html = lambda k, own: f"<body><nav>{''.join(line(m) for m in range(30) if rng.random() < 0.14 + m / 300)}{line(300, k)}</nav><article>{own}</article></body>"
+    pages = [html(k, line(100, k)) for k in range(150)] + [html(k, line(200)) for k in range(150, 190)] + [""] * 15
+    df = spark.createDataFrame([("one.host", k, f"http://one.host/{k}", page) for k, page in enumerate(pages)], "host string, page_id long, url string, html string")
+    runs, asked = html_text._runs, []
+    monkeypatch.setattr(html_text, "_runs", lambda many: asked.append(many) or runs(many))
+    monkeypatch.setattr(html_text, "PAGES", 12)
+    monkeypatch.setattr(html_text, "MANY", many)
+    for structure in (True, False):
+        found = html_text.boilerplate(df, structure, html_text.Tables(spark))[2]
+        assert {tuple(r) for r in found.collect()} == _boilerplate([("one.host", page) for page in pages], structure) != set()
+    assert asked == ([many, float("inf")] * 2 if many < 10 else [many] * 2)
+    got = [r.text for r in html_text.extract(df.drop("host")).orderBy("page_id").collect()]
+    assert got == html_text.texts_of([html_text.blocks_of(page) for page in pages])
+
+
 def test_the_array_alone_finds_menus_without_tags(spark):
     from pyspark.sql import functions as F
 
